@@ -1,2 +1,154 @@
-def op8_nearest_neighbours(spark, sf_dir):
-    raise NotImplementedError
+"""Nearest neighbours by multi-index hashing over learned rotated binary codes.
+
+A rotation is learned on a bounded sample (principal axes, then alternating between codes and the closest rotation);
+BITS signs along it and along a second random turn of it are a vector's code. Rows are dealt into blocks; in each block
+every byte of the codes has its own table. A code within Hamming radius r of a query agrees with it in one of the m
+bytes up to r // m flips, so probing those entries of each table finds every code within r; hits within r are reranked by
+exact inner products in double precision. r is the smallest radius that reaches RECALL on pairs of the sample. A block
+that gives a query fewer than k rows is searched whole for it, so rows never lack neighbours.
+
+Every row is indexed. Cases: vectors that are null, zero, or hold null or non-finite components take no part, nor do
+those whose dimension is not the sample's most frequent one; ties go to the smaller vec_id; with too few candidates all
+are returned; an empty table gives no rows; rows sharing a vec_id are one query each but never each other's neighbours.
+"""
+
+from __future__ import annotations
+
+from collections.abc import Iterator
+from itertools import combinations
+
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from slowlens.llm.common import Scratch, table
+
+SAMPLE, BLOCK_ROWS, QUERY_EVERY, K, RECALL, SEED, TURNS = 4000, 16384, 20, 20, 0.985, 11, 2
+
+
+def _flips(most: int) -> np.ndarray:
+    return np.array([sum(1 << b for b in c) for k in range(most + 1) for c in combinations(range(8), k)], np.uint8)
+
+
+class Codes:
+    """A learned rotation, its codes, and the radius that reaches the wanted recall."""
+
+    def __init__(self, x: np.ndarray, k: int = K, recall: float = RECALL, seed: int = SEED):
+        rng = np.random.default_rng(seed)
+        self.dim = x.shape[1]
+        self.centre = x.mean(axis=0)
+        unit = self._unit(x)
+        axes = np.linalg.eigh(unit.T @ unit)[1][:, ::-1]
+        turns = []
+        for _ in range(TURNS):
+            turn = np.linalg.qr(rng.normal(size=(self.dim, self.dim)))[0]
+            for _ in range(20):  # codes for the rotation, then the rotation closest to the codes
+                u, _, v = np.linalg.svd(np.sign(unit @ axes @ turn).T @ (unit @ axes))
+                turn = (u @ v).T
+            turns.append(axes @ turn)
+        self.rotation = np.concatenate(turns, axis=1)
+        self.bytes = -(-self.rotation.shape[1] // 64) * 8
+        code = self.code(x)
+        asked = rng.choice(len(x), min(len(x), 200), replace=False)
+        far = np.bitwise_count(code[asked][:, None, :].view(np.uint64) ^ code[None].view(np.uint64)).sum(axis=2)
+        near = x[asked] @ x.T
+        near[np.arange(len(asked)), asked] = -np.inf
+        top = np.argsort(-near, axis=1)[:, : min(k, len(x) - 1)]
+        reach = np.sort(np.take_along_axis(far, top, axis=1).ravel())
+        self.radius = int(reach[min(len(reach) - 1, int(recall * len(reach)))]) if len(reach) else 0
+        # a larger table than the sample has closer neighbours, which the radius covers as well
+        self.flips = _flips(min(8, self.radius // self.bytes))
+
+    def _unit(self, x: np.ndarray) -> np.ndarray:
+        y = x - self.centre
+        return y / np.maximum(np.linalg.norm(y, axis=1, keepdims=True), 1e-12)
+
+    def code(self, x: np.ndarray) -> np.ndarray:
+        bits = np.packbits(self._unit(x) @ self.rotation > 0, axis=1)
+        return np.ascontiguousarray(np.pad(bits, ((0, 0), (0, self.bytes - bits.shape[1]))))
+
+
+class Block:
+    """The rows of one block: a table for each byte of the codes."""
+
+    def __init__(self, codes: Codes, ids: np.ndarray, x: np.ndarray):
+        self.codes, self.ids, self.x, self.code = codes, ids, x, codes.code(x)
+        self.words = self.code.view(np.uint64)
+        self.order = [np.argsort(c, kind="stable") for c in self.code.T]
+        self.starts = [np.searchsorted(c[o], np.arange(257)) for c, o in zip(self.code.T, self.order, strict=True)]
+
+    def search(self, vec_id: int, q: np.ndarray, code: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
+        marked = np.zeros(len(self.ids), bool)
+        for b, order, starts in zip(code, self.order, self.starts, strict=True):
+            for v in b ^ self.codes.flips:
+                marked[order[starts[v] : starts[int(v) + 1]]] = True
+        marked &= self.ids != vec_id
+        rows = np.flatnonzero(marked)
+        rows = rows[np.bitwise_count(self.words[rows] ^ code.view(np.uint64)).sum(axis=1) <= self.codes.radius]
+        if len(rows) < k:
+            rows = np.flatnonzero(self.ids != vec_id)
+        score = (self.x[rows] * q).sum(axis=1)  # row by row, so that equal vectors score alike to the last bit
+        if len(rows) > 4 * k:
+            near = np.flatnonzero(score >= np.partition(score, len(score) - k)[len(score) - k])
+            rows, score = rows[near], score[near]
+        best = np.lexsort((self.ids[rows], -score))[:k]
+        return self.ids[rows[best]], score[best]
+
+
+def usable(vectors: DataFrame) -> DataFrame:
+    """Vectors as arrays of doubles, without those that take no part."""
+    v = vectors.select("vec_id", F.col("embedding").cast("array<double>").alias("v")).where("vec_id is not null and v is not null and size(v) > 0")
+    sound = F.forall("v", lambda c: c.isNotNull() & ~F.isnan(c) & (F.abs(c) < float("inf"))) & F.exists("v", lambda c: c != 0)
+    return v.where(sound)
+
+
+def nearest(vectors: DataFrame, scratch: Scratch, k: int = K, every: int = QUERY_EVERY, sample: int = SAMPLE, block_rows: int = BLOCK_ROWS) -> DataFrame:
+    """query_id, rank, vec_id, score of the k nearest rows of each query, a row whose vec_id is divisible by `every`."""
+    rows = scratch.settle(usable(vectors), "vectors")
+    schema = "query_id bigint, rank int, vec_id bigint, score double"
+    n = rows.count()
+    taken = rows.orderBy(F.xxhash64("vec_id"), "vec_id").limit(sample).collect()  # at most `sample` rows
+    if not taken:
+        return vectors.sparkSession.createDataFrame([], schema)
+    dims = [len(r["v"]) for r in taken]
+    dim = max(sorted(set(dims)), key=dims.count)
+    rows = rows.where(F.size("v") == dim)
+    codes = Codes(np.array([r["v"] for r in taken if len(r["v"]) == dim]), k)
+    blocks = max(1, -(-n // block_rows))
+    index = rows.select(F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("bigint").alias("block"), F.lit(0).alias("asks"), "vec_id", "v")
+    asked = rows.where(F.col("vec_id") % every == 0)
+    # each query goes to every block: the stated query set against all rows, in blocks
+    asked = asked.select(F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(blocks - 1).cast("bigint"))).alias("block"), F.lit(1).alias("asks"), "vec_id", "v")
+
+    def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        key, ids, xs, block = None, [], [], None
+        for batch in batches:
+            keys = np.asarray(batch.column("block"))
+            asks, vec_id = np.asarray(batch.column("asks")), np.asarray(batch.column("vec_id"))
+            x = np.asarray(batch.column("v").flatten()).reshape(-1, dim) if batch.num_rows else np.zeros((0, dim))
+            out: list[tuple] = []
+            cuts = [0, *(np.flatnonzero((keys[1:] != keys[:-1]) | (asks[1:] != asks[:-1])) + 1).tolist(), len(keys)] if len(keys) else [0]
+            for a, b in zip(cuts, cuts[1:], strict=False):
+                if keys[a] != key:
+                    key, ids, xs, block = keys[a], [], [], None
+                if not asks[a]:
+                    ids.append(vec_id[a:b])
+                    xs.append(x[a:b])
+                    block = None
+                elif ids:
+                    block = block or Block(codes, np.concatenate(ids), np.concatenate(xs))
+                    for q, v, c in zip(vec_id[a:b], x[a:b], codes.code(x[a:b]), strict=True):
+                        found, score = block.search(int(q), v, c, k)
+                        out += [(int(q), int(i), float(s)) for i, s in zip(found, score, strict=True)]
+            cols = list(zip(*out, strict=True)) if out else [[], [], []]
+            yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int64()), pa.array(cols[2], pa.float64())], names=["query_id", "vec_id", "score"])
+
+    together = index.unionByName(asked).repartition(blocks, "block").sortWithinPartitions("block", "asks")
+    found = together.mapInArrow(search, "query_id bigint, vec_id bigint, score double").distinct()
+    best = F.slice(F.array_sort(F.collect_list(F.struct((-F.col("score")).alias("minus"), "vec_id"))), 1, k)  # at most k from each block
+    return found.groupBy("query_id").agg(best.alias("b")).select("query_id", F.posexplode("b").alias("p", "n")).select("query_id", (F.col("p") + 1).alias("rank"), "n.vec_id", (-F.col("n.minus")).alias("score"))
+
+
+def op8_nearest_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return nearest(table(spark, sf_dir, "embeddings"), Scratch(spark, "op8"))

@@ -1,2 +1,175 @@
-def op10_decontamination(spark, sf_dir):
-    raise NotImplementedError
+"""Benchmark decontamination on templates: numbers, names and units become typed placeholders.
+
+A text is read as a sequence of words, lower-cased; a word that starts with a digit is a number, a unit is a known unit
+word right after a number, a name is a capitalised word that doesn't start a sentence. Windows of WINDOW template words
+(whole items, if they have MIN_ITEM to WINDOW - 1 words) of the benchmark and of all documents are hash-joined. Hits of
+one document, item and alignment are judged together: their placeholders must map item values to document values one to
+one (a re-parameterised question does), else only windows with the same values count. A document is contaminated by an
+item if the counted windows cover COVERAGE of its words or RUN of them in a row.
+
+A Bloom filter of fixed size over the benchmark's windows keeps all other windows from being shuffled; the join decides.
+
+Cases: null text counts as empty; items under MIN_ITEM words match nothing; windows with fewer than half literal words
+count only with equal values; rows that share a doc_id are judged together; an empty table gives no rows (an empty
+benchmark: no contamination); further columns are ignored.
+"""
+
+from __future__ import annotations
+
+import re
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+import xxhash
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from slowlens.llm.common import Scratch, table
+
+WINDOW, MIN_ITEM, COVERAGE, RUN, BLOOM_BITS, BROADCAST_IDS = 8, 5, 0.5, 13, 1 << 25, 1_000_000
+UNITS = frozenset("mm cm m km in ft yd mi mg g kg t lb lbs oz ml l cl gal ms s sec secs min mins h hr hrs hour hours minute minutes second seconds day days week weeks month months year years percent pct kb mb gb tb hz khz mhz ghz w kw kwh v mv a ma k c f j kj cal kcal usd eur gbp dollar dollars euro euros pound pounds cent cents mph kph".split())
+_token = re.compile(r"\w+|[.!?\n]")
+_LITERAL, _NUMBER, _UNIT, _NAME, _MARK = range(5)
+_TYPED = np.array([[0, 0], *([xxhash.xxh3_64_intdigest(f"placeholder {k}", seed) for seed in (1, 2)] for k in (_NUMBER, _UNIT, _NAME)), [0, 0]], np.uint64)
+_STEP = np.array([0x9E3779B97F4A7C15, 0xD6E8FEB86659FD93], np.uint64)
+
+
+class _Words(dict):
+    """Number of each word in the columns `kind` and `hashes`."""
+
+    def __init__(self) -> None:
+        self.kind: list[int] = []
+        self.hashes: list[tuple[int, int]] = []
+
+    def __missing__(self, w: str) -> int:
+        self[w] = n = len(self.kind)
+        low = w.lower()
+        kind = _MARK if w in ".!?\n" else _NUMBER if w[0].isdigit() else _UNIT if low in UNITS else _NAME if w[0].isupper() and not w[1:].isupper() else _LITERAL
+        self.kind.append(kind)
+        self.hashes.append((xxhash.xxh3_64_intdigest(low, 1), xxhash.xxh3_64_intdigest(low, 2)))
+        return n
+
+
+def _windows(texts: list[str], lengths: list[int] | None) -> Iterator[tuple[int, list[str], np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+    """For each window length: length, all words, their kinds, starts of windows, hashes (2 lanes), text number and place
+    in the text of each start. lengths None: the benchmark's rule."""
+    seen = _Words()
+    found = [_token.findall(t) for t in texts]
+    sizes = np.array([len(f) for f in found])
+    every = [w for f in found for w in f]
+    number = np.fromiter((seen[w] for w in every), np.int64, len(every))
+    if not len(number):
+        return
+    kind, hashes = np.array(seen.kind)[number], np.array(seen.hashes, np.uint64)[number]
+    doc = np.repeat(np.arange(len(texts)), sizes)
+    fresh = np.r_[True, (kind[:-1] == _MARK) | (doc[1:] != doc[:-1])]  # starts a sentence
+    word = np.flatnonzero(kind != _MARK)
+    fresh, kind, hashes, doc = fresh[word], kind[word].copy(), hashes[word].copy(), doc[word]
+    kind[(kind == _NAME) & fresh] = _LITERAL
+    after = np.r_[False, (kind[:-1] == _NUMBER) & (doc[1:] == doc[:-1])] if len(kind) else np.zeros(0, bool)
+    kind[(kind == _UNIT) & ~after] = _LITERAL
+    typed = kind != _LITERAL
+    hashes[typed] = _TYPED[kind[typed]]
+    n = len(word)
+    starts = np.searchsorted(doc, np.arange(len(texts)))
+    total = np.bincount(doc, minlength=len(texts)) if n else np.zeros(len(texts), int)
+    place = np.arange(n) - starts[doc] if n else np.zeros(0, int)
+    words = [every[i] for i in word] if typed.any() else []
+    for size in lengths if lengths is not None else range(MIN_ITEM, WINDOW + 1):
+        last = n - size + 1
+        if last <= 0:
+            continue
+        at = np.flatnonzero(doc[:last] == doc[size - 1 :])
+        if lengths is None and size < WINDOW:
+            at = at[total[doc[at]] == size]
+        h = np.full((len(at), 2), np.uint64(size))
+        with np.errstate(over="ignore"):
+            for k in range(size):
+                h = h * _STEP + hashes[at + k]
+            h ^= h >> np.uint64(31)
+        yield size, words, kind, at, h.view(np.int64), doc[at], place[at]
+
+
+def _slots(words: list[str], kind: np.ndarray, at: int, size: int) -> list[str]:
+    """Kind and lower-cased value of each placeholder of a window, in order."""
+    return [f"{kind[i]}:{words[i].lower()}" for i in range(at, at + size) if kind[i] != _LITERAL]
+
+
+_ROW = "key bigint, h1 bigint, h2 bigint, place int, size int, slots array<string>, total int"
+
+
+def _emit(batches: Iterator[pa.RecordBatch], key: str, lengths: list[int] | None, bits: np.ndarray | None) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        ids, texts = batch.column(key).to_pylist(), batch.column("text").to_pylist()
+        start = 0
+        while start < len(texts):
+            end, chars = start, 0
+            while end < len(texts) and (end == start or chars + len(texts[end] or "") <= 2_000_000):
+                chars += len(texts[end] or "")
+                end += 1
+            part, own = [t or "" for t in texts[start:end]], ids[start:end]
+            start = end
+            out: list[tuple] = []
+            for size, words, kind, at, h, doc, place in _windows(part, lengths):
+                hit = np.arange(len(at))
+                if bits is not None:
+                    for lane in (0, 1):
+                        b = h[hit, lane].view(np.uint64) & np.uint64(BLOOM_BITS - 1)
+                        hit = hit[(bits[b >> np.uint64(6)] >> (b & np.uint64(63))) & np.uint64(1) != 0]
+                total = np.bincount(doc) if lengths is None else None
+                for i in hit:
+                    out.append((own[doc[i]], int(h[i, 0]), int(h[i, 1]), int(place[i]), size, _slots(words, kind, at[i], size), int(total[doc[i]]) + size - 1 if total is not None else 0))
+            cols = list(zip(*out, strict=True)) if out else [[]] * 7
+            kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.list_(pa.string()), pa.int32()]
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds, strict=True)], names=["key", "h1", "h2", "place", "size", "slots", "total"])
+
+
+def contamination(docs: DataFrame, benchmark: DataFrame, scratch: Scratch) -> DataFrame:
+    """(doc_id, items): the contaminated documents and the sorted ids of the items found in each."""
+    items = scratch.settle(benchmark.select("item_id", "text").mapInArrow(lambda it: _emit(it, "item_id", None, None), _ROW), "items")
+    bit = F.explode(F.transform(F.array("h1", "h2"), lambda h: h.bitwiseAND(BLOOM_BITS - 1)))
+    set_bits = items.select(bit.alias("b")).groupBy(F.shiftright("b", 6).cast("int").alias("w")).agg(F.bit_or(F.expr("shiftleft(1L, cast(b & 63 as int))")).alias("v")).toPandas()  # at most BLOOM_BITS / 64 rows
+    bits = np.zeros(BLOOM_BITS // 64, np.uint64)
+    bits[set_bits["w"].to_numpy(np.int64)] = set_bits["v"].to_numpy(np.int64).view(np.uint64)
+    lengths = sorted(r[0] for r in items.select("size").distinct().collect())  # at most WINDOW - MIN_ITEM + 1
+    shared = docs.sparkSession.sparkContext.broadcast(bits)
+    hits = docs.select("doc_id", "text").mapInArrow(lambda it: _emit(it, "doc_id", lengths, shared.value), _ROW)
+    hits = scratch.settle(hits.select("key", "h1", "h2", "place", "slots"), "hits")
+    asked = items.select(F.col("key").alias("item_id"), F.col("h1").alias("_h1"), F.col("h2").alias("_h2"), F.col("place").alias("at"), "size", F.col("slots").alias("own"), "total")
+    met = hits.join(asked, (F.col("h1") == F.col("_h1")) & (F.col("h2") == F.col("_h2")))
+    exact, open_ = F.col("own") == F.col("slots"), F.size("slots") * 2 <= F.col("size")
+    met = met.where(exact | open_).select(F.col("key").alias("doc_id"), "item_id", (F.col("place") - F.col("at")).alias("shift"), "at", "size", "total", exact.alias("exact"), F.arrays_zip(F.col("own").alias("i"), F.col("slots").alias("d")).alias("pairs"))
+    # one alignment has at most one row for each window of the item
+    lined = met.groupBy("doc_id", "item_id", "shift").agg(
+        F.array_sort(F.collect_set("at")).alias("every"), F.array_sort(F.collect_set(F.when(F.col("exact"), F.col("at")))).alias("same"),
+        F.array_distinct(F.flatten(F.collect_list("pairs"))).alias("pairs"), F.first("size").alias("size"), F.first("total").alias("total"),
+    )
+    one = (F.size(F.array_distinct(F.transform("pairs", lambda p: p["i"]))) == F.size("pairs")) & (F.size(F.array_distinct(F.transform("pairs", lambda p: p["d"]))) == F.size("pairs"))
+    lined = lined.withColumn("at", F.when(one, F.col("every")).otherwise(F.col("same")))
+
+    def grow(s, p):
+        gap = p - s["end"]  # words between the last window and this one
+        more = F.when(gap >= 0, F.col("size")).otherwise(F.col("size") + gap)
+        run = F.when(gap > 0, F.col("size")).otherwise(s["run"] + more)
+        return F.struct((s["covered"] + more).alias("covered"), run.alias("run"), F.greatest(s["longest"], run).alias("longest"), (p + F.col("size")).alias("end"))
+
+    zero = F.struct(*[F.lit(v).cast("int").alias(k) for k, v in (("covered", 0), ("run", 0), ("longest", 0), ("end", -1_000_000))])
+    judged = lined.withColumn("s", F.aggregate("at", zero, grow))
+    found = judged.where((F.col("s.covered") >= COVERAGE * F.col("total")) | (F.col("s.longest") >= RUN))
+    return found.groupBy("doc_id").agg(F.array_sort(F.collect_set("item_id")).alias("items"))
+
+
+def drop_contaminated(docs: DataFrame, benchmark: DataFrame, scratch: Scratch) -> DataFrame:
+    found = scratch.settle(contamination(docs, benchmark, scratch).select(F.col("doc_id").alias("_id")), "found")
+    few = found.count() <= BROADCAST_IDS
+    return docs.join(F.broadcast(found) if few else found, F.col("doc_id").eqNullSafe(F.col("_id")), "left_anti")
+
+
+def op10_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """doc_id, contaminated and the items found, of every document."""
+    docs = table(spark, sf_dir, "documents")
+    scratch = Scratch(spark, "op10")
+    found = scratch.settle(contamination(docs, table(spark, sf_dir, "benchmark"), scratch).withColumnRenamed("doc_id", "_id"), "found")
+    every = docs.select("doc_id").join(found, F.col("doc_id").eqNullSafe(F.col("_id")), "left")
+    return every.select("doc_id", F.col("_id").isNotNull().alias("contaminated"), F.coalesce(F.array_join(F.col("items").cast("array<string>"), ","), F.lit("")).alias("items"))

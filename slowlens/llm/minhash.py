@@ -1,2 +1,248 @@
-def op7_minhash_dedup(spark, sf_dir):
-    raise NotImplementedError
+"""Near duplicates by ProbMinHash signatures, banding and exact verification.
+
+A document is the weighted set of its five-word shingles, weight 1 + ln(count). For each shingle a Poisson process with
+that rate drops arrivals into REGISTERS registers; a register keeps the shingle of its earliest arrival, and a process
+ends once its time passes the document's latest register. Two registers agree with the probability Jaccard of the two
+weighted sets. Bands of ROWS registers propose pairs; exact Jaccard of the shingle sets, SIMILARITY or more, links them.
+
+Equal token sequences are one node from the start. Within a bucket of a band each node is first compared with one
+leader, the node that meets the most others over all its bands (the original of a group of copies agrees with all of
+them); linked nodes are joined to components. Only then are nodes of one bucket compared whose components still differ,
+on their signatures, in chunks of bounded size, and those above PROBABLE are verified. So no link between components is
+lost but by the chance of banding (0.8^4 per band, 32 bands: under 1e-7) or of the signature's error (over 4 sigma),
+while a group of copies costs a leader comparison each and no pairs of pairs.
+
+Cases: words are split at white space and lower-cased; a text of under five words has one shingle, all of it; null,
+empty and blank texts are copies of one another; rows that share a doc_id count as one document; an empty table gives no
+rows; further columns are ignored.
+"""
+
+from __future__ import annotations
+
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+import xxhash
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from slowlens.llm.common import Scratch, components, table
+
+WORDS, SIMILARITY, REGISTERS, ROWS, PROBABLE = 5, 0.8, 128, 4, 0.66
+CHUNK, BROADCAST_IDS = 2048, 1_000_000
+_MIX, _STEP, _BASE = np.uint64(0xFF51AFD7ED558CCD), np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93)
+
+
+class _Words(dict):
+    """Hash of each word, remembered for the frequent ones."""
+
+    def __missing__(self, word: str) -> int:
+        if len(self) > 400_000:
+            self.clear()
+        self[word] = h = xxhash.xxh3_64_intdigest(word)
+        return h
+
+
+def _scatter(x: np.ndarray) -> np.ndarray:
+    x = x ^ (x >> np.uint64(33))
+    x = x * _MIX
+    x = x ^ (x >> np.uint64(29))
+    x = x * _BASE
+    return x ^ (x >> np.uint64(32))
+
+
+def shingle_sets(texts: list[str | None], seen: _Words) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(document number, shingle hash, count) of the distinct shingles of a list of texts, by document and hash."""
+    tokens = [(t or "").lower().split() for t in texts]
+    sizes = np.array([len(t) for t in tokens], np.int64)
+    words = np.fromiter((seen[w] for t in tokens for w in t), np.uint64, int(sizes.sum()))
+    doc = np.repeat(np.arange(len(texts)), sizes)
+    left = np.repeat(np.cumsum(sizes), sizes) - np.arange(len(words))  # words from here to the end of the text
+    with np.errstate(over="ignore"):
+        h = np.zeros(len(words), np.uint64)
+        for k in range(WORDS):
+            part = np.zeros(len(words), np.uint64)
+            part[: max(0, len(words) - k)] = words[k:]
+            h = h * _STEP + np.where(left > k, part, np.uint64(k))
+        first = np.r_[True, doc[1:] != doc[:-1]] if len(doc) else np.zeros(0, bool)
+        keep = (left >= WORDS) | first
+        doc, h = doc[keep], _scatter(h[keep])
+    order = np.lexsort((h, doc))
+    doc, h = doc[order], h[order]
+    new = np.r_[True, (doc[1:] != doc[:-1]) | (h[1:] != h[:-1])] if len(doc) else np.zeros(0, bool)
+    at = np.flatnonzero(new)
+    return doc[at], h[at], np.diff(np.r_[at, len(doc)])
+
+
+def signatures(doc: np.ndarray, h: np.ndarray, count: np.ndarray, n: int) -> np.ndarray:
+    """n x REGISTERS: the low 32 bits of the shingle that each register keeps."""
+    due = np.full(n * REGISTERS, np.inf)
+    kept = np.zeros(n * REGISTERS, np.uint32)
+    rate, time, live, turn = 1 + np.log(count), np.zeros(len(h)), np.arange(len(h)), np.uint64(0)
+    with np.errstate(over="ignore"):
+        while len(live):
+            turn += np.uint64(1)
+            r = _scatter(h[live] + turn * _STEP)
+            time[live] -= np.log(((r >> np.uint64(11)).astype(np.float64) + 0.5) / 2.0**53) / rate[live]
+            cell = doc[live] * REGISTERS + (_scatter(r) & np.uint64(REGISTERS - 1)).astype(np.int64)
+            np.minimum.at(due, cell, time[live])
+            won = due[cell] == time[live]
+            kept[cell[won]] = h[live[won]].astype(np.uint32)
+            latest = due.reshape(n, REGISTERS).max(axis=1)
+            live = live[time[live] < latest[doc[live]]]
+    return kept.reshape(n, REGISTERS)
+
+
+def _parts(texts: list[str | None], most: int = 1_500_000, rows: int = 256) -> Iterator[tuple[int, int]]:
+    """Runs of texts of bounded number and length; a longer text goes alone."""
+    start, size = 0, 0
+    for i, t in enumerate(texts):
+        n = len(t or "")
+        if i > start and (size + n > most or i - start >= rows):
+            yield start, i
+            start, size = i, 0
+        size += n
+    if start < len(texts):
+        yield start, len(texts)
+
+
+def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    seen = _Words()
+    for batch in batches:
+        texts, ids = batch.column("text").to_pylist(), batch.column("doc_id")
+        for a, b in _parts(texts):
+            part = texts[a:b]
+            sig = signatures(*shingle_sets(part, seen), len(part))
+            whole = [xxhash.xxh3_128_digest(" ".join((t or "").lower().split())) for t in part]
+            yield pa.RecordBatch.from_arrays([ids.slice(a, b - a), pa.array(whole, pa.binary()), pa.array([s.tobytes() for s in sig], pa.binary())], names=["doc_id", "whole", "sig"])
+
+
+def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    seen = _Words()
+    for batch in batches:
+        texts, ids = batch.column("text").to_pylist(), batch.column("doc_id")
+        for a, b in _parts(texts):
+            doc, h, _ = shingle_sets(texts[a:b], seen)
+            ends = np.searchsorted(doc, np.arange(b - a + 1)).astype(np.int32)
+            yield pa.RecordBatch.from_arrays([ids.slice(a, b - a), pa.ListArray.from_arrays(pa.array(ends), pa.array(h.view(np.int64)))], names=["doc_id", "shingles"])
+
+
+def _alike(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Pairs whose signatures agree in PROBABLE of their registers or more."""
+    for batch in batches:
+        if batch.num_rows:
+            left, right = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.uint32).reshape(-1, REGISTERS) for c in ("sa", "sb"))
+            keep = pa.array((left == right).mean(axis=1) >= PROBABLE)
+            yield pa.RecordBatch.from_arrays([batch.column("a").filter(keep), batch.column("b").filter(keep)], names=["a", "b"])
+
+
+def _across(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """From rows sorted by group: pairs of different components and probable likeness, each in its first common band."""
+    held: list[pa.RecordBatch] = []
+
+    def pairs(group: pa.Table) -> tuple[list[int], list[int]]:
+        node, comp, side, band = (np.asarray(group.column(c).combine_chunks()) for c in ("node", "comp", "side", "band"))
+        sig = np.frombuffer(b"".join(group.column("sig").to_pylist()), np.uint32).reshape(-1, REGISTERS)
+        out_a, out_b = [], []
+        both = group.column("two_sides")[0].as_py()
+        for i in range(len(node) - 1):
+            js = np.flatnonzero((comp[i + 1 :] != comp[i]) & ((side[i + 1 :] != side[i]) | (not both))) + i + 1
+            if len(js):
+                same = sig[js] == sig[i]
+                probable = same.mean(axis=1) >= PROBABLE
+                if probable.any():
+                    js, same = js[probable], same[probable]
+                    common = same.reshape(len(js), -1, ROWS).all(axis=2)
+                    for j in js[common.any(axis=1) & (common.argmax(axis=1) == band[i])]:
+                        out_a.append(int(min(node[i], node[j])))
+                        out_b.append(int(max(node[i], node[j])))
+        return out_a, out_b
+
+    def emit(last: bool) -> pa.RecordBatch | None:
+        nonlocal held
+        whole = pa.Table.from_batches(held)
+        keys = np.asarray(whole.column("grp").combine_chunks())
+        cuts = [0, *(np.flatnonzero(keys[1:] != keys[:-1]) + 1).tolist(), len(keys)]
+        done = cuts if last else cuts[:-1]
+        a: list[int] = []
+        b: list[int] = []
+        for x, y in zip(done, done[1:], strict=False):
+            if y - x > 1:
+                pa_, pb_ = pairs(whole.slice(x, y - x))
+                a += pa_
+                b += pb_
+        held = [] if last else whole.slice(done[-1]).combine_chunks().to_batches()
+        return pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
+
+    for batch in batches:
+        if batch.num_rows:
+            held.append(batch)
+            yield emit(False)
+    if held:
+        yield emit(True)
+
+
+def _verified(docs: DataFrame, pairs: DataFrame, scratch: Scratch) -> DataFrame:
+    """Those of pairs (a, b) whose shingle sets have SIMILARITY or more."""
+    ids = scratch.settle(pairs.select(F.explode(F.array("a", "b")).alias("_id")).distinct(), "ids")
+    few = ids.count() <= BROADCAST_IDS
+    chosen = docs.select("doc_id", "text").join(F.broadcast(ids) if few else ids, F.col("doc_id") == F.col("_id"), "left_semi")
+    sets = scratch.settle(chosen.mapInArrow(_sets, "doc_id bigint, shingles array<bigint>").dropDuplicates(["doc_id"]), "sets")
+    left = sets.select(F.col("doc_id").alias("_a"), F.col("shingles").alias("x"))
+    right = sets.select(F.col("doc_id").alias("_b"), F.col("shingles").alias("y"))
+    both = pairs.join(left, F.col("a") == F.col("_a")).join(right, F.col("b") == F.col("_b"))
+    common = F.size(F.array_intersect("x", "y"))
+    links = both.where(common >= SIMILARITY * (F.size("x") + F.size("y") - common)).select("a", "b")
+    out = scratch.settle(links, "links")
+    scratch.drop(ids, sets)
+    return out
+
+
+def near_duplicate_classes(docs: DataFrame, scratch: Scratch) -> DataFrame:
+    """doc_id and class_id of every document; class_id is the smallest doc_id of the class."""
+    known = docs.select("doc_id", "text").where(F.col("doc_id").isNotNull())
+    sketch = scratch.settle(known.mapInArrow(_sketch, "doc_id bigint, whole binary, sig binary"), "sketch")
+    nodes = scratch.settle(sketch.groupBy("whole").agg(F.min(F.struct("doc_id", "sig")).alias("m")).select("whole", F.col("m.doc_id").alias("node"), F.col("m.sig").alias("sig")), "nodes")
+    bands = REGISTERS // ROWS
+    banded = nodes.select("node", F.explode(F.transform(F.sequence(F.lit(0), F.lit(bands - 1)), lambda i: F.struct(i.alias("band"), F.xxhash64(i, F.substring("sig", i * 4 * ROWS + 1, F.lit(4 * ROWS))).alias("bucket")))).alias("e")).select("node", "e.band", "e.bucket")
+    shared = banded.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1")
+    met = scratch.settle(banded.join(shared, "bucket"), "met")
+    rank = met.groupBy("node").agg(F.sum("n").alias("score"))
+    led = met.join(rank, "node").groupBy("bucket").agg(F.max(F.struct("score", (-F.col("node")).alias("minus"))).alias("m")).select("bucket", (-F.col("m.minus")).alias("leader"))
+    first = met.select("node", "bucket").join(led, "bucket").where("node <> leader").select(F.least("node", "leader").alias("a"), F.greatest("node", "leader").alias("b")).distinct()
+    sig_a, sig_b = nodes.select(F.col("node").alias("_a"), F.col("sig").alias("sa")), nodes.select(F.col("node").alias("_b"), F.col("sig").alias("sb"))
+    first = first.join(sig_a, F.col("a") == F.col("_a")).join(sig_b, F.col("b") == F.col("_b")).select("a", "b", "sa", "sb")
+    likely = scratch.settle(first.mapInArrow(_alike, "a bigint, b bigint"), "likely")
+    links = _verified(known, likely, scratch)
+    comps = scratch.settle(components(links, scratch), "comps")
+
+    named = met.where("n > 2").join(comps, "node", "left").select("node", "band", "bucket", "n", F.coalesce("comp", "node").alias("comp"))
+    open_buckets = named.groupBy("bucket").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("_n")).where("lo < hi").select(F.col("bucket").alias("_bucket"), F.ceil(F.col("_n") / CHUNK).alias("chunks"))
+    rows = named.join(open_buckets, F.col("bucket") == F.col("_bucket"))
+    own = F.pmod(F.xxhash64("node"), F.col("chunks"))
+    rows = rows.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("chunks") - 1)))
+    grp = F.xxhash64("bucket", F.least("own", "other"), F.greatest("own", "other"))
+    rows = rows.select("node", "comp", "band", grp.alias("grp"), F.col("own").alias("side"), (F.col("own") != F.col("other")).alias("two_sides"))
+    rows = rows.join(nodes.select(F.col("node").alias("_node"), "sig"), F.col("node") == F.col("_node")).drop("_node")
+    cross = rows.repartition("grp").sortWithinPartitions("grp", "node").mapInArrow(_across, "a bigint, b bigint")
+    cross = scratch.settle(cross.distinct(), "cross")
+    more = _verified(known, cross, scratch)
+    comps = components(links.union(more), scratch)
+    classes = nodes.select("whole", "node").join(comps, "node", "left").select(F.col("whole").alias("_whole"), F.coalesce("comp", "node").alias("class_id"))
+    return sketch.select("doc_id", "whole").join(classes, F.col("whole") == F.col("_whole")).select("doc_id", "class_id")
+
+
+def drop_near_duplicates(docs: DataFrame, scratch: Scratch) -> DataFrame:
+    """docs without the rows of which an earlier one of the class stays."""
+    classes = scratch.settle(near_duplicate_classes(docs, scratch), "classes")
+    copies = classes.where("doc_id <> class_id").select(F.col("doc_id").alias("_id")).distinct()
+    few = copies.count() <= BROADCAST_IDS
+    kept = docs.join(F.broadcast(copies) if few else copies, F.col("doc_id") == F.col("_id"), "left_anti")
+    repeated = classes.groupBy("doc_id").count().where("count > 1").limit(1).count()
+    return kept.dropDuplicates(["doc_id"]) if repeated else kept
+
+
+def op7_minhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    classes = near_duplicate_classes(table(spark, sf_dir, "documents"), Scratch(spark, "op7"))
+    return classes.withColumn("kept", F.col("doc_id") == F.col("class_id"))
