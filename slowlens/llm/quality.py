@@ -121,17 +121,20 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, waves: int =
         model = QualityModel(np.array([m["m"] for m in moments]), np.array([max(m["s"], 1e-6) for m in moments]), w, phase, None)
 
         def equations(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            left, right = np.zeros((waves + 1, waves + 1)), np.zeros(waves + 1)
+            left, right, used = np.zeros((waves + 1, waves + 1)), np.zeros(waves + 1), 0
             for batch in batches:
                 keep = np.asarray(batch.column("part")) % 4 != 3  # a quarter is kept for the calibration
                 if keep.any():
                     x = model.expand(np.array(batch.column("stats").to_pylist())[keep])
                     left += x.T @ x
                     right += x.T @ np.asarray(batch.column("y"))[keep]
-            yield pa.RecordBatch.from_arrays([pa.array([left.ravel()], pa.list_(pa.float64())), pa.array([right], pa.list_(pa.float64()))], names=["xx", "xy"])
+                    used += int(keep.sum())
+            if used:  # FIT_PARTS keys fill at most FIT_PARTS partitions, however many there are
+                yield pa.RecordBatch.from_arrays([pa.array([left.tobytes()], pa.binary()), pa.array([right.tobytes()], pa.binary())], names=["xx", "xy"])
 
-        parts = stats.mapInArrow(equations, "xx array<double>, xy array<double>").collect()  # FIT_PARTS rows
-        xx, xy = sum(np.array(r["xx"]) for r in parts).reshape(waves + 1, waves + 1), sum(np.array(r["xy"]) for r in parts)
+        parts = stats.mapInArrow(equations, "xx binary, xy binary").collect()  # at most FIT_PARTS rows
+        total = lambda c, shape: sum((np.frombuffer(bytes(r[c])).reshape(shape) for r in parts), np.zeros(shape))
+        xx, xy = total("xx", (waves + 1, waves + 1)), total("xy", (waves + 1,))
         model.weights = np.linalg.solve(xx + RIDGE * n * np.eye(waves + 1) / waves, xy)
         kept = stats.where("part % 4 = 3").select("y", "stats").collect() or stats.select("y", "stats").collect()  # at most `sample` rows
         raw = model.expand(np.array([r["stats"] for r in kept])) @ model.weights
