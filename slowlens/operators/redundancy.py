@@ -18,18 +18,18 @@ def jaccard(ds: SubgroupDataset, patterns: list[Pattern]) -> DataFrame:
     """
     sets = matches(ds, patterns).groupBy(F.col("_m").alias("m")).agg(F.count("*").alias("n"))
     sizes = sets.select(F.explode("m").alias("p"), "n").groupBy("p").agg(F.sum("n").alias("n"))
-    pairs = sets.select(F.explode("m").alias("p"), "m", "n").select("p", F.explode("m").alias("q"), "n").where("p < q").groupBy("p", "q").agg(F.sum("n").alias("both"))
+    pairs = sets.select(F.explode("m").alias("p"), "m", "n").select("p", F.explode("m").alias("q"), "n").where("p < q").groupBy("p", "q").agg(F.sum("n").alias("shared"))
     left, right = sizes.select("p", F.col("n").alias("size_p")), sizes.select(F.col("p").alias("q"), F.col("n").alias("size_q"))
     every = left.join(right, F.col("p") < F.col("q"))  # at most the square of the result's length
-    out = every.join(pairs, ["p", "q"], "left").withColumn("both", F.coalesce("both", F.lit(0)))
-    return out.withColumn("jaccard", F.col("both") / (F.col("size_p") + F.col("size_q") - F.col("both")))
+    out = every.join(pairs, ["p", "q"], "left").withColumn("shared", F.coalesce("shared", F.lit(0)))
+    return out.withColumn("jaccard", F.col("shared") / (F.col("size_p") + F.col("size_q") - F.col("shared")))
 
 
 def named(similarities: DataFrame, patterns: list[Pattern]) -> DataFrame:
     """The same with descriptions, first in the alphabet first."""
     names = F.lit([describe(p) for p in patterns])
     a, b = F.element_at(names, F.col("p") + 1), F.element_at(names, F.col("q") + 1)
-    return similarities.select(F.least(a, b).alias("p"), F.greatest(a, b).alias("q"), "both", F.round("jaccard", 6).alias("jaccard"))
+    return similarities.select(F.least(a, b).alias("p"), F.greatest(a, b).alias("q"), "shared", F.round("jaccard", 6).alias("jaccard"))
 
 
 def matrix(similarities: DataFrame, n: int) -> np.ndarray:
