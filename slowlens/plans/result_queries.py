@@ -154,7 +154,7 @@ def _greedy(threshold: float):
     def run(spark: SparkSession, d: str) -> DataFrame:
         ds, scores, names = fixed_result(spark, d)
         sim = redundancy.matrix(redundancy.jaccard(ds, RESULT), len(RESULT))
-        return spark.createDataFrame([(names[i], round(scores[i], 6)) for i in redundancy.greedy(scores, sim, threshold, names)], "description string, score double")
+        return spark.createDataFrame([(names[i], search._round(scores[i])) for i in redundancy.greedy(scores, sim, threshold, names)], "description string, score double")
 
     return run
 
@@ -280,7 +280,7 @@ def _both(spark: SparkSession, d: str) -> tuple[search.Found, search.Found]:
 @query("b_beam_vs_exhaustive", f"SELECT 'beam' AS algorithm, CAST(count(*) AS INTEGER) AS found, round(sum(score), 4) AS total FROM ({_B10}) UNION ALL SELECT 'exhaustive', CAST(count(*) AS INTEGER), round(sum(score), 4) FROM ({_X10})")
 def b_beam_vs_exhaustive(spark: SparkSession, d: str) -> DataFrame:
     beam, exact = _both(spark, d)
-    row = lambda name, f: (name, len(f.rows[:10]), round(sum(round(r["score"], 6) for r in f.rows[:10]), 4))
+    row = lambda name, f: (name, len(f.rows[:10]), round(sum(search._round(r["score"]) for r in f.rows[:10]), 4))
     return spark.createDataFrame([row("beam", beam), row("exhaustive", exact)], "algorithm string, found int, total double")
 
 
@@ -334,7 +334,7 @@ def b_feature_groups(spark: SparkSession, d: str) -> DataFrame:
     for name, a, c in (("statement", ("event_type",), {"k": [25, 50, 75]}), ("with context", ("event_type", "c_mktsegment", "r_name"), {"k": [25, 50, 75], "w_error": [1, 2], "w_click": [1, 2]})):
         ds = SubgroupDataset(frame, numeric=tuple(c), nominal=a)
         s = search.Session(ds, chosen(ds, a, c), False)
-        out.append((name, round(search.beam(s, "binomial", 10, 2, 20).rows[0]["score"], 6)))
+        out.append((name, search._round(search.beam(s, "binomial", 10, 2, 20).rows[0]["score"])))
         s.close()
     return spark.createDataFrame(out, "features string, best double")
 

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import time
 from dataclasses import dataclass, field
+from decimal import ROUND_HALF_UP, Decimal
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -37,8 +38,9 @@ class Found:
         return spark.createDataFrame(data, RESULT)
 
 
-def _round(x: float | None) -> float | None:
-    return None if x is None else round(x, 6)
+def _round(x: float | None, digits: int = 6) -> float | None:
+    """Half away from zero on the decimal form, as the SQL engines round."""
+    return None if x is None else float(Decimal(repr(float(x))).quantize(Decimal(1).scaleb(-digits), ROUND_HALF_UP))
 
 
 def _key(r: dict) -> tuple:

@@ -152,7 +152,7 @@ def a_beam_levels(spark: SparkSession, d: str) -> DataFrame:
     s = events_session(spark, d, median=False)
     rows = search.beam_levels(s, "wracc", 2, 10)
     s.close()
-    return spark.createDataFrame([(r["level"], r["description"], r["n"], round(r["score"], 6)) for r in rows], "level int, description string, size bigint, score double")
+    return spark.createDataFrame([(r["level"], r["description"], r["n"], search._round(r["score"])) for r in rows], "level int, description string, size bigint, score double")
 
 
 @query("a_min_support", f"WITH ds AS MATERIALIZED ({oracle.EVENTS_PLAIN}), sel AS MATERIALIZED ({E_SEL}) SELECT label AS description, CAST(count(*) AS BIGINT) AS size FROM sel GROUP BY label HAVING count(*) >= 2500")
