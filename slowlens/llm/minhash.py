@@ -9,8 +9,9 @@ Equal token sequences are one node from the start. Within a bucket of a band eac
 leader, the node that meets the most others over all its bands (the original of a group of copies agrees with all of
 them); linked nodes are joined to components. Only then are nodes of one bucket compared whose components still differ,
 on their signatures, in chunks of bounded size, and those above PROBABLE are verified. So no link between components is
-lost but by the chance of banding (0.8^4 per band, 32 bands: under 1e-7) or of the signature's error (over 4 sigma),
-while a group of copies costs a leader comparison each and no pairs of pairs.
+lost but by the chance of banding (0.8^4 per band, 32 bands: under 1e-7) or of the signature's error (over 4 sigma).
+A node with many probable partners in one component is verified against blocks of that component's members, the block's
+sets side by side in one task's memory, so that rows grow with nodes and blocks and not with pairs of copies.
 
 Cases: words are split at white space and lower-cased; a text of under five words has one shingle, all of it; null,
 empty and blank texts are copies of one another; rows that share a doc_id count as one document; an empty table gives no
@@ -27,10 +28,10 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from slowlens.llm.common import Scratch, components, table
+from slowlens.llm.common import Scratch, components, slices, table
 
 WORDS, SIMILARITY, REGISTERS, ROWS, PROBABLE = 5, 0.8, 128, 4, 0.66
-CHUNK, BROADCAST_IDS = 2048, 1_000_000
+CHUNK, MEMBERS, FEW, BROADCAST_IDS = 2048, 256, 8, 1_000_000
 _MIX, _STEP, _BASE = np.uint64(0xFF51AFD7ED558CCD), np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93)
 
 
@@ -38,7 +39,7 @@ class _Words(dict):
     """Hash of each word, remembered for the frequent ones."""
 
     def __missing__(self, word: str) -> int:
-        if len(self) > 400_000:
+        if len(self) > 250_000:
             self.clear()
         self[word] = h = xxhash.xxh3_64_intdigest(word)
         return h
@@ -109,7 +110,7 @@ def _parts(texts: list[str | None], most: int = 1_500_000, rows: int = 256) -> I
 
 def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     seen = _Words()
-    for batch in batches:
+    for batch in slices(batches):
         texts, ids = batch.column("text").to_pylist(), batch.column("doc_id")
         for a, b in _parts(texts):
             part = texts[a:b]
@@ -120,7 +121,7 @@ def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     seen = _Words()
-    for batch in batches:
+    for batch in slices(batches):
         texts, ids = batch.column("text").to_pylist(), batch.column("doc_id")
         for a, b in _parts(texts):
             doc, h, _ = shingle_sets(texts[a:b], seen)
@@ -138,14 +139,16 @@ def _alike(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _across(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """From rows sorted by group: pairs of different components and probable likeness, each in its first common band."""
+    """From rows sorted by group: pairs of different components and probable likeness, each in its first common band,
+    as a node and its partners in one block of a component."""
     held: list[pa.RecordBatch] = []
 
-    def pairs(group: pa.Table) -> tuple[list[int], list[int]]:
-        node, comp, side, band = (np.asarray(group.column(c).combine_chunks()) for c in ("node", "comp", "side", "band"))
+    def pairs(group: pa.Table) -> Iterator[tuple[int, int, list[int]]]:
+        """(node, block, partners in it), the node being of the smaller component."""
+        node, comp, size, block, side, band = (np.asarray(group.column(c).combine_chunks()) for c in ("node", "comp", "size", "block", "side", "band"))
         sig = np.frombuffer(b"".join(group.column("sig").to_pylist()), np.uint32).reshape(-1, REGISTERS)
-        out_a, out_b = [], []
         both = group.column("two_sides")[0].as_py()
+        met: dict[tuple[int, int], list[int]] = {}
         for i in range(len(node) - 1):
             js = np.flatnonzero((comp[i + 1 :] != comp[i]) & ((side[i + 1 :] != side[i]) | (not both))) + i + 1
             if len(js):
@@ -155,9 +158,10 @@ def _across(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                     js, same = js[probable], same[probable]
                     common = same.reshape(len(js), -1, ROWS).all(axis=2)
                     for j in js[common.any(axis=1) & (common.argmax(axis=1) == band[i])]:
-                        out_a.append(int(min(node[i], node[j])))
-                        out_b.append(int(max(node[i], node[j])))
-        return out_a, out_b
+                        x, y = (i, j) if (size[i], node[i]) < (size[j], node[j]) else (j, i)
+                        met.setdefault((int(node[x]), int(block[y])), []).append(int(node[y]))
+        for (x, blk), ys in met.items():
+            yield x, blk, ys
 
     def emit(last: bool) -> pa.RecordBatch | None:
         nonlocal held
@@ -165,15 +169,10 @@ def _across(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         keys = np.asarray(whole.column("grp").combine_chunks())
         cuts = [0, *(np.flatnonzero(keys[1:] != keys[:-1]) + 1).tolist(), len(keys)]
         done = cuts if last else cuts[:-1]
-        a: list[int] = []
-        b: list[int] = []
-        for x, y in zip(done, done[1:], strict=False):
-            if y - x > 1:
-                pa_, pb_ = pairs(whole.slice(x, y - x))
-                a += pa_
-                b += pb_
+        rows = [r for x, y in zip(done, done[1:], strict=False) if y - x > 1 for r in pairs(whole.slice(x, y - x))]
         held = [] if last else whole.slice(done[-1]).combine_chunks().to_batches()
-        return pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
+        cols = list(zip(*rows, strict=True)) if rows else [[], [], []]
+        return pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int64()), pa.array(cols[2], pa.list_(pa.int64()))], names=["node", "block", "partners"])
 
     for batch in batches:
         if batch.num_rows:
@@ -183,20 +182,70 @@ def _across(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield emit(True)
 
 
-def _verified(docs: DataFrame, pairs: DataFrame, scratch: Scratch) -> DataFrame:
-    """Those of pairs (a, b) whose shingle sets have SIMILARITY or more."""
-    ids = scratch.settle(pairs.select(F.explode(F.array("a", "b")).alias("_id")).distinct(), "ids")
+def _in_block(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows sorted by block, members before askers: one link from each asker to the first member that verifies."""
+    now, members = None, {}
+    for batch in batches:
+        a, b = [], []
+        cols = [batch.column(c) for c in ("block", "asks", "doc_id", "shingles", "partners")]
+        for i in range(batch.num_rows):
+            block, asks, node = (c[i].as_py() for c in cols[:3])
+            if block != now:
+                now, members = block, {}
+            own = np.asarray(cols[3][i].values)
+            if not asks:
+                members[node] = own
+                continue
+            for other in cols[4][i].as_py():
+                common = len(np.intersect1d(own, members[other], assume_unique=True))
+                if common >= SIMILARITY * (len(own) + len(members[other]) - common):
+                    a.append(min(node, other))
+                    b.append(max(node, other))
+                    break
+        yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
+
+
+def _shingles_of(docs: DataFrame, ids: DataFrame, scratch: Scratch) -> DataFrame:
+    """(doc_id, shingles) of the documents in ids (_id)."""
+    ids = scratch.settle(ids.distinct(), "ids")
     few = ids.count() <= BROADCAST_IDS
     chosen = docs.select("doc_id", "text").join(F.broadcast(ids) if few else ids, F.col("doc_id") == F.col("_id"), "left_semi")
-    sets = scratch.settle(chosen.mapInArrow(_sets, "doc_id bigint, shingles array<bigint>").dropDuplicates(["doc_id"]), "sets")
+    return scratch.settle(chosen.mapInArrow(_sets, "doc_id bigint, shingles array<bigint>").dropDuplicates(["doc_id"]), "sets")
+
+
+def _verified_blocks(docs: DataFrame, asked: DataFrame, placed: DataFrame, scratch: Scratch) -> DataFrame:
+    """Links among (node, block, partners); the partners of a row are members of one component. `placed` has the block
+    of every node that may be a partner."""
+    lists = scratch.settle(asked.groupBy("node", "block").agg(F.array_distinct(F.flatten(F.collect_list("partners"))).alias("partners")), "lists")
+    # short lists as pairs, long ones against their block
+    short = lists.where(F.size("partners") < FEW).select("node", F.explode("partners").alias("other"))
+    pairs = scratch.settle(short.select(F.least("node", "other").alias("a"), F.greatest("node", "other").alias("b")).distinct(), "pairs")
+    long = lists.where(F.size("partners") >= FEW)
+    blocks = long.select(F.col("block").alias("_block")).distinct()
+    wanted = scratch.settle(placed.join(blocks, F.col("block") == F.col("_block"), "left_semi").select("node", "block").distinct(), "wanted")
+    ids = pairs.select(F.col("a").alias("_id")).union(pairs.select("b")).union(long.select("node")).union(wanted.select("node"))
+    sets = _shingles_of(docs, ids, scratch)
+    nothing = F.lit(None).cast("array<bigint>")
+    members = wanted.join(sets, F.col("node") == F.col("doc_id")).select("block", F.lit(0).alias("asks"), "doc_id", "shingles", nothing.alias("partners"))
+    askers = long.join(sets, F.col("node") == F.col("doc_id")).select("block", F.lit(1).alias("asks"), "doc_id", "shingles", "partners")
+    met = members.unionByName(askers).repartition("block").sortWithinPartitions("block", "asks").mapInArrow(_in_block, "a bigint, b bigint")
+    return scratch.settle(_similar(pairs, sets).unionByName(met), "links")
+
+
+def _verified(docs: DataFrame, pairs: DataFrame, scratch: Scratch) -> DataFrame:
+    """Those of pairs (a, b) whose shingle sets have SIMILARITY or more."""
+    sets = _shingles_of(docs, pairs.select(F.explode(F.array("a", "b")).alias("_id")), scratch)
+    out = scratch.settle(_similar(pairs, sets), "links")
+    scratch.drop(sets)
+    return out
+
+
+def _similar(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     left = sets.select(F.col("doc_id").alias("_a"), F.col("shingles").alias("x"))
     right = sets.select(F.col("doc_id").alias("_b"), F.col("shingles").alias("y"))
     both = pairs.join(left, F.col("a") == F.col("_a")).join(right, F.col("b") == F.col("_b"))
     common = F.size(F.array_intersect("x", "y"))
-    links = both.where(common >= SIMILARITY * (F.size("x") + F.size("y") - common)).select("a", "b")
-    out = scratch.settle(links, "links")
-    scratch.drop(ids, sets)
-    return out
+    return both.where(common >= SIMILARITY * (F.size("x") + F.size("y") - common)).select("a", "b")
 
 
 def near_duplicate_classes(docs: DataFrame, scratch: Scratch) -> DataFrame:
@@ -217,17 +266,19 @@ def near_duplicate_classes(docs: DataFrame, scratch: Scratch) -> DataFrame:
     links = _verified(known, likely, scratch)
     comps = scratch.settle(components(links, scratch), "comps")
 
-    named = met.where("n > 2").join(comps, "node", "left").select("node", "band", "bucket", "n", F.coalesce("comp", "node").alias("comp"))
+    sizes = comps.groupBy("comp").agg(F.count("*").alias("size")).withColumnRenamed("comp", "_comp")
+    sized = scratch.settle(comps.join(sizes, F.col("comp") == F.col("_comp")).select(F.col("node").alias("_node"), "comp", "size"), "sized")
+    named = met.where("n > 2").join(sized, F.col("node") == F.col("_node"), "left").select("node", "band", "bucket", F.coalesce("comp", "node").alias("comp"), F.coalesce("size", F.lit(1)).alias("size"))
+    named = named.withColumn("block", F.xxhash64("comp", F.pmod(F.xxhash64("node"), F.ceil(F.col("size") / MEMBERS))))
     open_buckets = named.groupBy("bucket").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("_n")).where("lo < hi").select(F.col("bucket").alias("_bucket"), F.ceil(F.col("_n") / CHUNK).alias("chunks"))
     rows = named.join(open_buckets, F.col("bucket") == F.col("_bucket"))
     own = F.pmod(F.xxhash64("node"), F.col("chunks"))
     rows = rows.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("chunks") - 1)))
     grp = F.xxhash64("bucket", F.least("own", "other"), F.greatest("own", "other"))
-    rows = rows.select("node", "comp", "band", grp.alias("grp"), F.col("own").alias("side"), (F.col("own") != F.col("other")).alias("two_sides"))
+    rows = rows.select("node", "comp", "size", "block", "band", grp.alias("grp"), F.col("own").alias("side"), (F.col("own") != F.col("other")).alias("two_sides"))
     rows = rows.join(nodes.select(F.col("node").alias("_node"), "sig"), F.col("node") == F.col("_node")).drop("_node")
-    cross = rows.repartition("grp").sortWithinPartitions("grp", "node").mapInArrow(_across, "a bigint, b bigint")
-    cross = scratch.settle(cross.distinct(), "cross")
-    more = _verified(known, cross, scratch)
+    cross = rows.repartition("grp").sortWithinPartitions("grp", "node").mapInArrow(_across, "node bigint, block bigint, partners array<bigint>")
+    more = _verified_blocks(known, scratch.settle(cross, "cross"), named.select("node", "block"), scratch)
     comps = components(links.union(more), scratch)
     classes = nodes.select("whole", "node").join(comps, "node", "left").select(F.col("whole").alias("_whole"), F.coalesce("comp", "node").alias("class_id"))
     return sketch.select("doc_id", "whole").join(classes, F.col("whole") == F.col("_whole")).select("doc_id", "class_id")
