@@ -25,7 +25,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from slowlens.llm.common import Scratch, table
+from slowlens.llm.common import Scratch, slices, table
 
 WINDOW, MIN_ITEM, COVERAGE, RUN, BLOOM_BITS, BROADCAST_IDS = 8, 5, 0.5, 13, 1 << 25, 1_000_000
 UNITS = frozenset("mm cm m km in ft yd mi mg g kg t lb lbs oz ml l cl gal ms s sec secs min mins h hr hrs hour hours minute minutes second seconds day days week weeks month months year years percent pct kb mb gb tb hz khz mhz ghz w kw kwh v mv a ma k c f j kj cal kcal usd eur gbp dollar dollars euro euros pound pounds cent cents mph kph".split())
@@ -100,7 +100,7 @@ _ROW = "key bigint, h1 bigint, h2 bigint, place int, size int, slots array<strin
 
 
 def _emit(batches: Iterator[pa.RecordBatch], key: str, lengths: list[int] | None, bits: np.ndarray | None) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
+    for batch in slices(batches):
         ids, texts = batch.column(key).to_pylist(), batch.column("text").to_pylist()
         start = 0
         while start < len(texts):
@@ -161,9 +161,9 @@ def contamination(docs: DataFrame, benchmark: DataFrame, scratch: Scratch) -> Da
 
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame, scratch: Scratch) -> DataFrame:
-    found = scratch.settle(contamination(docs, benchmark, scratch).select(F.col("doc_id").alias("_id")), "found")
+    found = scratch.settle(contamination(docs, benchmark, scratch).select(F.col("doc_id").alias("_slw_id")), "found")
     few = found.count() <= BROADCAST_IDS
-    return docs.join(F.broadcast(found) if few else found, F.col("doc_id").eqNullSafe(F.col("_id")), "left_anti")
+    return docs.join(F.broadcast(found) if few else found, F.col("doc_id").eqNullSafe(F.col("_slw_id")), "left_anti")
 
 
 def op10_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:

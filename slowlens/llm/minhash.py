@@ -287,9 +287,9 @@ def near_duplicate_classes(docs: DataFrame, scratch: Scratch) -> DataFrame:
 def drop_near_duplicates(docs: DataFrame, scratch: Scratch) -> DataFrame:
     """docs without the rows of which an earlier one of the class stays."""
     classes = scratch.settle(near_duplicate_classes(docs, scratch), "classes")
-    copies = classes.where("doc_id <> class_id").select(F.col("doc_id").alias("_id")).distinct()
+    copies = classes.where("doc_id <> class_id").select(F.col("doc_id").alias("_slw_id")).distinct()
     few = copies.count() <= BROADCAST_IDS
-    kept = docs.join(F.broadcast(copies) if few else copies, F.col("doc_id") == F.col("_id"), "left_anti")
+    kept = docs.join(F.broadcast(copies) if few else copies, F.col("doc_id") == F.col("_slw_id"), "left_anti")
     repeated = classes.groupBy("doc_id").count().where("count > 1").limit(1).count()
     return kept.dropDuplicates(["doc_id"]) if repeated else kept
 

@@ -25,7 +25,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from slowlens.llm.common import table
+from slowlens.llm.common import slices, table
 
 BASE = ("email", "ip", "card", "phone")
 ADDED = ("secret", "email_text", "phone_local", "iban", "ssn", "ipv6")
@@ -269,7 +269,7 @@ def find_personal_data(docs: DataFrame, with_text: bool = False) -> DataFrame:
     joined = lambda spans: ",".join(f"{k}:{a}:{b}" for k, a, b in spans)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in slices(batches):
             texts = batch.column("text").to_pylist()
             found = [redactions(t, trees, limits) for t in texts]
             counts = [[sum(s[0] == k for s in base) for base, _ in found] for k in BASE]

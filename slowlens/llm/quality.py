@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from slowlens.llm.common import table
+from slowlens.llm.common import slices, table
 
 SAMPLE, FIT_PARTS, WAVES, RIDGE, BANDWIDTH, SEED = 20_000, 8, 256, 1e-3, 4.0, 20240607
 ACCEPT = 0.3
@@ -99,7 +99,7 @@ def held_out(doc_id: Column) -> Column:
 
 
 def _described(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
+    for batch in slices(batches):
         stats = [statistics(t) for t in batch.column("text").to_pylist()]
         yield pa.RecordBatch.from_arrays([batch.column("part"), batch.column("y"), pa.array(stats, pa.list_(pa.float64()))], names=["part", "y", "stats"])
 
@@ -144,17 +144,17 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, waves: int =
         stats.unpersist()
 
 
-def score_documents(docs: DataFrame, model: QualityModel, keep: list[str]) -> DataFrame:
-    """The columns `keep` and `score`."""
+def score_documents(docs: DataFrame, model: QualityModel, keep: list[str], column: str = "score") -> DataFrame:
+    """The columns `keep` and the score under the name `column`."""
     types = {f.name: f.dataType.simpleString() for f in docs.schema.fields}
-    source = docs.select(*keep, F.col("text").alias("_text"))
+    source = docs.select(*keep, F.col("text").alias("_slw_text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            stats = np.array([statistics(t) for t in batch.column("_text").to_pylist()]).reshape(-1, len(STATS))
-            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in keep), pa.array(model.score(stats), pa.float64())], names=[*keep, "score"])
+        for batch in slices(batches):
+            stats = np.array([statistics(t) for t in batch.column("_slw_text").to_pylist()]).reshape(-1, len(STATS))
+            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in keep), pa.array(model.score(stats), pa.float64())], names=[*keep, column])
 
-    return source.mapInArrow(run, ", ".join([*(f"`{c}` {types[c]}" for c in keep), "score double"]))
+    return source.mapInArrow(run, ", ".join([*(f"`{c}` {types[c]}" for c in keep), f"`{column}` double"]))
 
 
 def op3_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
