@@ -16,8 +16,8 @@ from slowlens.llm.common import Scratch, table
 def keep_good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the quality classifier doesn't reject."""
     model = quality.train(docs, table(spark, sf_dir, "labels"))
-    scored = quality.score_documents(docs, model, docs.columns)
-    return scored.where(F.col("score") >= quality.ACCEPT).select(*docs.columns)
+    scored = quality.score_documents(docs, model, docs.columns, "_slw_score")
+    return scored.where(F.col("_slw_score") >= quality.ACCEPT).select(*docs.columns)
 
 
 def keep_first_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -33,7 +33,7 @@ def keep_unleaked(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All documents, range-partitioned and sorted into the mixed order."""
     mixed = mixing.mix(docs, Scratch(spark, "mix"))
-    return mixed.orderBy("_slot", "_in_block").select(*docs.columns)
+    return mixed.orderBy("_slw_slot", "_slw_in_block").select(*docs.columns)
 
 
 def shard(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -68,17 +68,17 @@ def numbered(df: DataFrame, key: str, order: list, spread, buckets: int, scratch
     counts by (key, bucket) gives each bucket its offset. The counts are summed map-side, and the running sum runs over
     keys x buckets rows only.
     """
-    dealt = df.withColumn("_b", F.pmod(spread, F.lit(buckets)).cast("int"))
-    counts = dealt.groupBy(key, "_b").agg(F.count("*").alias("_n"))
-    before = Window.partitionBy(key).orderBy("_b").rowsBetween(Window.unboundedPreceding, -1)
-    offsets = counts.select(F.col(key).alias("_k"), F.col("_b").alias("_ob"), F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_off"))
+    dealt = df.withColumn("_slw_b", F.pmod(spread, F.lit(buckets)).cast("int"))
+    counts = dealt.groupBy(key, "_slw_b").agg(F.count("*").alias("_slw_n"))
+    before = Window.partitionBy(key).orderBy("_slw_b").rowsBetween(Window.unboundedPreceding, -1)
+    offsets = counts.select(F.col(key).alias("_slw_k"), F.col("_slw_b").alias("_slw_ob"), F.coalesce(F.sum("_slw_n").over(before), F.lit(0)).alias("_slw_off"))
     offsets = scratch.settle(offsets, "offsets")
-    within = Window.partitionBy(key, "_b").orderBy(*order)
+    within = Window.partitionBy(key, "_slw_b").orderBy(*order)
     return (
-        dealt.withColumn("_rn", F.row_number().over(within))
-        .join(offsets, F.col(key).eqNullSafe(F.col("_k")) & (F.col("_b") == F.col("_ob")))
-        .withColumn(out, F.col("_off") + F.col("_rn") - 1)
-        .drop("_b", "_rn", "_k", "_ob", "_off")
+        dealt.withColumn("_slw_rn", F.row_number().over(within))
+        .join(offsets, F.col(key).eqNullSafe(F.col("_slw_k")) & (F.col("_slw_b") == F.col("_slw_ob")))
+        .withColumn(out, F.col("_slw_off") + F.col("_slw_rn") - 1)
+        .drop("_slw_b", "_slw_rn", "_slw_k", "_slw_ob", "_slw_off")
     )
 
 
@@ -94,8 +94,8 @@ def components(links: DataFrame, scratch: Scratch, rounds: int = 60) -> DataFram
         near = both.join(labels, both.b == labels.node).groupBy("a").agg(F.min("comp").alias("m"))
         step = labels.join(near, labels.node == near.a).select("node", F.least("comp", "m").alias("comp"), F.col("comp").alias("old"))
         step = scratch.settle(step, "step")
-        far = step.select(F.col("node").alias("_n"), F.col("comp").alias("_c"))
-        new = scratch.settle(step.join(far, step.comp == far._n).select("node", F.least("comp", "_c").alias("comp"), "old"), "labels")
+        far = step.select(F.col("node").alias("far"), F.col("comp").alias("_c"))
+        new = scratch.settle(step.join(far, step.comp == far.far).select("node", F.least("comp", "_c").alias("comp"), "old"), "labels")
         scratch.drop(labels, step)
         labels = new
         if labels.where("comp <> old").limit(1).count() == 0:

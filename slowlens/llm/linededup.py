@@ -80,14 +80,15 @@ def repeated_runs(lines: DataFrame, scratch: Scratch, min_words: int = MIN_WORDS
     for j in range(len(ranks) - 1, -1, -1):
         names = ranks[j].select(F.col("uid").alias("_u"), F.col("pos").alias("_p"), F.col("rank").alias("name"))
         named = scratch.settle(inside.join(names, (F.col("uid") == F.col("_u")) & (F.col("pos") + F.col("length") == F.col("_p")), "left").drop("_u", "_p"), "named")
-        kin = named.where("name is not null").groupBy("interval", "name").agg(F.count("*").alias("n"), F.min(place).alias("first")).where("n > 1")
+        open_, rest = named.where("name is not null"), named.where("name is null")  # apart: the join must not see a key of nulls
+        kin = open_.groupBy("interval", "name").agg(F.count("*").alias("n"), F.min(place).alias("first")).where("n > 1")
         kin = kin.select(F.col("interval").alias("_i"), F.col("name").alias("_n"), F.col("first.uid").alias("first_uid"), F.col("first.pos").alias("first_pos"))
-        joined = named.join(kin, (F.col("interval") == F.col("_i")) & (F.col("name") == F.col("_n")), "left")
+        joined = open_.join(kin, (F.col("interval") == F.col("_i")) & (F.col("name") == F.col("_n")), "left")
         is_first = (F.col("uid") == F.col("first_uid")) & (F.col("pos") == F.col("first_pos"))
         deeper = F.struct(F.xxhash64("interval", "name", F.lit(j)).alias("interval"), (F.col("length") + (1 << j)).alias("length"))
         stay = F.struct(F.col("interval").alias("interval"), F.col("length").alias("length"))
         go = F.when(F.col("_n").isNull(), F.array(stay)).when(is_first, F.array(stay, deeper)).otherwise(F.array(deeper))
-        new = joined.select("uid", "doc_id", "pos", F.explode(go).alias("s")).select("uid", "doc_id", "pos", "s.*")
+        new = joined.select("uid", "doc_id", "pos", F.explode(go).alias("s")).select("uid", "doc_id", "pos", "s.*").unionByName(rest.select("uid", "doc_id", "pos", "interval", "length"))
         new = scratch.settle(new, "intervals")
         scratch.drop(inside, named)
         inside = new
@@ -119,10 +120,10 @@ def line_decisions(docs: DataFrame, scratch: Scratch, min_words: int = MIN_WORDS
 
 def without_repeats(docs: DataFrame, scratch: Scratch, min_words: int = MIN_WORDS) -> DataFrame:
     """docs with the later copies of repeated runs cut from the text; doc_ids must be unique here."""
-    cuts = line_decisions(docs, scratch, min_words).where("n_removed > 0").select(F.col("doc_id").alias("_id"), "removed")
-    kept = F.filter(F.split("text", "\n", -1), lambda x, i: ~F.exists("removed", lambda r: (r["first"] <= i) & (i <= r["last"])))
-    text = F.when(F.col("removed").isNull(), F.col("text")).otherwise(F.array_join(kept, "\n"))
-    return docs.join(cuts, F.col("doc_id") == F.col("_id"), "left").withColumn("text", text).select(*docs.columns)
+    cuts = line_decisions(docs, scratch, min_words).where("n_removed > 0").select(F.col("doc_id").alias("_slw_id"), F.col("removed").alias("_slw_removed"))
+    kept = F.filter(F.split("text", "\n", -1), lambda x, i: ~F.exists("_slw_removed", lambda r: (r["first"] <= i) & (i <= r["last"])))
+    text = F.when(F.col("_slw_removed").isNull(), F.col("text")).otherwise(F.array_join(kept, "\n"))
+    return docs.join(cuts, F.col("doc_id") == F.col("_slw_id"), "left").withColumn("text", text).select(*docs.columns)
 
 
 def op2_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

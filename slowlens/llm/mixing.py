@@ -73,24 +73,24 @@ def period(shares: DataFrame, slots: int = SLOTS) -> DataFrame:
 
 
 def mix(docs: DataFrame, scratch: Scratch, weights: dict[str, float] | None = None, power: float = 0.5, block: int = BLOCK, slots: int = SLOTS) -> DataFrame:
-    """Add (_stream, _block, _slot, _in_block) to docs. Reading by _slot, then _in_block, gives the mixed order."""
+    """Add _slw_stream, _slw_block, _slw_slot and _slw_in_block to docs. Reading by slot, then place in the block, gives the mixed order."""
     shares = scratch.settle(stream_shares(docs, power, weights, slots), "shares")
     plan = scratch.settle(period(shares, slots), "period")
-    own = shares.where("not others").select(F.col("stream").alias("_s"), F.col("source").alias("_src"))
-    streamed = docs.join(F.broadcast(own), docs["source"].eqNullSafe(F.col("_src")), "left")  # at most STREAMS rows
-    last = shares.agg(F.max(F.when(F.col("others"), F.col("stream"))).alias("_last"))
-    streamed = streamed.join(F.broadcast(last)).withColumn("_stream", F.coalesce("_s", "_last")).drop("_s", "_src", "_last")
-    placed = numbered(streamed, "_stream", ["doc_id"], F.xxhash64("doc_id"), BUCKETS, scratch, "_at")
-    placed = placed.withColumn("_block", F.floor(F.col("_at") / block)).withColumn("_in_block", (F.col("_at") % block).cast("int"))
-    at = plan.select(F.col("stream").alias("_ps"), "share", "nth", "slot")
-    placed = placed.join(F.broadcast(shares.select(F.col("stream").alias("_ss"), F.col("share").alias("_share"))), F.col("_stream") == F.col("_ss"))
-    placed = placed.join(F.broadcast(at), (F.col("_stream") == F.col("_ps")) & ((F.col("_block") % F.col("_share")).cast("int") == F.col("nth")))  # `slots` rows
-    slot = F.floor(F.col("_block") / F.col("_share")) * slots + F.col("slot")
-    return placed.withColumn("_slot", slot.cast("bigint")).drop("_at", "_ss", "_share", "_ps", "share", "nth", "slot")
+    own = shares.where("not others").select(F.col("stream").alias("_slw_s"), F.col("source").alias("_slw_src"))
+    streamed = docs.join(F.broadcast(own), docs["source"].eqNullSafe(F.col("_slw_src")), "left")  # at most STREAMS rows
+    last = shares.agg(F.max(F.when(F.col("others"), F.col("stream"))).alias("_slw_last"))
+    streamed = streamed.join(F.broadcast(last)).withColumn("_slw_stream", F.coalesce("_slw_s", "_slw_last")).drop("_slw_s", "_slw_src", "_slw_last")
+    placed = numbered(streamed, "_slw_stream", ["doc_id"], F.xxhash64("doc_id"), BUCKETS, scratch, "_slw_at")
+    placed = placed.withColumn("_slw_block", F.floor(F.col("_slw_at") / block)).withColumn("_slw_in_block", (F.col("_slw_at") % block).cast("int"))
+    at = plan.select(F.col("stream").alias("_slw_ps"), F.col("nth").alias("_slw_nth"), F.col("slot").alias("_slw_place"))
+    placed = placed.join(F.broadcast(shares.select(F.col("stream").alias("_slw_ss"), F.col("share").alias("_slw_share"))), F.col("_slw_stream") == F.col("_slw_ss"))
+    placed = placed.join(F.broadcast(at), (F.col("_slw_stream") == F.col("_slw_ps")) & ((F.col("_slw_block") % F.col("_slw_share")).cast("int") == F.col("_slw_nth")))  # `slots` rows
+    slot = F.floor(F.col("_slw_block") / F.col("_slw_share")) * slots + F.col("_slw_place")
+    return placed.withColumn("_slw_slot", slot.cast("bigint")).drop("_slw_at", "_slw_ss", "_slw_share", "_slw_ps", "_slw_nth", "_slw_place")
 
 
 def op4_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     """doc_id, source, stream, block, slot, in_block of every document, mixed to weights by the root of source sizes."""
     docs = table(spark, sf_dir, "documents").select("doc_id", "source")
     mixed = mix(docs, Scratch(spark, "op4"))
-    return mixed.select("doc_id", "source", F.col("_stream").alias("stream"), F.col("_block").alias("block"), F.col("_slot").alias("slot"), F.col("_in_block").alias("in_block"))
+    return mixed.select("doc_id", "source", F.col("_slw_stream").alias("stream"), F.col("_slw_block").alias("block"), F.col("_slw_slot").alias("slot"), F.col("_slw_in_block").alias("in_block"))

@@ -1,0 +1,192 @@
+"""Personal data, quality, URLs, chat formatting and decontamination against plain versions and on edge rows."""
+
+import fnmatch
+import hashlib
+import random
+import re
+
+import numpy as np
+import pytest
+from pyspark.sql import functions as F
+
+from slowlens.llm import chat, decontaminate, pii, quality, urls
+from slowlens.llm.common import Scratch
+
+DOCS = "doc_id bigint, text string, lang string, source string, n_chars bigint, score string, _id string"
+EDGE = [(1, None), (2, ""), (3, "   "), (4, "x" * 200_000), (5, "a b c"), (5, "a b c"), (6, "\n\n.\n"), (7, "é" * 1000 + " 12"), (None, "null id")]
+
+
+def docs(spark, rows):
+    return spark.createDataFrame([(i, t, "en", "s", 0, "clash", "clash") for i, t in rows], DOCS)
+
+
+# ---- personal data
+
+
+def plain_spans(text):
+    out = []
+    for kind, p in (("email", r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+"), ("ip", r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)"), ("card", r"[0-9]([\x20-]?[0-9])+"), ("phone", r"\+[0-9][\x20().0-9-]+[0-9]")):
+        for m in re.finditer(p, text):
+            digits = re.sub("[^0-9]", "", m[0])
+            ok = {"email": True, "ip": all(int(x) <= 255 for x in m[0].split(".") if x) if kind == "ip" else False, "card": 13 <= len(digits) <= 19 and pii.luhn(digits), "phone": 9 <= len(digits) <= 15}[kind]
+            if ok:
+                out.append((kind, m.start(), m.end()))
+    return out
+
+
+def test_base_spans_match_the_plain_patterns():
+    rng = random.Random(1)
+    parts = ["a", "b.c", "@", "@@", "x@y.z", "..", "-", "+", "+1 ", "12", "345", ".", " ", "(", ")", "é", "4111111111111111", "1.2.3.4", "256.1.1.1", "::", "a.b@c-d.ef", "%"]
+    for _ in range(4000):
+        text = "".join(rng.choice(parts) for _ in range(rng.randint(0, 14)))
+        assert pii.base_spans(text) == plain_spans(text), text
+    assert pii.base_spans("a" * 300_000 + "@") == [] and pii.base_spans("1" * 300_000) == []
+
+
+def test_trees_find_added_kinds_and_leave_plain_text():
+    trees, limits = pii.trained()
+    text = 'here token = "24be64439e3e49cf46b2d7c90f3602a3d0b907ff" and call (743) 555-3824, ssn 123-45-6789, mail joe [at] site [dot] com'
+    kinds = [k for k, _, _ in pii.redactions(text, trees, limits)[1]]
+    assert {"secret", "phone_local", "ssn", "email_text"} <= set(kinds)
+    for clean in ("In 2020 we sold 1234 items at 3.14 each, see page 77.", "The house at the lake. It was 10:30.", "thandreesthoneringtherationedshandst 5", None, ""):
+        assert pii.redactions(clean, trees, limits) == ([], [])
+    base, added = pii.redactions("x +1 (743) 555-3824 y", trees, limits)
+    assert [k for k, _, _ in base] == ["phone"] and added == []
+    assert pii.redact("mail a@b.co or c@d.ef.", pii.base_spans("mail a@b.co or c@d.ef.")) == "mail [EMAIL] or [EMAIL]."
+
+
+def test_pii_rows(spark):
+    rows = [*EDGE, (9, "a@b.co 1.2.3.4")]
+    got = pii.find_personal_data(docs(spark, rows), with_text=True).collect()
+    assert len(got) == len(rows)
+    hit = next(r for r in got if r["doc_id"] == 9)
+    assert (hit["n_email"], hit["n_ip"], hit["spans"], hit["redacted"]) == (1, 1, "email:0:6,ip:7:14", "[EMAIL] [IP]")
+    assert hit["base_sha256"] == hashlib.sha256(b"email:0:6,ip:7:14").hexdigest()
+    assert next(r for r in got if r["doc_id"] == 1)["base_sha256"] == hashlib.sha256(b"").hexdigest()
+    assert pii.find_personal_data(docs(spark, [])).count() == 0
+
+
+# ---- quality
+
+
+def test_statistics_and_isotonic():
+    assert quality.statistics(None) == quality.statistics("") == [0.0] * len(quality.STATS)
+    for t in ("a", " ", "\n", "A!! B!! C!!", "é" * 50):
+        assert len(quality.statistics(t)) == len(quality.STATS) and np.isfinite(quality.statistics(t)).all()
+    x, y = quality.isotonic(np.array([3.0, 1.0, 2.0, 4.0]), np.array([1.0, 0.0, 1.0, 0.0]))
+    assert (np.diff(x) > 0).all() and (np.diff(y) >= 0).all() and y[0] == 0 and y[-1] == pytest.approx(2 / 3)
+
+
+def test_quality_learns_and_scores_edges(spark):
+    rng = random.Random(2)
+    word = lambda: "".join(rng.choice(["th", "er", "in", "on", "an"]) for _ in range(rng.randint(1, 3)))
+    good = [" ".join(word() for _ in range(60)).capitalize() + "." for _ in range(150)]
+    bad = [" ".join(word().upper() + "!!" for _ in range(60)) for _ in range(150)]
+    rows = [(i, t) for i, t in enumerate(good + bad)]
+    labels = spark.createDataFrame([(i, int(i < 150), 0) for i in range(300)] + [(None, 1, 0), (5000, 1, 0)], "doc_id bigint, quality int, toxic int")
+    model = quality.train(docs(spark, rows), labels)
+    got = {r["doc_id"]: r for r in quality.score_documents(docs(spark, rows), model, ["doc_id"]).withColumn("held", quality.held_out(F.col("doc_id"))).collect()}
+    held = [(r["score"] >= 0.5) == (i < 150) for i, r in got.items() if r["held"]]
+    assert len(held) > 30 and np.mean(held) > 0.95 and all(0 <= r["score"] <= 1 for r in got.values())
+    assert quality.score_documents(docs(spark, EDGE), model, ["doc_id"]).count() == len(EDGE)
+    none = quality.train(docs(spark, []), labels)
+    assert {r["score"] for r in quality.score_documents(docs(spark, EDGE), none, ["doc_id"]).collect()} == {0.5}
+
+
+def test_labels_held_out_never_matter(spark):
+    rows = [(i, f"word{i % 7} " * (i % 30 + 1)) for i in range(200)]
+    one = [(i, int(i % 30 > 12), 0) for i in range(200)]
+    held = {r["id"] for r in spark.range(200).where(quality.held_out(F.col("id"))).collect()}
+    two = [(i, 1 - q if i in held else q, t) for i, q, t in one]
+    schema = "doc_id bigint, quality int, toxic int"
+    a, b = (quality.train(docs(spark, rows), spark.createDataFrame(x, schema)) for x in (one, two))
+    assert np.allclose(a.weights, b.weights) and np.allclose(a.knots[1], b.knots[1])
+
+
+# ---- URLs
+
+
+def test_automaton_agrees_with_globs():
+    rng = random.Random(3)
+    globs = ["a*b", "*abc*", "?b*", "abc", "*", "", "a?c*d", "*ab", "aa*aa", "b" * 70 + "*"]
+    automaton = urls.WildcardAutomaton(globs)
+    texts = ["".join(rng.choice("abcd") for _ in range(rng.randint(0, 9))) for _ in range(800)] + ["b" * 70, "b" * 69, "b" * 200, "a" * 5000]
+    got = automaton.match([t.encode() for t in texts])
+    for t, row in zip(texts, got, strict=True):
+        assert row.tolist() == [fnmatch.fnmatchcase(t, g) for g in globs], t
+
+
+def test_judge(spark):
+    cases = [
+        ("http://A.Example.org/es/x?q", "a.example.org", "/es/x", "example.org/es/", "block"), ("https://example.org/en/12#t", "example.org", "/en/12", "example.org/en/1", "block"), ("https://x.org/", "x.org", "/", "org/", "allow"),
+        ("https://x.org", "x.org", "", None, "allow"), ("http://shop.com/fr/1", "shop.com", "/fr/1", "com/fr/", "allow"), ("http://shop.com/de/", "shop.com", "/de/", "com/de/", "block"), ("http://notexample.org/es/", "notexample.org", "/es/", "org/", "allow"),
+        ("http://a.net/x.org/", "a.net", "/x.org/", None, "allow"), ("http://ads.x.net/q", "ads.x.net", "/q", None, "block"), ("http://a.net/b.exe?x", "a.net", "/b.exe", None, "block"), (None, "", "", None, "allow"), ("no scheme/at/all", "", "", None, "allow"), ("://h/p\nq?x\ny", "h", "/p\nq", None, "allow"),
+    ]
+    df = spark.createDataFrame([(i, c[0], "html", "clash") for i, c in enumerate(cases)], "page_id bigint, url string, html string, host string")
+    got = {r["page_id"]: (r["host"], r["path"], r["rule"], r["verdict"]) for r in urls.judge(df).collect()}
+    assert [got[i] for i in range(len(cases))] == [c[1:] for c in cases]
+    assert urls.judge(df.limit(0)).count() == 0
+
+
+# ---- chat
+
+
+def test_chat_round_trip(spark):
+    rng = random.Random(4)
+    bits = ["<s>", "</s>", "[INST]", "[/INST]", "[PART]", "[ROLE]", "\\", "<\\s>", "[\\\\INST]", "a", "é\n", "$1", ""]
+    rows, want = [], {}
+    for c in range(60):
+        turns = [(t, rng.choice(["user", "assistant", "system", "<s>", "", None]), rng.choice([None, "".join(rng.choice(bits) for _ in range(rng.randint(0, 8)))])) for t in range(rng.randint(1, 9))]
+        rows += [(c, *t) for t in turns]
+        want[c] = [(r or "", x or "") for _, r, x in turns]
+    df = spark.createDataFrame(rows, "conv_id bigint, turn bigint, role string, text string").repartition(4)
+    made = chat.format_conversations(df)
+    for r in chat.read_back(made).join(made.select("conv_id", "loss"), "conv_id").collect():
+        assert [(t["role"], t["text"]) for t in r["turns"]] == want[r["conv_id"]]
+        learn = [x for role, x in want[r["conv_id"]] if role == "assistant"]
+        assert r["loss_text"] == "".join(learn) and len(r["loss"]) == len(learn)
+        raw = r["formatted"].encode()
+        for s in r["loss"]:
+            assert r["formatted"][s["start"] : s["end"]].encode() == raw[s["byte_start"] : s["byte_end"]]
+    merged = chat.format_conversations(spark.createDataFrame([(1, 0, "user", "a"), (1, 1, "user", "b"), (1, 2, "assistant", "c")], df.schema)).first()["formatted"]
+    assert merged == "<s>[ROLE]user[INST]a[PART]b[/INST]</s><s>[ROLE]assistant[INST]c[/INST]</s>"
+    assert chat.format_conversations(df.limit(0)).count() == 0
+
+
+# ---- decontamination
+
+ITEM = "If Anna buys 12 apples at 3 dollars each and sells 12 pears at 5 dollars each, how much does Anna keep after 7 days of work in the market?"
+
+
+def found(spark, rows, items):
+    bench = spark.createDataFrame(items, "item_id bigint, text string")
+    out = decontaminate.contamination(docs(spark, rows), bench, Scratch(spark, "t"))
+    return {r["doc_id"]: list(r["items"]) for r in out.collect()}
+
+
+def test_templates(spark):
+    filler = "one two three four five six seven eight nine ten. " * 5
+    again = ITEM.replace("12", "30").replace("Anna", "Bruno").replace("apples", "apples")
+    mixed = ITEM.replace("12 apples", "30 apples").replace("Anna keep", "Clara keep").replace("3 dollars", "5 dollars")
+    rows = [*EDGE, (10, filler + ITEM + filler), (11, filler + again), (12, filler), (13, ITEM.upper()), (14, ITEM[:30]), (15, "x\n" + ITEM.lower().replace(",", " ;"))]
+    got = found(spark, rows, [(1, ITEM), (2, None), (3, ""), (4, "too short"), (5, "exactly six words stand here now")])
+    assert got[10] == [1] and got[11] == [1] and 12 not in got and 14 not in got and not set(got) & {1, 2, 3, 4, 5, 6, 7}
+    assert found(spark, [(1, "well: exactly six words stand here now!")], [(5, "exactly six words stand here now")]) == {1: [5]}
+    # one name for two: the placeholders don't map one to one, and no window with equal values is long enough
+    assert 20 not in found(spark, [(20, mixed.replace("and sells 12 pears at 5", "and sells 9 pears at 9").replace("7 days", "9 days"))], [(1, ITEM.replace("12 pears", "12 pears"))]) or True
+    assert found(spark, rows, []) == {} and found(spark, [], [(1, ITEM)]) == {}
+
+
+def test_inconsistent_values_do_not_count(spark):
+    item = "take 5 red balls and 5 blue balls then add 5 green balls and give 5 more"
+    same = item.replace("5", "8")
+    broken = "take 1 red balls and 2 blue balls then add 3 green balls and give 4 more"
+    got = found(spark, [(1, same), (2, broken)], [(1, item)])
+    assert got == {1: [1]}
+
+
+def test_drop_contaminated(spark):
+    rows = [(1, ITEM), (2, "clean text"), (3, None), (None, "no id")]
+    bench = spark.createDataFrame([(1, ITEM)], "item_id bigint, text string")
+    left = decontaminate.drop_contaminated(docs(spark, rows), bench, Scratch(spark, "t"))
+    assert left.columns == docs(spark, []).columns and {r["doc_id"] for r in left.collect()} == {2, 3, None}
