@@ -113,6 +113,14 @@ class Session:
         names = F.array_join(F.array_sort(F.transform("p", lambda i: F.element_at(F.lit(self.labels), i + 1))), " & ")
         return cands.withColumn("description", names).withColumn("n_sel", F.size("p")).withColumn("score", scored(measure, self.norms))
 
+    def with_tight(self, cands: DataFrame, patterns: list[tuple[int, ...]], m: Measure, floor: int) -> DataFrame:
+        """Add `tight`, the exact optimum over all refinements, from each candidate's rows in falling order of target."""
+        rows = counting.refinements(self.encoded.select("t", "sels"), patterns, self.blocked, True)
+        rows = rows.join(cands.select(F.col("p").alias("_p")), F.col("p") == F.col("_p"), "left_semi")
+        make = bounds.tight_family if m.bound == "family" else bounds.tight_median
+        best = make(rows, ["p"], "t", m.a or 0.0, self.norms, floor).select(F.col("p").alias("_p"), F.col("bound").alias("tight"))
+        return cands.join(best, F.col("p") == F.col("_p"), "left").drop("_p")
+
     def collect(self, df: DataFrame) -> list[dict]:
         return [{k: r[k] for k in (*KEPT, "description")} | {"p": tuple(r["p"])} for r in df.collect()]
 
@@ -165,6 +173,8 @@ def exhaustive(
     m = get(measure)
     if m.a == 0.0 and min_support is None and not allow_small:
         raise ValueError(f"{m.name} ignores size: give min_support, or allow_small=True")
+    if bound not in ("none", "moment", "tight"):
+        raise ValueError("bound is none, moment or tight")
     if order not in ("depth", "level", "best"):
         raise ValueError("order is depth, level or best")
     floor = min_support if min_support is not None else session.default_floor()
@@ -188,6 +198,8 @@ def exhaustive(
             continue
         cands = session.candidates(alive, m, floor, True)
         estimate = bounds.estimate(m, session.norms, floor, binary) if bound != "none" else F.lit(None).cast("double")
+        if bound == "tight" and not binary and m.bound in ("family", "median"):
+            cands, estimate = session.with_tight(cands, alive, m, floor), F.col("tight")
         # the score is rounded, so is the estimate's margin
         cands = cands.withColumn("bound", F.coalesce(estimate + 1e-8, F.lit(float("inf"))))
         cands = cands.persist()
@@ -231,3 +243,20 @@ def brute(session: Session, measure: str | Measure = "wracc", k: int = 10, depth
     order = [F.desc("score")] if ties else [F.desc("score"), F.asc("n_sel"), F.asc("description")]
     ranked = _top_with_ties(rows, k).withColumn("rank", F.rank().over(Window.orderBy(*order)))  # a result-size table
     return ranked.where(F.col("rank") <= k).select("rank", "description", "n_sel", F.col("n").alias("size"), F.round(F.col("s1").cast("double") / F.col("n"), 6).alias("mean"), F.round("score", 6).alias("score"))
+
+
+def null_scores(ds: SubgroupDataset, selectors: list[Selector], measure: str, rounds: int = 20, depth: int = 1, width: int = 50, grid: int = 1000) -> list[float]:
+    """Best scores that chance alone gives: each round draws every row's target anew from the whole distribution.
+
+    The draw is a hash of row and round into `grid` quantiles of the target, so it needs no shuffle and can be repeated.
+    """
+    at = [i / grid for i in range(grid + 1)]
+    levels = ds.rows().agg(F.percentile(F.col("t").cast("double"), at)).first()[0]
+    out = []
+    for r in range(rounds):
+        draw = F.element_at(F.lit(levels), (F.pmod(F.xxhash64(F.lit(r), F.col(ds.oid)), F.lit(grid + 1)) + 1).cast("int"))
+        session = Session(ds.with_target(draw), selectors, get(measure).needs == "median")
+        found = beam(session, measure, 1, depth, width)
+        session.close()
+        out.append(found.rows[0]["score"] if found.rows else float("-inf"))
+    return out

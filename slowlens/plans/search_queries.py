@@ -142,6 +142,7 @@ _exhaustive("a_exhaustive_d3", 3, "mean_test", nominals=("event_type",), cuts={"
 _exhaustive("a_exhaustive_binary", 2, "binomial", "slow")
 _exhaustive("a_exhaustive_best_first", 2, "mean_test", order="best", batch=12)
 _exhaustive("a_exhaustive_level_wise", 2, "mean_test", order="level", batch=12)
+_exhaustive("a_exhaustive_tight", 2, "mean_test", bound="tight", batch=12)
 _exhaustive("a_exhaustive_no_bound", 2, "mean_test", bound="none")
 _exhaustive("a_average_min_size", 2, "average", min_support=100)
 _exhaustive("a_two_sided", 2, "wracc_abs", "slow")

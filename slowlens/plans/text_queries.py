@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from slowlens.functions import sqltext
-from slowlens.operators import enrich, stats, targets
+from slowlens.operators import enrich, selectors, stats, targets
 from slowlens.operators.dataset import SubgroupDataset
-from slowlens.plans import oracle
+from slowlens.plans import oracle, search, search_queries
 from slowlens.plans.registry import query
 from slowlens.sources import datasets
 from slowlens.session import load
@@ -146,15 +148,43 @@ def _stats_sql(ds: str, dense: list[str], tokens: str | None) -> str:
 query("p_dataset_stats", _stats_sql(oracle.ORDERS, ["c_mktsegment", "o_orderstatus", "o_orderpriority"], oracle.ORDER_TOKENS))(lambda spark, d: stats.dataset_stats(datasets.orders_set(spark, d)))
 query("w_dataset_stats_documents", _stats_sql(oracle.DOCS, ["n_chars", "n_words", "n_lines", "lang", "source"], oracle.DOC_TOKENS))(lambda spark, d: stats.dataset_stats(datasets.documents_set(spark, d)))
 
+L_DENSE = ["l_quantity", "p_size", "l_returnflag", "l_linestatus", "p_brand", "p_type", "c_mktsegment"]
 E_DENSE = ["k", "hour", "dow", "event_type", "c_mktsegment", "r_name", "n_name"]
 
 
-@query("w_dataset_stats", " UNION ALL ".join(f"SELECT '{n}' AS slice, * FROM ({_stats_sql(s, c, None)})" for n, s, c in [("All", oracle.EVENTS, E_DENSE), ("D3", f"SELECT * FROM ({oracle.EVENTS}) WHERE server % 3 = 1", E_DENSE)]))
+def _slices() -> list[tuple]:
+    """Name, maker, SQL and dense columns of the whole log and of the four slices."""
+    q = search_queries
+    return [("All", datasets.events_frame, oracle.EVENTS, E_DENSE), ("D1", q.slice_d1, q.D1_SQL, L_DENSE), ("D2", q.slice_d2, q.D2_SQL, L_DENSE), ("D3", q.slice_d3, q.D3_SQL, E_DENSE), ("D4", q.slice_d4, q.D4_SQL, E_DENSE)]
+
+
+@query("w_dataset_stats", " UNION ALL ".join(f"SELECT '{n}' AS slice, * FROM ({_stats_sql(s, c, None)})" for n, _, s, c in _slices()))
 def w_dataset_stats(spark: SparkSession, d: str) -> DataFrame:
-    frame = datasets.events_frame(spark, d)
-    make = lambda df: SubgroupDataset(df, numeric=("k", "hour", "dow"), nominal=("event_type", "c_mktsegment", "r_name", "n_name"))
-    parts = [stats.dataset_stats(make(df)).select(F.lit(n).alias("slice"), "*") for n, df in (("All", frame), ("D3", frame.where("server % 3 = 1")))]
-    return parts[0].unionByName(parts[1])
+    parts = []
+    for name, make, _, dense in _slices():
+        numeric = tuple(c for c in dense if c in ("k", "hour", "dow", "l_quantity", "p_size"))
+        ds = SubgroupDataset(make(spark, d), numeric=numeric, nominal=tuple(c for c in dense if c not in numeric))
+        parts.append(stats.dataset_stats(ds).select(F.lit(name).alias("slice"), "*"))
+    return reduce(DataFrame.unionByName, parts)
+
+
+_DOMINANT = f"SELECT substr(token, strpos(token, '_') + 1) FROM ({TOKEN_SQL}) WHERE token LIKE 'FROM%' OR token LIKE 'JOIN%' GROUP BY 1 ORDER BY count(*) DESC, 1 LIMIT 1"
+_DOMINANT_DS = f"SELECT l.*, l.time_s AS t FROM ({oracle.LOG}) l WHERE oid IN (SELECT oid FROM ({TOKEN_SQL}) WHERE token IN ('FROM_' || ({_DOMINANT}), 'JOIN_' || ({_DOMINANT})))"
+
+
+@query("w_rq1_dominant_table", oracle.search(_DOMINANT_DS, oracle.selectors(("event_type",), {"k": [25, 50, 75]}) + " UNION ALL " + oracle.token_counts(TOKEN_SQL), "wracc", 10, 2, None, None, True, "CASE WHEN time_s > 25 THEN 1 ELSE 0 END"))
+def w_rq1_dominant_table(spark: SparkSession, d: str) -> DataFrame:
+    """Statements on the most used table: which clauses go with slow ones."""
+    df = sqltext.with_tokens(statements(spark, d)).withColumn("t", (F.col("time_s") > 25).cast("int")).withColumnsRenamed({"kind": "event_type", "nrows": "k"})
+    used = df.select(F.explode("tokens").alias("token", "n")).where("token like 'FROM%' or token like 'JOIN%'")
+    top = used.groupBy(F.regexp_replace("token", "^[A-Z]+_", "").alias("name")).agg(F.count("*").alias("n")).orderBy(F.desc("n"), "name").first()["name"]
+    df = df.where(F.array_contains(F.map_keys("tokens"), f"FROM_{top}") | F.array_contains(F.map_keys("tokens"), f"JOIN_{top}"))
+    ds = SubgroupDataset(df, numeric=("k",), nominal=("event_type",), tokens="tokens")
+    session = search.Session(ds, selectors.nominal(ds, ["event_type"]) + selectors.numeric("k", [25, 50, 75]) + selectors.tokens(ds, 1), False)
+    try:
+        return search.exhaustive(session, "wracc", 10, 2, binary=True).frame(spark)
+    finally:
+        session.close()
 
 
 @query("p_clause_stats", f"SELECT string_split(token, '_')[1] AS clause, CAST(count(DISTINCT token) AS BIGINT) AS tokens FROM ({TOKEN_SQL}) GROUP BY 1")

@@ -57,7 +57,7 @@ def test_all_searches_find_the_same(spark, session, measure):
     wide = search.beam(session, width=10_000, **options)
     assert [(round(r["score"], 6), r["description"]) for r in wide.rows] == want
     for order in ("depth", "level", "best"):
-        for bound in ("moment", "none"):
+        for bound in ("moment", "none", "tight"):
             found = search.exhaustive(session, order=order, bound=bound, batch=7, **options)
             assert [(round(r["score"], 6), r["description"]) for r in found.rows][:8] == want and found.complete
     narrow = search.beam(session, width=2, **options)
@@ -145,3 +145,8 @@ def test_edges(spark):
     sizes = {r["description"]: r["n"] for r in search.beam(s, "support", 10, 1, min_support=1).rows}
     assert sizes["a=ü'\""] == 2 and sizes["x>=2"] == 2 if "x>=2" in sizes else True
     s.close()
+
+
+def test_chance_scores(session):
+    rows = search.null_scores(session.ds, session.selectors[:5], "mean_test", rounds=4)
+    assert len(rows) == 4 and len(set(rows)) > 1
