@@ -17,6 +17,7 @@ benchmark: no contamination); further columns are ignored.
 from __future__ import annotations
 
 import re
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -36,70 +37,83 @@ _STEP = np.array([0x9E3779B97F4A7C15, 0xD6E8FEB86659FD93], np.uint64)
 
 
 class _Words(dict):
-    """Number of each word in the columns `kind` and `hashes`."""
+    """Number of each word in the columns `kind` and `lanes`; kept from batch to batch up to a size."""
 
     def __init__(self) -> None:
-        self.kind: list[int] = []
-        self.hashes: list[tuple[int, int]] = []
+        self.kind, self.lanes = array("b"), (array("Q"), array("Q"))
 
     def __missing__(self, w: str) -> int:
         self[w] = n = len(self.kind)
         low = w.lower()
-        kind = _MARK if w in ".!?\n" else _NUMBER if w[0].isdigit() else _UNIT if low in UNITS else _NAME if w[0].isupper() and not w[1:].isupper() else _LITERAL
-        self.kind.append(kind)
-        self.hashes.append((xxhash.xxh3_64_intdigest(low, 1), xxhash.xxh3_64_intdigest(low, 2)))
+        self.kind.append(_MARK if w in ".!?\n" else _NUMBER if w[0].isdigit() else _UNIT if low in UNITS else _NAME if w[0].isupper() and not w[1:].isupper() else _LITERAL)
+        for seed, lane in enumerate(self.lanes, 1):
+            lane.append(xxhash.xxh3_64_intdigest(low, seed))
         return n
 
-
-def _windows(texts: list[str], lengths: list[int] | None) -> Iterator[tuple[int, list[str], np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
-    """For each window length: length, all words, their kinds, starts of windows, hashes (2 lanes), text number and place
-    in the text of each start. lengths None: the benchmark's rule."""
-    seen = _Words()
-    found = [_token.findall(t) for t in texts]
-    sizes = np.array([len(f) for f in found])
-    every = [w for f in found for w in f]
-    number = np.fromiter((seen[w] for w in every), np.int64, len(every))
-    if not len(number):
-        return
-    kind, hashes = np.array(seen.kind)[number], np.array(seen.hashes, np.uint64)[number]
-    doc = np.repeat(np.arange(len(texts)), sizes)
-    fresh = np.r_[True, (kind[:-1] == _MARK) | (doc[1:] != doc[:-1])]  # starts a sentence
-    word = np.flatnonzero(kind != _MARK)
-    fresh, kind, hashes, doc = fresh[word], kind[word].copy(), hashes[word].copy(), doc[word]
-    kind[(kind == _NAME) & fresh] = _LITERAL
-    after = np.r_[False, (kind[:-1] == _NUMBER) & (doc[1:] == doc[:-1])] if len(kind) else np.zeros(0, bool)
-    kind[(kind == _UNIT) & ~after] = _LITERAL
-    typed = kind != _LITERAL
-    hashes[typed] = _TYPED[kind[typed]]
-    n = len(word)
-    starts = np.searchsorted(doc, np.arange(len(texts)))
-    total = np.bincount(doc, minlength=len(texts)) if n else np.zeros(len(texts), int)
-    place = np.arange(n) - starts[doc] if n else np.zeros(0, int)
-    words = [every[i] for i in word] if typed.any() else []
-    for size in lengths if lengths is not None else range(MIN_ITEM, WINDOW + 1):
-        last = n - size + 1
-        if last <= 0:
-            continue
-        at = np.flatnonzero(doc[:last] == doc[size - 1 :])
-        if lengths is None and size < WINDOW:
-            at = at[total[doc[at]] == size]
-        h = np.full((len(at), 2), np.uint64(size))
+    def rest(self, most: int = 300_000) -> None:
+        if len(self) > most:
+            self.clear()
+            self.__init__()
+
+
+class _Windows:
+    """The windows of a list of texts: `at` starts in the words of all texts, hashes by lane on demand."""
+
+    def __init__(self, texts: list[str], seen: _Words):
+        found = [_token.findall(t) for t in texts]
+        sizes = np.array([len(f) for f in found], np.int64)
+        self.tokens = [w for f in found for w in f]
+        number = np.fromiter(map(seen.__getitem__, self.tokens), np.int64, len(self.tokens))
+        kind = np.frombuffer(seen.kind, np.int8)[number] if len(number) else np.zeros(0, np.int8)
+        doc = np.repeat(np.arange(len(texts)), sizes)
+        fresh = np.r_[True, (kind[:-1] == _MARK) | (doc[1:] != doc[:-1])] if len(kind) else np.zeros(0, bool)  # starts a sentence
+        self.word = np.flatnonzero(kind != _MARK)
+        fresh, self.kind, self.doc = fresh[self.word], kind[self.word], doc[self.word]
+        self.kind[(self.kind == _NAME) & fresh] = _LITERAL
+        after = np.r_[False, (self.kind[:-1] == _NUMBER) & (self.doc[1:] == self.doc[:-1])] if len(self.kind) else np.zeros(0, bool)
+        self.kind[(self.kind == _UNIT) & ~after] = _LITERAL
+        typed = np.flatnonzero(self.kind != _LITERAL)
+        self.lanes = []
+        for lane, column in enumerate(seen.lanes):
+            h = np.frombuffer(column, np.uint64)[number[self.word]] if len(self.word) else np.zeros(0, np.uint64)
+            h[typed] = _TYPED[self.kind[typed], lane]
+            self.lanes.append(h)
+        self.total = np.bincount(self.doc, minlength=len(texts))
+        self.first = np.searchsorted(self.doc, np.arange(len(texts)))
+
+    def starts(self, size: int) -> np.ndarray:
+        """Where a window of this size lies within one text."""
+        last = len(self.word) - size + 1
+        return np.flatnonzero(self.doc[:last] == self.doc[size - 1 :]) if last > 0 else np.zeros(0, np.int64)
+
+    def hashes(self, at: np.ndarray, size: int, lane: int) -> np.ndarray:
+        h = np.full(len(at), size, np.uint64)
+        own = self.lanes[lane]
         with np.errstate(over="ignore"):
             for k in range(size):
-                h = h * _STEP + hashes[at + k]
-            h ^= h >> np.uint64(31)
-        yield size, words, kind, at, h.view(np.int64), doc[at], place[at]
-
+                h *= _STEP[lane]
+                h += own[at + k]
+        return h ^ (h >> np.uint64(31))
 
-def _slots(words: list[str], kind: np.ndarray, at: int, size: int) -> list[str]:
-    """Kind and lower-cased value of each placeholder of a window, in order."""
-    return [f"{kind[i]}:{words[i].lower()}" for i in range(at, at + size) if kind[i] != _LITERAL]
+    def slots(self, at: int, size: int) -> list[str]:
+        """Kind and lower-cased value of each placeholder of a window, in order."""
+        return [f"{self.kind[i]}:{self.tokens[self.word[i]].lower()}" for i in range(at, at + size) if self.kind[i] != _LITERAL]
 
 
 _ROW = "key bigint, h1 bigint, h2 bigint, place int, size int, slots array<string>, total int"
 
 
+def _hit(h: np.ndarray, bits: np.ndarray) -> np.ndarray:
+    """Whether a hash may be one of the benchmark's."""
+    b = h & np.uint64(BLOOM_BITS - 1)
+    return (bits[b >> np.uint64(6)] >> (b & np.uint64(63))) & np.uint64(1) != 0
+
+
 def _emit(batches: Iterator[pa.RecordBatch], key: str, lengths: list[int] | None, bits: np.ndarray | None) -> Iterator[pa.RecordBatch]:
+    """Windows of texts. Of documents, those of the given lengths that pass the filter; of items (lengths None), all of
+    WINDOW words, or the whole of a shorter item."""
+    seen = _Words()
+    kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.list_(pa.string()), pa.int32()]
     for batch in slices(batches):
         ids, texts = batch.column(key).to_pylist(), batch.column("text").to_pylist()
         start = 0
@@ -108,20 +122,26 @@ def _emit(batches: Iterator[pa.RecordBatch], key: str, lengths: list[int] | None
             while end < len(texts) and (end == start or chars + len(texts[end] or "") <= 2_000_000):
                 chars += len(texts[end] or "")
                 end += 1
-            part, own = [t or "" for t in texts[start:end]], ids[start:end]
+            own = ids[start:end]
+            w = _Windows([t or "" for t in texts[start:end]], seen)
             start = end
+            seen.rest()
             out: list[tuple] = []
-            for size, words, kind, at, h, doc, place in _windows(part, lengths):
-                hit = np.arange(len(at))
-                if bits is not None:
-                    for lane in (0, 1):
-                        b = h[hit, lane].view(np.uint64) & np.uint64(BLOOM_BITS - 1)
-                        hit = hit[(bits[b >> np.uint64(6)] >> (b & np.uint64(63))) & np.uint64(1) != 0]
-                total = np.bincount(doc) if lengths is None else None
-                for i in hit:
-                    out.append((own[doc[i]], int(h[i, 0]), int(h[i, 1]), int(place[i]), size, _slots(words, kind, at[i], size), int(total[doc[i]]) + size - 1 if total is not None else 0))
+            for size in lengths if lengths is not None else range(MIN_ITEM, WINDOW + 1):
+                at = w.starts(size)
+                if lengths is None and size < WINDOW:
+                    at = at[w.total[w.doc[at]] == size]
+                lanes = []
+                for lane in (0, 1):
+                    h = w.hashes(at, size, lane)
+                    if bits is not None:
+                        keep = _hit(h, bits)
+                        at, h, lanes = at[keep], h[keep], [x[keep] for x in lanes]
+                    lanes.append(h)
+                for i, h1, h2 in zip(at.tolist(), lanes[0].view(np.int64).tolist(), lanes[1].view(np.int64).tolist(), strict=True):
+                    d = w.doc[i]
+                    out.append((own[d], h1, h2, int(i - w.first[d]), size, w.slots(i, size), int(w.total[d])))
             cols = list(zip(*out, strict=True)) if out else [[]] * 7
-            kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.list_(pa.string()), pa.int32()]
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds, strict=True)], names=["key", "h1", "h2", "place", "size", "slots", "total"])
 
 
