@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from slowlens.functions.measures import Norms
+from slowlens.functions.literals import constant
 from slowlens.operators.dataset import SubgroupDataset
 from slowlens.operators.selectors import Selector
 
@@ -42,7 +42,7 @@ def refinements(encoded: DataFrame, patterns: list[tuple[int, ...]], blocked: li
     A refinement that two patterns lead to appears once a row. `ordered` adds only selectors after the pattern's last,
     so that an enumeration meets each set once.
     """
-    lookup = F.lit(blocked) if any(len(p) for p in patterns) else None
+    lookup = constant(blocked, "array<array<int>>") if any(len(p) for p in patterns) else None
 
     def extended(p: Column) -> Column:
         def free(s: Column) -> Column:
@@ -78,14 +78,17 @@ def bin_edges(encoded: DataFrame, bins: int = BINS) -> list[float]:
     return sorted({row["lo"], *row["q"], row["hi"]}) if row["q"] else []
 
 
-def median_brackets(encoded: DataFrame, edges: list[float], patterns: list[tuple[int, ...]], blocked: list[list[int]], ordered: bool = False) -> DataFrame:
-    """(p, n, med_lo, med_hi): bounds of each candidate's median from counts by target bin, all summed map-side.
+def binned(encoded: DataFrame, edges: list[float]) -> DataFrame:
+    """(sels, bin, n): rows by selector set and target bin, a bin being the number of edges at or below the target."""
+    cuts, t = constant(edges, "array<double>"), F.col("t").cast("double")
+    steps = [1 << b for b in range(len(edges).bit_length() - 1, -1, -1)]  # binary search
+    place = F.aggregate(F.lit(steps), F.lit(0), lambda at, step: F.when((at + step <= len(edges)) & (F.try_element_at(cuts, at + step) <= t), at + step).otherwise(at))
+    return encoded.select("sels", place.alias("bin")).groupBy("sels", "bin").agg(F.count("*").alias("n"))
 
-    Rows of one bin and selector set are counted first, so this too reads cells rather than rows.
-    """
-    cuts = F.lit(edges)
-    bin_no = F.coalesce(F.array_position(F.transform(cuts, lambda e: e > F.col("t").cast("double")), True) - 1, F.lit(len(edges))).cast("int")
-    small = encoded.select("sels", bin_no.alias("bin")).groupBy("sels", "bin").agg(F.count("*").alias("n"))
+
+def median_brackets(small: DataFrame, edges: list[float], patterns: list[tuple[int, ...]], blocked: list[list[int]], ordered: bool = False) -> DataFrame:
+    """(p, n, med_lo, med_hi): bounds of each candidate's median from counts by target bin (see binned), summed map-side."""
+    cuts = constant(edges, "array<double>")
     counted = refinements(small, patterns, blocked, ordered).groupBy("p", "bin").agg(F.sum("n").alias("n"))
     run = Window.partitionBy("p").orderBy("bin").rowsBetween(Window.unboundedPreceding, 0)
     placed = counted.withColumn("upto", F.sum("n").over(run)).withColumn("all", F.sum("n").over(Window.partitionBy("p")))

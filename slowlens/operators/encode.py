@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from slowlens.functions.bounds import inputs
+from slowlens.functions.literals import token_lookup
 from slowlens.functions.measures import Norms
 from slowlens.operators.dataset import SubgroupDataset
 from slowlens.operators.lattice import signature_columns
@@ -27,7 +28,7 @@ def selector_ids(selectors: list[Selector]) -> Column:
         if s.op == "token":
             by_map.setdefault(s.tokens, {}).setdefault(s.value, []).append((int(s.levels[0]) if s.levels else 1, i))
     for name, known in by_map.items():
-        lookup = F.map_from_arrays(F.lit(list(known)), F.array(*[F.array(*[F.struct(F.lit(c).alias("c"), F.lit(i).alias("i")) for c, i in v]) for v in known.values()]))
+        lookup = token_lookup(known)
         entries = F.transform(F.filter(F.map_entries(name), lambda e: F.try_element_at(lookup, e["key"]).isNotNull()), lambda e: F.transform(F.filter(F.try_element_at(lookup, e["key"]), lambda x: x["c"] <= e["value"]), lambda x: x["i"]))
         parts.append(F.coalesce(F.flatten(entries), F.array().cast("array<int>")))
     return F.array_sort(F.concat(*parts)) if parts else F.array().cast("array<int>")

@@ -67,7 +67,5 @@ def signature_columns(oid: str = "oid") -> list[Column]:
 
 def distinct_extents(cands: DataFrame) -> DataFrame:
     """One pattern for each extent: fewest selectors, then the first description."""
-    key = ["n", "sig_x", "sig_s"]
-    best = cands.groupBy(*key).agg(F.min(F.struct("n_sel", "description")).alias("_b"))
-    best = best.select(*[F.col(k).alias(f"_{k}") for k in key], F.col("_b.description").alias("_d"))
-    return cands.join(best, (F.col("description") == F.col("_d")) & (F.col("n") == F.col("_n")) & (F.col("sig_x") == F.col("_sig_x")) & (F.col("sig_s") == F.col("_sig_s"))).drop("_n", "_sig_x", "_sig_s", "_d")
+    first = F.min_by(F.struct(*cands.columns), F.struct("n_sel", "description"))
+    return cands.groupBy("n", "sig_x", "sig_s").agg(first.alias("_r")).select("_r.*")

@@ -173,7 +173,7 @@ simple("op_str_hash", "SELECT p_partkey, md5(p_name) AS m, sha256(p_name) AS s F
 simple("op_date", "SELECT event_id, CAST(hour(ts) AS INTEGER) AS h, CAST(isodow(ts) AS INTEGER) AS dow, CAST(date_trunc('month', ts) AS DATE) AS m, CAST(datediff('day', DATE '2024-01-01', CAST(ts AS DATE)) AS INTEGER) AS days FROM events", "SELECT event_id, hour(ts) AS h, weekday(ts) + 1 AS dow, CAST(date_trunc('month', ts) AS DATE) AS m, datediff(CAST(ts AS DATE), DATE'2024-01-01') AS days FROM {events}", ("events",))
 simple("op_math", "SELECT p_partkey, round(sqrt(p_retailprice), 6) AS s, round(ln(p_size + 1), 6) AS l, round(pow(p_size, 1.5), 4) AS p, p_size % 7 AS m, CAST(floor(p_retailprice) AS BIGINT) AS f, greatest(p_size, 10) AS g, least(p_size, 10) AS le, CAST(sign(p_size - 25) AS INTEGER) AS si FROM {part}", None, ("part",))
 simple("op_decimal", "SELECT o_orderstatus, CAST(sum(CAST(o_totalprice AS DECIMAL(18,2))) AS VARCHAR) AS total FROM orders GROUP BY 1", "SELECT o_orderstatus, CAST(sum(CAST(o_totalprice AS DECIMAL(18,2))) AS STRING) AS total FROM {orders} GROUP BY 1", ("orders",))
-query("op_array", "SELECT vec_id, len(embedding) AS n, round(list_max(embedding), 6) AS hi, list_position(list_sort(embedding), embedding[1]) - 1 AS place FROM embeddings")(lambda spark, d: load(spark, d, "embeddings").select("vec_id", F.size("embedding").alias("n"), F.round(F.array_max("embedding").cast("double"), 6).alias("hi"), (F.array_position(F.array_sort("embedding"), F.element_at("embedding", 1)) - 1).alias("place")))
+query("op_array", "SELECT vec_id, len(embedding) AS n, round(CAST(list_max(embedding) AS DOUBLE), 6) AS hi, list_position(list_sort(embedding), embedding[1]) - 1 AS place FROM embeddings")(lambda spark, d: load(spark, d, "embeddings").select("vec_id", F.size("embedding").alias("n"), F.round(F.array_max("embedding").cast("double"), 6).alias("hi"), (F.array_position(F.array_sort("embedding"), F.element_at("embedding", 1)) - 1).alias("place")))
 query("op_array_sets", "SELECT n_nationkey, list_sort(list_intersect([n_nationkey, n_regionkey, 3], [1, 2, 3, 4])) AS common, list_contains([1, 2, 3], n_regionkey) AS has FROM nation")(lambda spark, d: load(spark, d, "nation").select("n_nationkey", F.array_sort(F.array_intersect(F.array("n_nationkey", "n_regionkey", F.lit(3)), F.lit([1, 2, 3, 4]))).alias("common"), F.array_contains(F.lit([1, 2, 3]), F.col("n_regionkey")).alias("has")))
 query("op_array_hof", "SELECT vec_id, CAST(len(list_filter(embedding, lambda x: x > 0)) AS INTEGER) AS positive, list_min(embedding) > -0.2 AS mild FROM embeddings")(lambda spark, d: load(spark, d, "embeddings").select("vec_id", F.size(F.filter("embedding", lambda x: x > 0)).alias("positive"), F.forall("embedding", lambda x: x > F.lit(-0.2)).alias("mild")))
 query("op_explode", "SELECT vec_id, CAST(generate_subscripts(embedding, 1) - 1 AS INTEGER) AS i, round(CAST(unnest(embedding) AS DOUBLE), 6) AS x FROM embeddings")(lambda spark, d: load(spark, d, "embeddings").select("vec_id", F.posexplode("embedding").alias("i", "x")).select("vec_id", "i", F.round(F.col("x").cast("double"), 6).alias("x")))

@@ -24,8 +24,8 @@ FROM lineitem l JOIN part ON l_partkey = p_partkey JOIN supplier ON l_suppkey =
 """
 ORDERS = "SELECT o_orderkey AS oid, o_orderpriority, o_orderstatus, c_mktsegment, CAST(o_totalprice AS DECIMAL(18,2)) AS total, CAST(o_totalprice AS DECIMAL(18,2)) AS t, CASE WHEN o_orderstatus = 'F' THEN 1 ELSE 0 END AS finished FROM orders JOIN customer ON o_custkey = c_custkey"
 ORDER_TOKENS = "SELECT l_orderkey AS oid, unnest(['BRAND_' || p_brand, 'TYPE_' || p_type, 'PART_' || p_partkey]) AS token FROM lineitem JOIN part ON l_partkey = p_partkey"
-DOCS = "SELECT d.doc_id AS oid, lang, source, n_chars, len(list_filter(string_split(lower(text), ' '), lambda w: w <> '')) AS n_words, len(string_split(text, chr(10))) AS n_lines, CASE WHEN quality = 0 THEN 1 ELSE 0 END AS bad, toxic, n_chars AS t FROM documents d JOIN labels l ON d.doc_id = l.doc_id"
-DOC_TOKENS = "SELECT oid, token FROM (SELECT d.doc_id AS oid, unnest(string_split(lower(text), ' ')) AS token FROM documents d JOIN labels l ON d.doc_id = l.doc_id) WHERE token <> ''"
+DOCS = "SELECT d.doc_id AS oid, lang, source, n_chars, n_words, n_lines, CASE WHEN quality = 0 THEN 1 ELSE 0 END AS bad, toxic, n_chars AS t FROM (SELECT doc_id, concat(lang, '') AS lang, concat(source, '') AS source, n_chars, len(list_filter(string_split(lower(text), ' '), lambda w: w <> '')) AS n_words, len(string_split(text, chr(10))) AS n_lines FROM documents) d JOIN labels l ON d.doc_id = l.doc_id"
+DOC_TOKENS = "SELECT oid, token FROM (SELECT doc_id AS oid, unnest(string_split(lower(concat(text, '')), ' ')) AS token FROM documents) WHERE token <> '' AND oid IN (SELECT doc_id FROM labels)"
 PAGES = "SELECT page_id AS oid, regexp_extract(url, '^([a-z]+)://', 1) AS scheme, regexp_extract(url, '^[a-z]+://[^/?#]*?([a-z]+)(?:[/?#]|$)', 1) AS domain, CASE WHEN contains(url, '?') THEN 1 ELSE 0 END AS has_query, length(html) AS t FROM pages"
 PAGE_TOKENS = "SELECT page_id AS oid, 'TAG_' || unnest(regexp_extract_all(html, '<([a-z][a-z0-9]*)', 1)) AS token FROM pages"
 TURNS = "SELECT conv_id, turn, (conv_id, turn) AS oid, role, coalesce(lag(role) OVER (PARTITION BY conv_id ORDER BY turn), 'none') AS prev_role, length(text) AS n_chars, length(text) AS t, CASE WHEN role = 'assistant' THEN 1 ELSE 0 END AS answers FROM conversations"
@@ -102,8 +102,8 @@ def search(ds: str, sel: str, measure: str, k: int = 10, depth: int = 2, width:
     every = " UNION ALL ".join(f"SELECT * FROM k{d}" for d in range(1, depth + 1))
     head = "WITH " + ", ".join(parts)
     if levels:
-        return f"{head} SELECT n_sel AS level, description, CAST(n AS BIGINT) AS size, round(score, 6) AS score FROM ({every})"
+        return f"{head} SELECT n_sel AS level, description, CAST(n AS BIGINT) AS size, score FROM ({every})"
     one = f"SELECT * FROM ({every}) QUALIFY row_number() OVER (PARTITION BY n, sx, ss ORDER BY n_sel, description) = 1"
     rank = "rank() OVER (ORDER BY score DESC)" if ties else "row_number() OVER (ORDER BY score DESC, n_sel, description)"
     extra = f", {stats}" if stats else ""
-    return f"{head} SELECT CAST(rk AS INTEGER) AS rank, description, CAST(n_sel AS INTEGER) AS n_sel, CAST(n AS BIGINT) AS size, round(s1 / n, 6) AS mean, round(score, 6) AS score{extra} FROM (SELECT *, {rank} AS rk FROM ({one})) WHERE rk <= {k}"
+    return f"{head} SELECT CAST(rk AS INTEGER) AS rank, description, CAST(n_sel AS INTEGER) AS n_sel, CAST(n AS BIGINT) AS size, round(s1 / n, 6) AS mean, score{extra} FROM (SELECT *, {rank} AS rk FROM ({one})) WHERE rk <= {k}"

@@ -147,14 +147,14 @@ def _greedy_sql(threshold: float, head: str = "") -> str:
     steps = ["o AS (SELECT p, row_number() OVER (ORDER BY score DESC, p) AS i FROM s)", "w AS (SELECT p, q, jac FROM jj UNION ALL SELECT q, p, jac FROM jj)", "g1 AS (SELECT p FROM o WHERE i = 1)"]
     for i in range(2, n + 1):
         steps.append(f"g{i} AS (SELECT p FROM g{i - 1} UNION ALL SELECT o.p FROM o WHERE i = {i} AND NOT EXISTS (SELECT 1 FROM w JOIN g{i - 1} k ON w.q = k.p WHERE w.p = o.p AND w.jac > {threshold}))")
-    return f"WITH {_BASE}, {', '.join(steps)} {head or f'SELECT g.p AS description, round(score, 6) AS score FROM g{n} g JOIN s ON g.p = s.p'}"
+    return f"WITH {_BASE}, {', '.join(steps)} {head or f'SELECT g.p AS description, score FROM g{n} g JOIN s ON g.p = s.p'}"
 
 
 def _greedy(threshold: float):
     def run(spark: SparkSession, d: str) -> DataFrame:
         ds, scores, names = fixed_result(spark, d)
         sim = redundancy.matrix(redundancy.jaccard(ds, RESULT), len(RESULT))
-        return spark.createDataFrame([(names[i], search._round(scores[i])) for i in redundancy.greedy(scores, sim, threshold, names)], "description string, score double")
+        return spark.createDataFrame([(names[i], scores[i]) for i in redundancy.greedy(scores, sim, threshold, names)], "description string, score double")
 
     return run
 
@@ -246,7 +246,7 @@ query("i_token_usage", f"WITH t AS (SELECT DISTINCT oid, token FROM ({oracle.ORD
 query("w_case_study", f"WITH t AS (SELECT DISTINCT oid, token FROM ({oracle.ORDER_TOKENS})) SELECT token, CAST(count(*) AS BIGINT) AS rows FROM t WHERE token LIKE 'TYPE_%' AND oid IN (SELECT oid FROM t WHERE token = 'BRAND_Brand#3') GROUP BY token")(lambda spark, d: stats.token_usage(datasets.orders_set(spark, d), (Selector("BRAND_Brand#3", "token", "BRAND_Brand#3", "tokens"),), "TYPE_"))
 
 
-@query("i_drill", f"WITH ds AS MATERIALIZED ({EV}), g AS ({oracle._NORMS}), sel AS MATERIALIZED ({E_SEL}), c AS (SELECT CASE WHEN label < 'event_type=error' THEN label || ' & event_type=error' ELSE 'event_type=error & ' || label END AS description, {oracle._STATS} FROM sel WHERE key <> 'event_type|point' AND oid IN (SELECT oid FROM ds WHERE event_type = 'error') GROUP BY label), x AS (SELECT *, round({oracle.score('wracc')}, 9) AS score FROM c, g WHERE n >= greatest(5, ceil(tot / 1000))) SELECT CAST(rk AS INTEGER) AS rank, description, 2 AS n_sel, CAST(n AS BIGINT) AS size, round(s1 / n, 6) AS mean, round(score, 6) AS score FROM (SELECT *, row_number() OVER (ORDER BY score DESC, description) AS rk FROM x) WHERE rk <= 5")
+@query("i_drill", f"WITH ds AS MATERIALIZED ({EV}), g AS ({oracle._NORMS}), sel AS MATERIALIZED ({E_SEL}), c AS (SELECT CASE WHEN label < 'event_type=error' THEN label || ' & event_type=error' ELSE 'event_type=error & ' || label END AS description, {oracle._STATS} FROM sel WHERE key <> 'event_type|point' AND oid IN (SELECT oid FROM ds WHERE event_type = 'error') GROUP BY label), x AS (SELECT *, round({oracle.score('wracc')}, 9) AS score FROM c, g WHERE n >= greatest(5, ceil(tot / 1000))) SELECT CAST(rk AS INTEGER) AS rank, description, 2 AS n_sel, CAST(n AS BIGINT) AS size, round(s1 / n, 6) AS mean, score FROM (SELECT *, row_number() OVER (ORDER BY score DESC, description) AS rk FROM x) WHERE rk <= 5")
 def i_drill(spark: SparkSession, d: str) -> DataFrame:
     e = exploration(spark, d)
     return e.drill((next(s for s in e.selectors if s.label == "event_type=error"),), "wracc", 5, 1).results()
@@ -280,7 +280,7 @@ def _both(spark: SparkSession, d: str) -> tuple[search.Found, search.Found]:
 @query("b_beam_vs_exhaustive", f"SELECT 'beam' AS algorithm, CAST(count(*) AS INTEGER) AS found, round(sum(score), 4) AS total FROM ({_B10}) UNION ALL SELECT 'exhaustive', CAST(count(*) AS INTEGER), round(sum(score), 4) FROM ({_X10})")
 def b_beam_vs_exhaustive(spark: SparkSession, d: str) -> DataFrame:
     beam, exact = _both(spark, d)
-    row = lambda name, f: (name, len(f.rows[:10]), round(sum(search._round(r["score"]) for r in f.rows[:10]), 4))
+    row = lambda name, f: (name, len(f.rows[:10]), round(sum(r["score"] for r in f.rows[:10]), 4))
     return spark.createDataFrame([row("beam", beam), row("exhaustive", exact)], "algorithm string, found int, total double")
 
 
@@ -334,7 +334,7 @@ def b_feature_groups(spark: SparkSession, d: str) -> DataFrame:
     for name, a, c in (("statement", ("event_type",), {"k": [25, 50, 75]}), ("with context", ("event_type", "c_mktsegment", "r_name"), {"k": [25, 50, 75], "w_error": [1, 2], "w_click": [1, 2]})):
         ds = SubgroupDataset(frame, numeric=tuple(c), nominal=a)
         s = search.Session(ds, chosen(ds, a, c), False)
-        out.append((name, search._round(search.beam(s, "binomial", 10, 2, 20).rows[0]["score"])))
+        out.append((name, search.beam(s, "binomial", 10, 2, 20).rows[0]["score"]))
         s.close()
     return spark.createDataFrame(out, "features string, best double")
 

@@ -10,6 +10,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from slowlens.functions import bounds
+from slowlens.functions.literals import constant
 from slowlens.functions.measures import Measure, Norms, get, scored
 from slowlens.operators import counting, lattice
 from slowlens.operators.dataset import SubgroupDataset
@@ -34,7 +35,7 @@ class Found:
         return [tuple(self.selectors[i] for i in r["p"]) for r in self.rows]
 
     def frame(self, spark) -> DataFrame:
-        data = [(r["rank"], r["description"], len(r["p"]), r["n"], _round(float(r["s1"]) / r["n"]), _round(r["score"])) for r in self.rows]
+        data = [(r["rank"], r["description"], len(r["p"]), r["n"], _round(float(r["s1"]) / r["n"]), r["score"]) for r in self.rows]
         return spark.createDataFrame(data, RESULT)
 
 
@@ -78,9 +79,19 @@ class Session:
         code = encode_by_join if token_map_is_large(selectors) else encode
         self.encoded = code(ds, selectors).persist()
         self.cells = cells(self.encoded, self.norms).persist()
-        self.edges: list[float] | None = None
+        self.edges: list[float] = []
+        self.binned: DataFrame | None = None
+        self.level: DataFrame | None = None
+
+    def end_level(self) -> None:
+        if self.level is not None:
+            self.level.unpersist()
+            self.level = None
 
     def close(self) -> None:
+        self.end_level()
+        if self.binned is not None:
+            self.binned.unpersist()
         self.cells.unpersist()
         self.encoded.unpersist()
 
@@ -96,22 +107,31 @@ class Session:
         For a median measure with `keep`, brackets from bin counts first rule out candidates that cannot be among the
         best `keep`; exact medians are taken of the rest only.
         """
+        names = F.array_join(F.array_sort(F.transform("p", lambda i: F.element_at(constant(self.labels, "array<string>"), i + 1))), " & ")
         cands = counting.level_counts(self.cells, patterns, self.blocked, ordered).where(F.col("n") >= floor)
+        cands = cands.withColumn("description", names).withColumn("n_sel", F.size("p"))
         if measure.needs == "median":
             if keep is not None:
-                self.edges = self.edges or counting.bin_edges(self.encoded)
-                b = counting.median_brackets(self.encoded, self.edges, patterns, self.blocked, ordered).where(F.col("n") >= floor)
-                low, high = b.withColumn("med", F.col("med_lo")), b.withColumn("med", F.col("med_hi"))
-                s = scored(measure, self.norms)
-                worst = low.select(s.alias("s")).orderBy(F.desc("s")).limit(keep).agg(F.min("s"), F.count("*")).first()
-                if worst[1] == keep:  # else all may be among the best
-                    hold = high.where(s >= worst[0]).select(F.col("p").alias("_p"))
-                    cands = cands.join(hold, F.col("p") == F.col("_p"), "left_semi")
+                self.level = lattice.distinct_extents(cands).persist()  # candidates of one level, read three times
+                cands = self.within_reach(self.level, patterns, measure, ordered, keep)
             cands = counting.with_medians(cands, self.encoded, patterns, self.blocked, ordered)
         else:
             cands = cands.withColumn("med", F.lit(None).cast("double"))
-        names = F.array_join(F.array_sort(F.transform("p", lambda i: F.element_at(F.lit(self.labels), i + 1))), " & ")
-        return cands.withColumn("description", names).withColumn("n_sel", F.size("p")).withColumn("score", scored(measure, self.norms))
+        return cands.withColumn("score", scored(measure, self.norms))
+
+    def within_reach(self, cands: DataFrame, patterns: list[tuple[int, ...]], measure: Measure, ordered: bool, keep: int) -> DataFrame:
+        """Candidates of distinct extents whose median bracket allows them among the best `keep`."""
+        if self.binned is None:
+            self.edges = counting.bin_edges(self.encoded)
+            self.binned = counting.binned(self.encoded, self.edges).persist()
+        b = counting.median_brackets(self.binned, self.edges, patterns, self.blocked, ordered)
+        b = b.join(cands.select(F.col("p").alias("_p")), F.col("p") == F.col("_p"), "left_semi")
+        s = scored(measure, self.norms)
+        worst = b.withColumn("med", F.col("med_lo")).select(s.alias("s")).orderBy(F.desc("s")).limit(keep).agg(F.min("s"), F.count("*")).first()
+        if worst[1] < keep:
+            return cands  # all may be among the best
+        hold = b.withColumn("med", F.col("med_hi")).where(s >= worst[0]).select(F.col("p").alias("_p"))
+        return cands.join(hold, F.col("p") == F.col("_p"), "left_semi")
 
     def with_tight(self, cands: DataFrame, patterns: list[tuple[int, ...]], m: Measure, floor: int) -> DataFrame:
         """Add `tight`, the exact optimum over all refinements, from each candidate's rows in falling order of target."""
@@ -134,11 +154,11 @@ def beam(session: Session, measure: str | Measure = "wracc", k: int = 10, depth:
     patterns, kept, trace = [tuple(seed)], [], []
     for level in range(1, depth + 1):
         began = time.time()
-        # with equal extents at most half of the best could fall away, so the exact bracket keeps more than width
-        cands = session.candidates(patterns, m, floor, False, None if m.needs != "median" else 4 * width)
+        cands = session.candidates(patterns, m, floor, False, width if m.needs == "median" else None)
         cands = cands.where(F.col("score").isNotNull())
         best = lattice.distinct_extents(cands.drop("neg", "pos", "npos", "tmax")).orderBy(F.desc("score"), "n_sel", "description").limit(width)
         rows = session.collect(best)
+        session.end_level()
         trace.append({"level": level, "parents": len(patterns), "kept": len(rows), "threshold": min((r["score"] for r in rows), default=None), "seconds": time.time() - began})
         if not rows:
             break
@@ -227,7 +247,7 @@ def brute(session: Session, measure: str | Measure = "wracc", k: int = 10, depth
     m, floor = get(measure), min_support if min_support is not None else session.default_floor()
     one = F.transform("sels", lambda s: F.array(s))
     sets = one
-    lookup = F.lit(session.blocked)
+    lookup = constant(session.blocked, "array<array<int>>")
     for _ in range(depth - 1):
         def larger(p):
             last = F.element_at(p, -1)
@@ -237,12 +257,12 @@ def brute(session: Session, measure: str | Measure = "wracc", k: int = 10, depth
         sets = F.concat(one, F.flatten(F.transform(sets, larger)))
     every = session.cells.withColumn("p", F.explode(F.array_distinct(sets)))
     stats = every.groupBy("p").agg(*[F.sum(c).alias(c) for c in ("n", "s1", "s2")], F.bit_xor("sig_x").alias("sig_x"), F.sum("sig_s").alias("sig_s")).where(F.col("n") >= floor)
-    names = F.array_join(F.array_sort(F.transform("p", lambda i: F.element_at(F.lit(session.labels), i + 1))), " & ")
+    names = F.array_join(F.array_sort(F.transform("p", lambda i: F.element_at(constant(session.labels, "array<string>"), i + 1))), " & ")
     rows = stats.withColumn("description", names).withColumn("n_sel", F.size("p")).withColumn("score", scored(m, session.norms)).where("score is not null")
     rows = lattice.distinct_extents(rows)
     order = [F.desc("score")] if ties else [F.desc("score"), F.asc("n_sel"), F.asc("description")]
     ranked = _top_with_ties(rows, k).withColumn("rank", F.rank().over(Window.orderBy(*order)))  # a result-size table
-    return ranked.where(F.col("rank") <= k).select("rank", "description", "n_sel", F.col("n").alias("size"), F.round(F.col("s1").cast("double") / F.col("n"), 6).alias("mean"), F.round("score", 6).alias("score"))
+    return ranked.where(F.col("rank") <= k).select("rank", "description", "n_sel", F.col("n").alias("size"), F.round(F.col("s1").cast("double") / F.col("n"), 6).alias("mean"), "score")
 
 
 def null_scores(ds: SubgroupDataset, selectors: list[Selector], measure: str, rounds: int = 20, depth: int = 1, width: int = 50, grid: int = 1000) -> list[float]:
@@ -254,7 +274,7 @@ def null_scores(ds: SubgroupDataset, selectors: list[Selector], measure: str, ro
     levels = ds.rows().agg(F.percentile(F.col("t").cast("double"), at)).first()[0]
     out = []
     for r in range(rounds):
-        draw = F.element_at(F.lit(levels), (F.pmod(F.xxhash64(F.lit(r), F.col(ds.oid)), F.lit(grid + 1)) + 1).cast("int"))
+        draw = F.element_at(constant(levels, "array<double>"), (F.pmod(F.xxhash64(F.lit(r), F.col(ds.oid)), F.lit(grid + 1)) + 1).cast("int"))
         session = Session(ds.with_target(draw), selectors, get(measure).needs == "median")
         found = beam(session, measure, 1, depth, width)
         session.close()

@@ -54,12 +54,12 @@ def measure_rows(spark: SparkSession, sf_dir: str, names: dict[str, str], target
     if any(get(m).needs == "median" for m in names.values()):
         cands = counting.with_medians(cands, s.encoded, [()], s.blocked)
     label = F.element_at(F.lit(s.labels), F.element_at("p", 1) + 1)
-    return cands.select(label.alias("description"), F.col("n").alias("size"), *[F.round(scored(m, s.norms), 6).alias(c) for c, m in names.items()])
+    return cands.select(label.alias("description"), F.col("n").alias("size"), *[scored(m, s.norms).alias(c) for c, m in names.items()])
 
 
 def measure_sql(names: dict[str, str], target: str | None = None) -> str:
     ds = f"SELECT * REPLACE ({target} AS t) FROM ({oracle.EVENTS_PLAIN})" if target else oracle.EVENTS_PLAIN
-    cols = ", ".join(f"round(round({oracle.score(m)}, 9), 6) AS {c}" for c, m in names.items())
+    cols = ", ".join(f"round({oracle.score(m)}, 9) AS {c}" for c, m in names.items())
     return f"WITH ds AS MATERIALIZED ({ds}), g AS ({oracle._NORMS}), sel AS ({E_SEL}) SELECT label AS description, CAST(n AS BIGINT) AS size, {cols} FROM (SELECT label, {oracle._STATS} FROM sel GROUP BY label), g"
 
 
@@ -104,14 +104,14 @@ def q_multi_target(spark: SparkSession, d: str) -> DataFrame:
     s = events_session(spark, d, replace_target=both)
     cands = counting.level_counts(s.cells, [()], s.blocked)
     label = F.element_at(F.lit(s.labels), F.element_at("p", 1) + 1)
-    return cands.select(label.alias("description"), F.col("n").alias("size"), F.round(scored("wracc", s.norms), 6).alias("wracc"))
+    return cands.select(label.alias("description"), F.col("n").alias("size"), scored("wracc", s.norms).alias("wracc"))
 
 
 @query("q_tscore_sample", measure_sql({"tscore": "tscore"}).replace(oracle.SCORES["tscore"], "CASE WHEN n >= 2 THEN sqrt(n / tot) / (sqrt(greatest(s2 / n - s1 / n * (s1 / n), 0)) * sqrt(n / (n - 1))) * (s1 / n - mu0) END"))
 def q_tscore_sample(spark: SparkSession, d: str) -> DataFrame:
     s = events_session(spark, d)
     label = F.element_at(F.lit(s.labels), F.element_at("p", 1) + 1)
-    return counting.level_counts(s.cells, [()], s.blocked).select(label.alias("description"), F.col("n").alias("size"), F.round(scored(tscore(1), s.norms), 6).alias("tscore"))
+    return counting.level_counts(s.cells, [()], s.blocked).select(label.alias("description"), F.col("n").alias("size"), scored(tscore(1), s.norms).alias("tscore"))
 
 
 # ---- searches
@@ -153,7 +153,7 @@ def a_beam_levels(spark: SparkSession, d: str) -> DataFrame:
     s = events_session(spark, d, median=False)
     rows = search.beam_levels(s, "wracc", 2, 10)
     s.close()
-    return spark.createDataFrame([(r["level"], r["description"], r["n"], search._round(r["score"])) for r in rows], "level int, description string, size bigint, score double")
+    return spark.createDataFrame([(r["level"], r["description"], r["n"], r["score"]) for r in rows], "level int, description string, size bigint, score double")
 
 
 @query("a_min_support", f"WITH ds AS MATERIALIZED ({oracle.EVENTS_PLAIN}), sel AS MATERIALIZED ({E_SEL}) SELECT label AS description, CAST(count(*) AS BIGINT) AS size FROM sel GROUP BY label HAVING count(*) >= 2500")
