@@ -10,7 +10,7 @@ from slowlens.operators.dataset import SubgroupDataset
 from slowlens.operators.selectors import Selector
 
 STATS = ("n", "s1", "s2", "pos", "neg", "npos")
-BINS = 1024
+BINS, UNROLLED = 1024, 64
 
 
 def blocked_pairs(selectors: list[Selector]) -> list[list[int]]:
@@ -25,6 +25,9 @@ def matched(patterns: list[tuple[int, ...]]) -> Column:
     """The patterns (as arrays of ids) that a row's `sels` holds whole."""
     if patterns == [()]:
         return F.array(F.array().cast("array<int>"))
+    if len(patterns) > UNROLLED:  # the plan must not grow with the beam
+        every = constant([list(p) for p in patterns], "array<array<int>>")
+        return F.filter(every, lambda p: F.forall(p, lambda i: F.array_contains("sels", i)))
     tests = [F.when(_holds(p), F.array(*[F.lit(i) for i in p])) for p in patterns]
     return F.filter(F.array(*tests), lambda x: x.isNotNull())
 

@@ -104,12 +104,18 @@ def cuts(ds: SubgroupDataset, attrs: list[str], policy: str = "quantile", bins:
 
 
 def nominal(ds: SubgroupDataset, attrs: list[str], min_support: int = 1, max_values: int = 10_000) -> list[Selector]:
-    """The categories of all attributes in one pass, without those under min_support; most frequent first."""
+    """The categories of all attributes in one pass, without those under min_support; most frequent first.
+
+    More than max_values an attribute on average are refused, as they must fit the driver: raise min_support then.
+    """
     if not attrs:
         return []
     pairs = F.explode(F.array(*[F.struct(F.lit(a).alias("attr"), F.col(a).cast("string").alias("v")) for a in attrs]))
     found = ds.rows().select(pairs.alias("p")).where("p.v is not null").groupBy("p.attr", "p.v").count().where(F.col("count") >= min_support)
-    rows = found.orderBy("attr", F.desc("count"), "v").limit(max_values * len(attrs)).collect()
+    rows = found.limit(max_values * len(attrs) + 1).collect()
+    if len(rows) > max_values * len(attrs):
+        raise ValueError(f"over {max_values} categories an attribute; raise min_support")
+    rows.sort(key=lambda r: (r["attr"], -r["count"], r["v"]))
     return [Selector(r["attr"], "=", r["v"]) for r in rows]
 
 

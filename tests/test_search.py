@@ -147,6 +147,19 @@ def test_edges(spark):
     s.close()
 
 
+def test_a_wide_beam_keeps_a_small_plan(session, monkeypatch):
+    from slowlens.operators import counting
+
+    want = [r["description"] for r in search.beam(session, "wracc", 8, 3, 30, 10).rows]
+    monkeypatch.setattr(counting, "UNROLLED", 2)
+    assert [r["description"] for r in search.beam(session, "wracc", 8, 3, 30, 10).rows] == want
+
+
+def test_too_many_categories_are_refused(session):
+    with pytest.raises(ValueError, match="categories"):
+        selectors.nominal(session.ds, ["p", "q"], max_values=1)
+
+
 def test_chance_scores(session):
     rows = search.null_scores(session.ds, session.selectors[:5], "mean_test", rounds=4)
     assert len(rows) == 4 and len(set(rows)) > 1
