@@ -33,7 +33,7 @@ def ranked(keys: DataFrame, cols: list[str], scratch: Scratch) -> DataFrame:
     parts = scratch.settle(counted.repartitionByRange(*cols).withColumn("_p", F.spark_partition_id()), "sorted")
     before = Window.orderBy("_p").rowsBetween(Window.unboundedPreceding, -1)
     sums = parts.groupBy("_p").agg(F.sum("n").alias("_s"))  # a row for each partition
-    offsets = scratch.settle(sums.select(F.col("_p").alias("_q"), F.coalesce(F.sum("_s").over(before), F.lit(0)).alias("_off")), "offsets")
+    offsets = sums.select(F.col("_p").alias("_q"), F.coalesce(F.sum("_s").over(before), F.lit(0)).alias("_off"))
     within = Window.partitionBy("_p").orderBy(*cols).rowsBetween(Window.unboundedPreceding, -1)
     out = parts.join(F.broadcast(offsets), F.col("_p") == F.col("_q"))
     return out.select(*cols, "n", (F.col("_off") + F.coalesce(F.sum("n").over(within), F.lit(0))).alias("rank"))
