@@ -1,7 +1,7 @@
 """From raw documents to balanced shards: quality, near duplicates, benchmark leaks, mixing, sharding.
 
-Each stage works on all that its predecessor kept; run() writes every stage's result to the shared folder and reads it
-again for the next.
+Each stage works on all that its predecessor kept; run() writes every stage's result to the shared folder, reads it
+again for the next, and deletes what a stage wrote for itself.
 """
 
 from __future__ import annotations
@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from slowlens.llm import decontaminate, minhash, mixing, quality, sharding
-from slowlens.llm.common import Scratch, table
+from slowlens.llm.common import Scratch, clear_since, opened, table
 
 
 def keep_good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -49,7 +49,8 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     scratch = Scratch(spark, "pipeline")
     docs = table(spark, sf_dir, "documents")
     for name, stage in STAGES:
-        before = docs
+        before, mark = docs, opened()
         docs = scratch.settle(stage(spark, docs, sf_dir), name)
         scratch.drop(before)
+        clear_since(mark)  # what the stage wrote for itself
     return docs

@@ -11,6 +11,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 _local_base: str | None = None
+_open: list[Scratch] = []
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -35,6 +36,7 @@ class Scratch:
         self.spark = spark
         self.root = f"{shared_base(spark)}/{label}-{uuid.uuid4().hex}"
         self.count = 0
+        _open.append(self)
 
     def settle(self, df: DataFrame, name: str) -> DataFrame:
         self.count += 1
@@ -44,6 +46,11 @@ class Scratch:
         out._scratch_path = path
         return out
 
+    def clear(self) -> None:
+        """Delete every table of this scratch; only once nothing that reads them is still to run."""
+        where = self.spark._jvm.org.apache.hadoop.fs.Path(self.root)
+        where.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(where, True)
+
     def drop(self, *frames: DataFrame | None) -> None:
         """Delete settled tables that no later plan reads."""
         for df in frames:
@@ -54,6 +61,16 @@ class Scratch:
                 where.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(where, True)
 
 
+def clear_since(mark: int) -> None:
+    """Delete the scratch tables opened since there were `mark` of them."""
+    while len(_open) > mark:
+        _open.pop().clear()
+
+
+def opened() -> int:
+    return len(_open)
+
+
 def slices(batches: Iterator[pa.RecordBatch], rows: int = 512) -> Iterator[pa.RecordBatch]:
     """The same rows in short batches, so that a Python worker holds few texts as strings at a time."""
     for batch in batches:
