@@ -40,9 +40,14 @@ def stream_shares(docs: DataFrame, power: float = 0.5, weights: dict[str, float]
     part = asked.withColumn("x", F.lit(slots) * F.col("want") / F.sum("want").over(every)).withColumn("base", F.greatest(F.lit(1), F.floor("x")).cast("int"))
     part = part.withColumn("left", F.lit(slots) - F.sum("base").over(every))
     by_rest = Window.orderBy(F.desc(F.col("x") - F.col("base")), "others", F.asc_nulls_first("source"))
-    by_size = Window.orderBy(F.desc("base"), "others", F.asc_nulls_first("source"))
-    part = part.withColumn("r", F.row_number().over(by_rest)).withColumn("s", F.row_number().over(by_size))
-    share = F.col("base") + F.when((F.col("left") > 0) & (F.col("r") <= F.col("left")), 1).otherwise(0) + F.when((F.col("left") < 0) & (F.col("s") == 1), F.col("left")).otherwise(0)
+    # what small streams got beyond their weight comes from all with more than one slot, in proportion; none falls below one
+    spare = F.col("base") - 1
+    owed = F.greatest(-F.col("left"), F.lit(0)) * spare
+    part = part.withColumn("spare", F.greatest(F.sum(spare).over(every), F.lit(1))).withColumn("cut", F.floor(owed / F.col("spare"))).withColumn("over", owed % F.col("spare"))
+    part = part.withColumn("still", F.greatest(-F.col("left"), F.lit(0)) - F.sum("cut").over(every))
+    by_over = Window.orderBy(F.desc("over"), "others", F.asc_nulls_first("source"))
+    part = part.withColumn("r", F.row_number().over(by_rest)).withColumn("o", F.row_number().over(by_over))
+    share = F.col("base") + F.when(F.col("r") <= F.col("left"), 1).otherwise(0) - F.col("cut") - F.when(F.col("o") <= F.col("still"), 1).otherwise(0)
     return part.select((F.row_number().over(order) - 1).cast("int").alias("stream"), "source", "others", share.cast("int").alias("share"))
 
 
@@ -75,6 +80,9 @@ def period(shares: DataFrame, slots: int = SLOTS) -> DataFrame:
 def mix(docs: DataFrame, scratch: Scratch, weights: dict[str, float] | None = None, power: float = 0.5, block: int = BLOCK, slots: int = SLOTS) -> DataFrame:
     """Add _slw_stream, _slw_block, _slw_slot and _slw_in_block to docs. Reading by slot, then place in the block, gives the mixed order."""
     shares = scratch.settle(stream_shares(docs, power, weights, slots), "shares")
+    least, whole = shares.agg(F.min("share"), F.sum("share")).first()
+    if whole is not None and (least < 1 or whole != slots):
+        raise ValueError(f"shares of a period: least {least}, sum {whole} of {slots} slots; every stream needs a slot and some weight must be positive")
     plan = scratch.settle(period(shares, slots), "period")
     own = shares.where("not others").select(F.col("stream").alias("_slw_s"), F.col("source").alias("_slw_src"))
     streamed = docs.join(F.broadcast(own), docs["source"].eqNullSafe(F.col("_slw_src")), "left")  # at most STREAMS rows

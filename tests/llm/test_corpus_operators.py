@@ -203,6 +203,19 @@ def test_mixing_keeps_all_rows_and_weights(spark):
     assert {r["source"]: r["share"] for r in given} == {"s0": 300, "s1": 100, "s2": 100, None: 500}
 
 
+def test_mixing_keeps_large_sources_beside_many_small_ones(spark):
+    from pyspark.sql import functions as F
+
+    large = spark.range(20 * 10_000).select(F.col("id").alias("doc_id"), F.concat(F.lit("large"), (F.col("id") % 20).cast("string")).alias("source"))
+    small = spark.range(200).select((F.col("id") + 1_000_000).alias("doc_id"), F.concat(F.lit("small"), F.col("id").cast("string")).alias("source"))
+    rows = large.union(small)
+    shares = [r["share"] for r in mixing.stream_shares(rows).collect()]
+    assert len(shares) == 220 and sum(shares) == mixing.SLOTS and sorted(shares) == [1] * 200 + [40] * 20
+    out = mixing.mix(rows, Scratch(spark, "t"))
+    count = lambda df: {r["source"]: r["count"] for r in df.groupBy("source").count().collect()}
+    assert count(out) == count(rows)
+
+
 # ---- sharding
 
 
