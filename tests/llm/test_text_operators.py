@@ -55,6 +55,26 @@ def test_trees_find_added_kinds_and_leave_plain_text():
     assert pii.redact("mail a@b.co or c@d.ef.", pii.base_spans("mail a@b.co or c@d.ef.")) == "mail [EMAIL] or [EMAIL]."
 
 
+def test_texts_without_digit_or_at_sign_are_searched():
+    trees, limits = pii.trained()
+    address, secret = "please write to joe [at] site [dot] com for more", 'the password = "hQzWvKxRtBnMpLdGfJsYcTqZ" was set'
+    for text, kind, value in ((address, "email_text", "joe [at] site [dot] com"), (secret, "secret", "hQzWvKxRtBnMpLdGfJsYcTqZ")):
+        assert not re.search("[0-9@]", text)
+        base, added = pii.redactions(text, trees, limits)
+        assert base == [] and (kind, text.index(value), text.index(value) + len(value)) in added
+    texts = [address, None, secret, "", "plain words", 'token = "24be64439e3e49cf46b2d7c90f3602a3d0b907ff", a@b.co']
+    assert pii.all_redactions(texts, trees, limits) == [pii.redactions(t, trees, limits) for t in texts]
+
+
+def test_prefilters_lose_no_candidate():
+    rng = random.Random(11)
+    parts = ["joe", "AT", "at", " ", "[", "]", "(", ")", "Dot", "dot", ".", "com", "site", "12", "123-45-6789", "555 123 4567", "DE12", "ABCD", "12ef", "abcd", ":", "=", "key", "password", "x" * 22, "-", "at ", "\n"]
+    for _ in range(4000):
+        text = "".join(rng.choice(parts) for _ in range(rng.randint(0, 16)))
+        want = sorted({(kind, *m.span(1)) for kind, ps in pii._GENERATORS.items() for p in ps for m in p.finditer(text)})
+        assert pii.candidates(text) == want, text
+
+
 def test_pii_rows(spark):
     rows = [*EDGE, (9, "a@b.co 1.2.3.4")]
     got = pii.find_personal_data(docs(spark, rows), with_text=True).collect()
