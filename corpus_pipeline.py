@@ -1,7 +1,8 @@
 """From raw documents to balanced shards: quality, near duplicates, benchmark leaks, mixing, sharding.
 
 Each stage works on all that its predecessor kept; run() writes every stage's result to the shared folder, reads it
-again for the next, and deletes what a stage wrote for itself.
+again for the next, and deletes what a stage wrote for itself. The mixed order lives in the order of the mixing stage's
+files and rows; the last stage reads it from there and numbers the slots of each shard by it.
 """
 
 from __future__ import annotations
@@ -12,6 +13,8 @@ from pyspark.sql import functions as F
 from slowlens.llm import decontaminate, minhash, mixing, quality, sharding
 from slowlens.llm.common import Scratch, clear_since, opened, table
 
+WEIGHTS: dict[str, float] | None = None  # target weights of sources; None: roots of their sizes
+
 
 def keep_good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the quality classifier doesn't reject."""
@@ -32,13 +35,13 @@ def keep_unleaked(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All documents, range-partitioned and sorted into the mixed order."""
-    mixed = mixing.mix(docs, Scratch(spark, "mix"))
+    mixed = mixing.mix(docs, Scratch(spark, "mix"), WEIGHTS)
     return mixed.orderBy("_slw_slot", "_slw_in_block").select(*docs.columns)
 
 
 def shard(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """doc_id, size, text_crc32, law, shard, slot and grown_shard of all documents."""
-    return sharding.shard_layout(docs, Scratch(spark, "shards"))
+    """doc_id, size, text_crc32, law, shard, slot and grown_shard of all documents; slots of a shard follow the mixed order."""
+    return sharding.shard_layout(docs, Scratch(spark, "shards"), in_place=True)
 
 
 STAGES = [("quality", keep_good), ("near_duplicates", keep_first_copies), ("decontamination", keep_unleaked), ("mixing", mix_sources), ("sharding", shard)]

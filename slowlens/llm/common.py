@@ -7,6 +7,7 @@ import uuid
 from collections.abc import Iterator
 
 import pyarrow as pa
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -85,7 +86,31 @@ def numbered(df: DataFrame, key: str, order: list, spread, buckets: int, scratch
     counts by (key, bucket) gives each bucket its offset. The counts are summed map-side, and the running sum runs over
     keys x buckets rows only.
     """
-    dealt = df.withColumn("_slw_b", F.pmod(spread, F.lit(buckets)).cast("int"))
+    return _numbered(df.withColumn("_slw_b", F.pmod(spread, F.lit(buckets)).cast("int")), key, order, scratch, out)
+
+
+def placed_rows(df: DataFrame, stretch: int = 4096) -> DataFrame:
+    """Add _slw_part and _slw_row: the place of every row in the order of df, in stretches of so many rows.
+
+    Of tables in files that is the order of file names (longer ones last, as Spark counts its part files), then of rows
+    in a file; of other frames the order of partitions, then of rows.
+    """
+    try:
+        placed = df.withColumn("_slw_file", F.col("_metadata.file_name")).withColumn("_slw_row", F.col("_metadata.row_index"))
+        placed.schema  # noqa: B018  # analysed here
+    except AnalysisException:
+        placed = df.withColumn("_slw_file", F.lit("")).withColumn("_slw_row", F.monotonically_increasing_id())
+    name = F.concat(F.lpad(F.length("_slw_file").cast("string"), 4, "0"), "_slw_file", F.lpad(F.floor(F.col("_slw_row") / stretch).cast("string"), 19, "0"))
+    return placed.withColumn("_slw_part", name).drop("_slw_file")
+
+
+def numbered_in_place(df: DataFrame, key: str, scratch: Scratch, out: str) -> DataFrame:
+    """Number the rows of each key from 0 without gaps, in the order that placed_rows() noted."""
+    return _numbered(df.withColumnRenamed("_slw_part", "_slw_b"), key, ["_slw_row"], scratch, out).drop("_slw_row")
+
+
+def _numbered(dealt: DataFrame, key: str, order: list, scratch: Scratch, out: str) -> DataFrame:
+    """Numbers by bucket (_slw_b), in a bucket by `order`."""
     counts = dealt.groupBy(key, "_slw_b").agg(F.count("*").alias("_slw_n"))
     before = Window.partitionBy(key).orderBy("_slw_b").rowsBetween(Window.unboundedPreceding, -1)
     offsets = counts.select(F.col(key).alias("_slw_k"), F.col("_slw_b").alias("_slw_ob"), F.coalesce(F.sum("_slw_n").over(before), F.lit(0)).alias("_slw_off"))

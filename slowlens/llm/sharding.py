@@ -16,7 +16,7 @@ import heapq
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from slowlens.llm.common import Scratch, numbered, table
+from slowlens.llm.common import Scratch, numbered, numbered_in_place, placed_rows, table
 
 PARCELS, LARGE_SHARE, SLOT_BUCKETS = 4096, 1000, 512
 
@@ -59,12 +59,18 @@ def assign_shards(docs: DataFrame, shards: int, text: str = "text", parcels: int
     return keyed.withColumn("shard", shard.cast("int")).drop("_h1", "_h2")
 
 
-def shard_layout(docs: DataFrame, scratch: Scratch, shards: int = 8, buckets: int = SLOT_BUCKETS) -> DataFrame:
-    """doc_id, size, text_crc32, law, shard, slot, grown_shard; slots of a shard run from 0 without gaps."""
-    placed = assign_shards(docs.select("doc_id", "text"), shards)
-    narrow = placed.select("doc_id", "size", F.crc32(F.coalesce("text", F.lit("")).cast("binary")).alias("text_crc32"), "shard")
+def shard_layout(docs: DataFrame, scratch: Scratch, shards: int = 8, buckets: int = SLOT_BUCKETS, in_place: bool = False) -> DataFrame:
+    """doc_id, size, text_crc32, law, shard, slot, grown_shard; slots of a shard run from 0 without gaps. With `in_place`
+    they follow the order of docs."""
+    known = placed_rows(docs).select("doc_id", "text", "_slw_part", "_slw_row") if in_place else docs.select("doc_id", "text")
+    placed = assign_shards(known, shards)
+    crc = F.crc32(F.coalesce("text", F.lit("")).cast("binary")).alias("text_crc32")
+    narrow = placed.select("doc_id", "size", crc, "shard", *["_slw_part", "_slw_row"] * in_place)
     narrow = scratch.settle(narrow, "placed")
-    slots = numbered(narrow, "shard", ["doc_id", "text_crc32", "size"], F.xxhash64("doc_id", "text_crc32"), buckets, scratch, "slot")
+    if in_place:
+        slots = numbered_in_place(narrow, "shard", scratch, "slot")
+    else:
+        slots = numbered(narrow, "shard", ["doc_id", "text_crc32", "size"], F.xxhash64("doc_id", "text_crc32"), buckets, scratch, "slot")
     return slots.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
 
 

@@ -262,6 +262,23 @@ def test_pipeline_stages(spark):
     assert sum(labels.get(i) == 0 for i in before) <= 3
 
 
+def test_mixed_order_reaches_the_shards(spark, monkeypatch):
+    monkeypatch.setattr(corpus_pipeline, "STAGES", corpus_pipeline.STAGES[-2:])
+    sources = [r["source"] for r in table(spark, SF, "documents").select("source").distinct().collect() if r["source"]]
+    results = []
+    for first in (min(sources), max(sources)):
+        weights = {s: 50.0 if s == first else 1.0 for s in sources}
+        monkeypatch.setattr(corpus_pipeline, "WEIGHTS", weights)
+        got = {r["doc_id"]: (r["shard"], r["slot"]) for r in corpus_pipeline.run(spark, SF).collect()}
+        mixed = mixing.mix(table(spark, SF, "documents"), Scratch(spark, "t"), weights).select("doc_id", "_slw_slot", "_slw_in_block").collect()
+        by = defaultdict(list)
+        for r in sorted(mixed, key=lambda r: (r["_slw_slot"], r["_slw_in_block"])):
+            by[got[r["doc_id"]][0]].append(got[r["doc_id"]][1])
+        assert all(v == list(range(len(v))) for v in by.values()) and len(by) == 8
+        results.append(got)
+    assert {i: s for i, (s, _) in results[0].items()} == {i: s for i, (s, _) in results[1].items()} and results[0] != results[1]
+
+
 def test_stages_with_clashing_columns_and_nulls(spark):
     """Names that the operators use inside, nulls everywhere, and repeated rows."""
     from pyspark.sql import functions as F
