@@ -1,15 +1,17 @@
 """Near duplicates by ProbMinHash signatures, banding and exact verification.
 
-A document is the weighted set of its five-word shingles, weight 1 + ln(count). For each shingle a Poisson process with
-that rate drops arrivals into REGISTERS registers; a register keeps the shingle of its earliest arrival, and a process
-ends once its time passes the document's latest register. Two registers agree with the probability Jaccard of the two
-weighted sets. Bands of ROWS registers propose pairs; exact Jaccard of the shingle sets, SIMILARITY or more, links them.
+A document is the set of its five-word shingles. For each shingle a Poisson process drops arrivals into REGISTERS
+registers; a register keeps the shingle of its earliest arrival, and a process ends once its time passes the document's
+latest register. The rate is 1 + ln(count) for weighted sets and two registers agree with their probability Jaccard; here
+every count is taken as one, so that what the registers estimate is the very Jaccard of sets by which pairs are linked,
+however often a shingle is repeated. Bands of ROWS registers propose pairs; exact Jaccard of the shingle sets, SIMILARITY
+or more, links them.
 
 Equal token sequences are one node from the start. Within a bucket of a band each node is first compared with one
 leader, the node that meets the most others over all its bands (the original of a group of copies agrees with all of
 them); linked nodes are joined to components. Only then are nodes of one bucket compared whose components still differ,
 on their signatures, in chunks of bounded size, and those above PROBABLE are verified. So no link between components is
-lost but by the chance of banding (0.8^4 per band, 32 bands: under 1e-7) or of the signature's error (over 4 sigma).
+lost but by the chance of banding (0.8^4 per band, 32 bands: under 1e-7) or of the signature's error (4 sigma).
 A node with many probable partners in one component is verified against blocks of that component's members, the block's
 sets side by side in one task's memory, so that rows grow with nodes and blocks and not with pairs of copies.
 
@@ -114,7 +116,8 @@ def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         texts, ids = batch.column("text").to_pylist(), batch.column("doc_id")
         for a, b in _parts(texts):
             part = texts[a:b]
-            sig = signatures(*shingle_sets(part, seen), len(part))
+            doc, h, _ = shingle_sets(part, seen)
+            sig = signatures(doc, h, np.ones(len(h), np.int64), len(part))
             whole = [xxhash.xxh3_128_digest(" ".join((t or "").lower().split())) for t in part]
             yield pa.RecordBatch.from_arrays([ids.slice(a, b - a), pa.array(whole, pa.binary()), pa.array([s.tobytes() for s in sig], pa.binary())], names=["doc_id", "whole", "sig"])
 

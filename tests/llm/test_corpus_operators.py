@@ -118,6 +118,21 @@ def test_near_duplicates_against_all_pairs(spark, monkeypatch, chunk):
     assert minhash.drop_near_duplicates(docs(spark, rows + rows[:5]), Scratch(spark, "t")).count() == len(kept)
 
 
+def test_near_duplicates_with_repeated_lines(spark):
+    rng = random.Random(9)
+    texts = {}
+    for g in range(12):  # one set of shingles, or 0.83 of it, and parts of it many times over
+        base = [f"g{g}w{rng.randint(0, 10**6)}" for _ in range(104)]
+        line = [f"g{g}x{k}" for k in range(20)]
+        texts[3 * g] = " ".join(base)
+        texts[3 * g + 1] = " ".join(base + line[:15] * 50)
+        texts[3 * g + 2] = " ".join(base[:54] * 50 + base)
+    want = plain_classes(texts)
+    assert len(set(want.values())) == 12
+    got = {r["doc_id"]: r["class_id"] for r in minhash.near_duplicate_classes(docs(spark, [(i, t, "s") for i, t in texts.items()]), Scratch(spark, "t")).collect()}
+    assert got == want
+
+
 def test_signatures_estimate_weighted_likeness():
     rng = np.random.default_rng(1)
     a = {int(x): int(c) for x, c in zip(rng.integers(1, 2**60, 300), rng.integers(1, 5, 300), strict=True)}
