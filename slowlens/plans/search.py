@@ -35,6 +35,8 @@ class Found:
         return [tuple(self.selectors[i] for i in r["p"]) for r in self.rows]
 
     def frame(self, spark) -> DataFrame:
+        if not self.complete:
+            raise TimeoutError("the time limit ended the search; `rows` holds the best so far, raise time_limit_s for the answer")
         data = [(r["rank"], r["description"], len(r["p"]), r["n"], _round(float(r["s1"]) / r["n"]), r["score"]) for r in self.rows]
         return spark.createDataFrame(data, RESULT)
 

@@ -163,3 +163,8 @@ def test_too_many_categories_are_refused(session):
 def test_chance_scores(session):
     rows = search.null_scores(session.ds, session.selectors[:5], "mean_test", rounds=4)
     assert len(rows) == 4 and len(set(rows)) > 1
+
+
+def test_an_unfinished_search_gives_no_frame():
+    with pytest.raises(TimeoutError):
+        search.Found([], complete=False).frame(None)
