@@ -53,22 +53,35 @@ def estimate(measure: Measure, g: Norms, floor: int, binary: bool = False) -> Co
     return F.lit(None).cast("double")
 
 
-def tight_family(rows, key: list[str], target: str, a: float, g: Norms, floor: int):
-    """Exact optimum over all refinements for any target: the best prefix of each candidate's rows by falling target."""
-    down = Window.partitionBy(*key).orderBy(F.desc(target)).rowsBetween(Window.unboundedPreceding, 0)
-    d = F.col(target).cast("double") - g.mean
-    runs = rows.withColumn("_i", F.row_number().over(Window.partitionBy(*key).orderBy(F.desc(target)))).withColumn("_p", F.sum(d).over(down))
-    value = F.lit(float(g.n) ** -a) * F.pow(F.col("_i").cast("double"), F.lit(a - 1)) * F.col("_p")
-    return runs.where(F.col("_i") >= floor).groupBy(*key).agg(F.max(value).alias("bound"))
-
-
-def tight_median(rows, key: list[str], target: str, a: float, g: Norms, floor: int):
-    """Exact optimum for the median score: of q rows the median is at most the ceil(q / 2)-th largest value."""
-    order = Window.partitionBy(*key).orderBy(F.desc(target))
-    ranks = rows.withColumn("_i", F.row_number().over(order)).withColumn("_n", F.count("*").over(Window.partitionBy(*key)))
-    largest = F.least(2 * F.col("_i"), F.col("_n"))  # the largest q whose half reaches this row
-    q = F.greatest(largest, F.lit(floor)) if floor else largest
-    ok = (2 * F.col("_i") - 1 <= F.col("_n")) & (F.greatest(2 * F.col("_i") - 1, F.lit(floor)) <= largest)
-    value = F.pow(q.cast("double") / g.n, F.lit(a)) * (F.col(target).cast("double") - g.median)
-    short = F.pow(F.greatest(2 * F.col("_i") - 1, F.lit(floor)).cast("double") / g.n, F.lit(a)) * (F.col(target).cast("double") - g.median)
-    return ranks.where(ok).groupBy(*key).agg(F.max(F.greatest(value, short)).alias("bound"))
+def _by_falling_bins(bins, key: list[str]):
+    """Running counts and sums before each bin, from the highest bin down: at most a row for each candidate and bin."""
+    down = Window.partitionBy(*key).orderBy(F.desc("bin")).rowsBetween(Window.unboundedPreceding, -1)
+    zero = lambda c: F.coalesce(F.sum(c).over(down), F.lit(0.0))
+    return bins.withColumn("_before", zero("n")).withColumn("_sum", zero("s")).withColumn("_end", F.col("_before") + F.col("n"))
+
+
+def binned_family(bins, key: list[str], a: float, g: Norms, floor: int):
+    """At least the optimum over all refinements for any target, and exactly it where a bin holds one value.
+
+    `bins` has key, bin, n, s (sum of the target), top (its maximum in the bin). The best refinement of i rows takes the i
+    largest; within a bin they sum to no more than i times its top, and the value is greatest at an end of the bin.
+    """
+    runs = _by_falling_bins(bins, key)
+    deviation = F.col("_sum") - F.col("_before") * g.mean
+
+    def value(i: Column) -> Column:
+        return F.lit(float(g.n) ** -a) * F.pow(i, F.lit(a - 1)) * (deviation + (i - F.col("_before")) * (F.col("top") - g.mean))
+
+    first = F.greatest(F.col("_before"), F.lit(float(max(floor, 1))))
+    return runs.where(F.col("_end") >= max(floor, 1)).groupBy(*key).agg(F.max(F.greatest(value(first), value(F.col("_end").cast("double")))).alias("bound"))
+
+
+def binned_median(bins, key: list[str], a: float, g: Norms, floor: int):
+    """The same for the median score: of q rows the median is at most the ceil(q / 2)-th largest value."""
+    runs = _by_falling_bins(bins, key).withColumn("_n", F.sum("n").over(Window.partitionBy(*key)))
+    gain = F.col("top") - g.median
+    most = F.greatest(F.least(2 * F.col("_end"), F.col("_n")), F.lit(float(floor)))
+    least = F.greatest(2 * F.col("_before") + 1, F.lit(float(floor)))
+    ok = (F.col("_n") >= floor) & (2 * F.col("_before") + 1 <= F.col("_n")) & (least <= most)
+    size = lambda q: F.pow(q.cast("double") / g.n, F.lit(a))
+    return runs.where(ok).groupBy(*key).agg(F.max(F.greatest(size(most) * gain, size(least) * gain)).alias("bound"))

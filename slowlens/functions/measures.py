@@ -24,6 +24,7 @@ class Norms:
     median: float | None
     std: float
     positives: int | None = None
+    form: str = "double"  # the type in which targets are summed, see functions.exact
 
     @property
     def rate(self) -> float:

@@ -5,7 +5,9 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from slowlens.functions.exact import summand
 from slowlens.functions.literals import constant
+from slowlens.functions.quantiles import edges_of, medians_from, middle_bins, place
 from slowlens.operators.dataset import SubgroupDataset
 from slowlens.operators.selectors import Selector
 
@@ -67,26 +69,35 @@ def level_counts(cells: DataFrame, patterns: list[tuple[int, ...]], blocked: lis
     )
 
 
-def with_medians(cands: DataFrame, encoded: DataFrame, patterns: list[tuple[int, ...]], blocked: list[list[int]], ordered: bool = False) -> DataFrame:
-    """Add the exact interpolated median `med` of each candidate; only rows of candidates in `cands` are aggregated."""
-    grown = refinements(encoded.select("t", "sels"), patterns, blocked, ordered).join(cands.select(F.col("p").alias("_p")), F.col("p") == F.col("_p"), "left_semi")
-    med = grown.groupBy("p").agg(F.percentile(F.col("t").cast("double"), 0.5).alias("med")).select(F.col("p").alias("_p"), "med")
-    return cands.join(med, F.col("p") == F.col("_p")).drop("_p")
+def with_medians(cands: DataFrame, encoded: DataFrame, edges: list[float], small: DataFrame, patterns: list[tuple[int, ...]], blocked: list[list[int]], ordered: bool = False) -> DataFrame:
+    """Add the exact interpolated median `med` of each candidate in `cands`.
+
+    Counts by target bin say in which bins a candidate's middle rows lie; only rows of those bins are counted by value and
+    ordered, so what is sorted for a candidate is a small share of its distinct values, and it may spill.
+    """
+    of_cands = lambda df: df.join(cands.select(F.col("p").alias("_p")), F.col("p") == F.col("_p"), "left_semi")
+    bins = of_cands(refinements(small, patterns, blocked, ordered)).groupBy("p", "bin").agg(F.sum("n").alias("n"))
+    rows = encoded.select(F.col("t").cast("double").alias("v"), "sels", place(F.col("t").cast("double"), edges).alias("bin"), F.lit(1).alias("n"))
+    med = medians_from(refinements(rows, patterns, blocked, ordered), middle_bins(bins, "p"), "p")
+    return cands.join(med, F.col("p") == F.col("_k")).drop("_k")
 
 
 def bin_edges(encoded: DataFrame, bins: int = BINS) -> list[float]:
     """Quantile edges of the target, for median brackets; approximate quantiles do, as the brackets stay true bounds."""
-    at = [i / bins for i in range(bins + 1)]
-    row = encoded.agg(F.percentile_approx(F.col("t").cast("double"), at, 10 * bins).alias("q"), F.min(F.col("t").cast("double")).alias("lo"), F.max(F.col("t").cast("double")).alias("hi")).first()
-    return sorted({row["lo"], *row["q"], row["hi"]}) if row["q"] else []
+    return edges_of(encoded, "t", bins)
 
 
 def binned(encoded: DataFrame, edges: list[float]) -> DataFrame:
-    """(sels, bin, n): rows by selector set and target bin, a bin being the number of edges at or below the target."""
-    cuts, t = constant(edges, "array<double>"), F.col("t").cast("double")
-    steps = [1 << b for b in range(len(edges).bit_length() - 1, -1, -1)]  # binary search
-    place = F.aggregate(F.lit(steps), F.lit(0), lambda at, step: F.when((at + step <= len(edges)) & (F.try_element_at(cuts, at + step) <= t), at + step).otherwise(at))
-    return encoded.select("sels", place.alias("bin")).groupBy("sels", "bin").agg(F.count("*").alias("n"))
+    """(sels, bin, n, s, top): rows by selector set and target bin, a bin being the number of edges at or below the target."""
+    t = F.col("t").cast("double")
+    rows = encoded.select("sels", place(t, edges).alias("bin"), t.alias("v"))
+    return rows.groupBy("sels", "bin").agg(F.count("*").alias("n"), F.sum("v").alias("s"), F.max("v").alias("top"))
+
+
+def target_bins(cands: DataFrame, small: DataFrame, patterns: list[tuple[int, ...]], blocked: list[list[int]], ordered: bool) -> DataFrame:
+    """(p, bin, n, s, top) of the candidates: at most a row for each candidate and bin."""
+    rows = refinements(small, patterns, blocked, ordered).join(cands.select(F.col("p").alias("_p")), F.col("p") == F.col("_p"), "left_semi")
+    return rows.groupBy("p", "bin").agg(F.sum("n").alias("n"), F.sum("s").alias("s"), F.max("top").alias("top"))
 
 
 def median_brackets(small: DataFrame, edges: list[float], patterns: list[tuple[int, ...]], blocked: list[list[int]], ordered: bool = False) -> DataFrame:
@@ -107,8 +118,8 @@ def prefix_counts(ds: SubgroupDataset, attr: str, cuts: list, min_support: int =
     """All `>= c` and `< c` selectors of one numeric attribute from one bin per row: counts by bin, then running sums."""
     edges = sorted(cuts)
     value = F.col(attr).cast("double")
-    place = F.aggregate(F.lit([float(c) for c in edges]), F.lit(0), lambda a, c: a + (value >= c).cast("int"))
-    rows = ds.rows().where(value.isNotNull() & ~F.isnan(value)).select(place.alias("bin"), F.col("t").cast("decimal(18,2)").alias("t"))
+    at = place(value, [float(c) for c in edges])
+    rows = ds.rows().where(value.isNotNull() & ~F.isnan(value)).select(at.alias("bin"), summand(F.col("t"), ds.df.schema[ds.target].dataType).alias("t"))
     binned = rows.groupBy("bin").agg(F.count("*").alias("n"), F.sum("t").alias("s1"))
     frame = ds.df.sparkSession.range(1, len(edges) + 1).select(F.col("id").cast("int").alias("i"), F.element_at(F.lit([float(c) for c in edges]), F.col("id").cast("int")).alias("cut"))
     both = F.broadcast(frame).crossJoin(binned)  # cuts x bins, both bounded by the cut list

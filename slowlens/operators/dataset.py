@@ -7,7 +7,9 @@ from dataclasses import dataclass, field, replace
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from slowlens.functions import exact
 from slowlens.functions.measures import Norms
+from slowlens.functions.quantiles import median
 
 
 @dataclass(frozen=True)
@@ -56,10 +58,12 @@ class SubgroupDataset:
     def with_target(self, target: Column) -> SubgroupDataset:
         return replace(self, df=self.df.withColumn(self.target, target))
 
-    def norms(self, median: bool = True) -> Norms:
-        """One pass over the target."""
-        t = F.col("t")
-        exact = [F.count("*").alias("n"), F.sum(t).alias("s1"), F.stddev_pop(t.cast("double")).alias("sd"), F.sum((t.cast("double") > 0).cast("long")).alias("pos")]
-        row = self.rows().select("t").agg(*exact, (F.percentile(t.cast("double"), 0.5) if median else F.lit(None).cast("double")).alias("med")).first()
+    def norms(self, with_median: bool = True) -> Norms:
+        """One pass over the target, two more for its median."""
+        rows = self.rows().select("t")
+        kind, t = rows.schema["t"].dataType, F.col("t")
+        stats = [F.count("*").alias("n"), F.sum(exact.summand(t, kind)).alias("s1"), F.stddev_pop(t.cast("double")).alias("sd"), F.sum((t.cast("double") > 0).cast("long")).alias("pos"), F.max(F.abs(t.cast("double"))).alias("most")]
+        row = rows.agg(*stats).first()
         n = row["n"]
-        return Norms(n, float(row["s1"]) / n if n else 0.0, row["med"], row["sd"] or 0.0, row["pos"])
+        middle = median(rows, "t", n) if with_median else None
+        return Norms(n, float(row["s1"]) / n if n else 0.0, middle, row["sd"] or 0.0, row["pos"], exact.form(kind, row["most"], n))

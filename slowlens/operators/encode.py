@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -39,27 +42,50 @@ def encode(ds: SubgroupDataset, selectors: list[Selector]) -> DataFrame:
     return ds.rows().select("oid", "t", selector_ids(selectors).alias("sels"))
 
 
-def token_map_is_large(selectors: list[Selector], most: int = 2000) -> bool:
+def token_map_is_large(selectors: list[Selector], most: int = 200) -> bool:
     return sum(s.op == "token" for s in selectors) > most
 
 
-def encode_by_join(ds: SubgroupDataset, selectors: list[Selector]) -> DataFrame:
-    """As encode(), for more token selectors than a literal should hold: the rows' tokens join a selector table."""
-    spark = ds.df.sparkSession
+def encode_by_index(ds: SubgroupDataset, selectors: list[Selector]) -> DataFrame:
+    """As encode(), for more token selectors than a literal should hold: each batch of rows looks its tokens up in a hash
+    index of the selectors, beside the scan and without a shuffle."""
     dense = [s for s in selectors if s.op != "token"]
     place = {s: i for i, s in enumerate(selectors)}
-    table = spark.createDataFrame([(s.value, int(s.levels[0]) if s.levels else 1, place[s]) for s in selectors if s.op == "token"], "token string, least int, sel int")
-    rows = ds.rows()
-    back = F.filter(F.array(*[F.when(s.column(), F.lit(place[s])) for s in dense]), lambda x: x.isNotNull()) if dense else F.array().cast("array<int>")
-    base = rows.select("oid", "t", back.alias("own"), F.explode_outer(F.map_entries(ds.tokens)).alias("e"))
-    joined = base.join(F.broadcast(table), (F.col("e.key") == F.col("token")) & (F.col("e.value") >= F.col("least")), "left")
-    return joined.groupBy("oid").agg(F.first("t").alias("t"), F.first("own").alias("own"), F.collect_list("sel").alias("sel")).select("oid", "t", F.array_sort(F.concat("own", "sel")).alias("sels"))
+    layers: list[dict[str, tuple[int, int]]] = []  # the nth selector of each token
+    for s in selectors:
+        if s.op == "token":
+            layer = next((x for x in layers if s.value not in x), None)
+            if layer is None:
+                layers.append(layer := {})
+            layer[s.value] = (int(s.levels[0]) if s.levels else 1, place[s])
+    known = [(list(x), [c for c, _ in x.values()], [i for _, i in x.values()]) for x in layers]
+
+    @F.arrow_udf("array<int>")
+    def looked_up(keys: pa.Array, values: pa.Array) -> pa.Array:
+        of_row = np.repeat(np.arange(len(keys)), np.diff(np.asarray(keys.offsets)))
+        tokens, counts = keys.flatten(), np.asarray(values.flatten())
+        rows, found = [], []
+        for names, least, ids in known:
+            at = np.asarray(pc.fill_null(pc.index_in(tokens, value_set=pa.array(names, tokens.type)), -1))
+            hit = np.flatnonzero(at >= 0)
+            hit = hit[counts[hit] >= np.array(least)[at[hit]]]
+            rows.append(of_row[hit])
+            found.append(np.array(ids, np.int32)[at[hit]])
+        row, sel = np.concatenate(rows), np.concatenate(found)
+        order = np.argsort(row, kind="stable")
+        ends = np.searchsorted(row[order], np.arange(len(keys) + 1)).astype(np.int32)
+        return pa.ListArray.from_arrays(pa.array(ends), pa.array(sel[order], pa.int32()))
+
+    tokens = F.coalesce(F.col(ds.tokens), F.create_map().cast("map<string,int>"))
+    hits = looked_up(F.map_keys(tokens), F.map_values(tokens))
+    chunks = [F.filter(F.array(*[F.when(s.column(), F.lit(place[s])) for s in dense[a : a + DENSE_CHUNK]]), lambda x: x.isNotNull()) for a in range(0, len(dense), DENSE_CHUNK)]
+    return ds.rows().select("oid", "t", F.array_sort(F.concat(hits, *chunks)).alias("sels"))
 
 
 def cells(encoded: DataFrame, norms: Norms) -> DataFrame:
     """Rows that satisfy the same selectors are interchangeable for every additive statistic: one row for each such
     group, exact. The log shrinks to its distinct selector sets before any search level reads it."""
     t = F.col("t")
-    exact = t.cast("decimal(18,2)")
+    exact = t.cast(norms.form)
     bound = [c.alias(k) for k, c in inputs(t, norms).items()]
     return encoded.groupBy("sels").agg(F.count("*").alias("n"), F.sum(exact).alias("s1"), F.sum(exact * exact).alias("s2"), *bound, *signature_columns())

@@ -7,6 +7,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
+from slowlens.functions.quantiles import quantiles
 from slowlens.operators.dataset import SubgroupDataset
 
 
@@ -83,8 +84,8 @@ def ordinal(attr: str, levels: tuple[str, ...], up: bool = False) -> list[Select
     return [Selector(attr, "level>=", v, levels=levels) for v in levels[1:]] if up else equals(attr, list(levels))
 
 
-def cuts(ds: SubgroupDataset, attrs: list[str], policy: str = "quantile", bins: int = 5, values: dict[str, list] | None = None) -> dict[str, list[float]]:
-    """Cut points of all attributes in one aggregation: quantile, width, distinct, positive or explicit."""
+def cuts(ds: SubgroupDataset, attrs: list[str], policy: str = "quantile", bins: int = 5, values: dict[str, list] | None = None, most: int = 10_000) -> dict[str, list[float]]:
+    """Cut points of all attributes: quantile, width, distinct (refused beyond `most` values), positive or explicit."""
     if policy == "positive":
         return {a: [0.0] for a in attrs}
     if policy == "explicit":
@@ -92,14 +93,16 @@ def cuts(ds: SubgroupDataset, attrs: list[str], policy: str = "quantile", bins:
     rows = ds.rows()
     if policy == "quantile":
         at = [i / bins for i in range(1, bins)]
-        row = rows.agg(*[F.percentile(F.col(a).cast("double"), at).alias(a) for a in attrs]).first()
-        return {a: sorted(set(row[a] or [])) for a in attrs}
+        return {a: sorted(set(quantiles(rows, a, at))) for a in attrs}
     if policy == "width":
         row = rows.agg(*[F.struct(F.min(F.col(a).cast("double")).alias("lo"), F.max(F.col(a).cast("double")).alias("hi")).alias(a) for a in attrs]).first()
         return {a: sorted({row[a]["lo"] + (row[a]["hi"] - row[a]["lo"]) * i / bins for i in range(1, bins)}) if row[a]["lo"] is not None else [] for a in attrs}
     if policy == "distinct":
-        row = rows.agg(*[F.array_sort(F.collect_set(F.col(a).cast("double"))).alias(a) for a in attrs]).first()
-        return {a: list(row[a]) for a in attrs}
+        found = {a: [r[0] for r in rows.select(F.col(a).cast("double").alias("v")).where("v is not null").distinct().limit(most + 1).collect()] for a in attrs}
+        wide = [a for a in attrs if len(found[a]) > most]
+        if wide:
+            raise ValueError(f"over {most} distinct values of {wide}; cut them by quantiles")
+        return {a: sorted(found[a]) for a in attrs}
     raise ValueError(f"no policy {policy}")
 
 

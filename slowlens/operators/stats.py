@@ -6,7 +6,11 @@ from functools import reduce
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import DataType
 
+from slowlens.functions.exact import summand
+from slowlens.functions.literals import constant
+from slowlens.functions.quantiles import grouped_medians
 from slowlens.operators.dataset import SubgroupDataset
 from slowlens.operators.lattice import describe, to_column
 from slowlens.operators.selectors import Selector
@@ -15,9 +19,11 @@ Pattern = tuple[Selector, ...]
 
 
 def norms(ds: SubgroupDataset) -> DataFrame:
-    """The norm that subgroups are compared with."""
-    t = F.col("t")
-    return ds.rows().agg(F.count("*").alias("n"), F.round(F.sum(t.cast("decimal(18,2)")).cast("double") / F.count("*"), 6).alias("mean"), F.round(F.percentile(t.cast("double"), 0.5), 6).alias("median"), F.round(F.stddev_pop(t.cast("double")), 6).alias("std"))
+    """The norm that subgroups are compared with, as one row."""
+    g = ds.norms()
+    row = (g.n, g.mean if g.n else None, g.median, g.std if g.n else None)
+    out = ds.df.sparkSession.createDataFrame([row], "n bigint, mean double, median double, std double")
+    return out.select("n", *[F.round(c, 6).alias(c) for c in ("mean", "median", "std")])
 
 
 def matches(ds: SubgroupDataset, patterns: list[Pattern]) -> DataFrame:
@@ -28,19 +34,21 @@ def matches(ds: SubgroupDataset, patterns: list[Pattern]) -> DataFrame:
 
 def describe_patterns(ds: SubgroupDataset, patterns: list[Pattern]) -> DataFrame:
     """Size, mean, median and deviation of the target in each pattern."""
-    t = F.col("t")
-    rows = matches(ds, patterns).select(F.explode("_m").alias("pid"), "t")
-    names = F.lit([describe(p) for p in patterns])
-    out = rows.groupBy("pid").agg(F.count("*").alias("size"), (F.sum(t.cast("decimal(18,2)")).cast("double") / F.count("*")).alias("mean"), F.percentile(t.cast("double"), 0.5).alias("median"), F.stddev_pop(t.cast("double")).alias("std"))
-    return out.select(F.element_at(names, F.col("pid") + 1).alias("description"), "size", *[F.round(c, 6).alias(c) for c in ("mean", "std", "median")])
+    rows = matches(ds, patterns).select(F.explode("_m").alias("g"), "t")
+    return _described(rows, [describe(p) for p in patterns], ds.df.schema[ds.target].dataType)
 
 
 def describe_selectors(session) -> DataFrame:
     """The same for every single selector of a session, from its encoded rows."""
+    rows = session.encoded.select(F.explode("sels").alias("g"), "t")
+    return _described(rows, session.labels, session.encoded.schema["t"].dataType)
+
+
+def _described(rows: DataFrame, names: list[str], kind: DataType) -> DataFrame:
     t = F.col("t")
-    rows = session.encoded.select(F.explode("sels").alias("s"), "t")
-    out = rows.groupBy("s").agg(F.count("*").alias("size"), (F.sum(t.cast("decimal(18,2)")).cast("double") / F.count("*")).alias("mean"), F.percentile(t.cast("double"), 0.5).alias("median"), F.stddev_pop(t.cast("double")).alias("std"))
-    return out.select(F.element_at(F.lit(session.labels), F.col("s") + 1).alias("description"), "size", *[F.round(c, 6).alias(c) for c in ("mean", "std", "median")])
+    sums = rows.groupBy("g").agg(F.count("*").alias("size"), (F.sum(summand(t, kind)).cast("double") / F.count("*")).alias("mean"), F.stddev_pop(t.cast("double")).alias("std"))
+    out = sums.join(grouped_medians(rows, "g", "t"), F.col("g") == F.col("_k"))
+    return out.select(F.element_at(constant(names, "array<string>"), F.col("g") + 1).alias("description"), "size", *[F.round(c, 6).alias(a) for c, a in (("mean", "mean"), ("std", "std"), ("med", "median"))])
 
 
 def dataset_stats(ds: SubgroupDataset) -> DataFrame:
@@ -98,7 +106,7 @@ def containment(ds: SubgroupDataset, patterns: list[Pattern]) -> DataFrame:
 def contributions(ds: SubgroupDataset, pattern: Pattern, n: int, mean: float) -> DataFrame:
     """WRAcc of a pattern, and of it without each of its selectors, in one pass."""
     variants = [("all", pattern)] + [(f"without {s.label}", tuple(x for x in pattern if x != s)) for s in sorted(pattern, key=lambda s: s.label)]
-    t = F.col("t").cast("decimal(18,2)")
+    t = summand(F.col("t"), ds.df.schema[ds.target].dataType)
 
     def wracc(p: Pattern) -> Column:
         c = to_column(p)

@@ -79,8 +79,8 @@ def score(measure: str) -> str:
     return f"pow(n / tot, {a}) * (s1 / n - mu0)" if kind == "klosgen" else f"pow(n / tot, {a}) * (med - med0)"
 
 
-_STATS = "CAST(count(*) AS DOUBLE) AS n, CAST(sum(CAST(t AS DECIMAL(18,2))) AS DOUBLE) AS s1, CAST(sum(CAST(t AS DECIMAL(18,2)) * CAST(t AS DECIMAL(18,2))) AS DOUBLE) AS s2, median(CAST(t AS DOUBLE)) AS med, bit_xor(hash(oid)) AS sx, sum(hash(oid) // 2) AS ss"
-_NORMS = "SELECT CAST(count(*) AS DOUBLE) AS tot, CAST(sum(CAST(t AS DECIMAL(18,2))) AS DOUBLE) / count(*) AS mu0, median(CAST(t AS DOUBLE)) AS med0 FROM ds"
+_STATS = "CAST(count(*) AS DOUBLE) AS n, CAST(sum(t) AS DOUBLE) AS s1, CAST(sum(CAST(t AS DOUBLE) * CAST(t AS DOUBLE)) AS DOUBLE) AS s2, median(CAST(t AS DOUBLE)) AS med, bit_xor(hash(oid)) AS sx, sum(hash(oid) // 2) AS ss"
+_NORMS = "SELECT CAST(count(*) AS DOUBLE) AS tot, CAST(sum(t) AS DOUBLE) / count(*) AS mu0, median(CAST(t AS DOUBLE)) AS med0 FROM ds"
 
 
 def search(ds: str, sel: str, measure: str, k: int = 10, depth: int = 2, width: int | None = None, min_support: int | None = None, ties: bool = False, target: str | None = None, levels: bool = False, stats: str = "") -> str:

@@ -12,7 +12,7 @@ from slowlens.operators.selectors import Selector
 from slowlens.plans import oracle, search
 from slowlens.plans.interactive import Exploration
 from slowlens.plans.registry import query
-from slowlens.plans.search_queries import E_CUTS, E_NOMINAL, E_SEL, SLOW, chosen, events_session
+from slowlens.plans.search_queries import E_CUTS, E_NOMINAL, E_SEL, SLOW, chosen, depth_one, events_session, kept
 from slowlens.sources import datasets
 
 EV = oracle.EVENTS_PLAIN
@@ -81,7 +81,7 @@ def l_distinct_extents(spark: SparkSession, d: str) -> DataFrame:
     df = datasets.events_frame(spark, d, False).withColumn("k2", F.col("k") * 2)
     ds = SubgroupDataset(df, numeric=("k", "k2"))
     s = search.Session(ds, [*selectors.numeric("k", [20, 40]), *selectors.numeric("k2", [40, 80])], False)
-    return lattice.distinct_extents(s.candidates([()], get("support"), 1, False)).select("description", F.col("n").alias("size"))
+    return kept(s, lattice.distinct_extents(s.candidates([()], get("support"), 1, False)).select("description", F.col("n").alias("size")))
 
 
 @query("l_topk_ties", f"WITH c AS (SELECT hour, CAST(count(*) AS BIGINT) // 50 AS score FROM ({EV}) GROUP BY hour) SELECT CAST(rk AS INTEGER) AS rank, hour, score FROM (SELECT *, rank() OVER (ORDER BY score DESC) AS rk FROM c) WHERE rk <= 3")

@@ -11,10 +11,11 @@ from pyspark.sql import functions as F
 
 from slowlens.functions import bounds
 from slowlens.functions.literals import constant
+from slowlens.functions.quantiles import quantiles
 from slowlens.functions.measures import Measure, Norms, get, scored
 from slowlens.operators import counting, lattice
 from slowlens.operators.dataset import SubgroupDataset
-from slowlens.operators.encode import cells, encode, encode_by_join, token_map_is_large
+from slowlens.operators.encode import cells, encode, encode_by_index, token_map_is_large
 from slowlens.operators.selectors import Selector
 
 RESULT = "rank int, description string, n_sel int, size bigint, mean double, score double"
@@ -78,13 +79,19 @@ class Session:
         self.norms = ds.norms(median)
         self.blocked = counting.blocked_pairs(selectors)
         self.labels = [s.label for s in selectors]
-        code = encode_by_join if token_map_is_large(selectors) else encode
+        code = encode_by_index if token_map_is_large(selectors) else encode
         self.encoded = code(ds, selectors).persist()
         self.cells = cells(self.encoded, self.norms).persist()
         self.edges: list[float] = []
         self.binned: DataFrame | None = None
         self.level: DataFrame | None = None
 
+    def __enter__(self) -> Session:
+        return self
+
+    def __exit__(self, *_) -> None:
+        self.close()
+
     def end_level(self) -> None:
         if self.level is not None:
             self.level.unpersist()
@@ -103,6 +110,13 @@ class Session:
     def default_floor(self) -> int:
         return max(5, -(-self.norms.n // 1000))
 
+    def bins(self) -> tuple[list[float], DataFrame]:
+        """Edges of target bins, and the rows counted by selector set and bin."""
+        if self.binned is None:
+            self.edges = counting.bin_edges(self.encoded)
+            self.binned = counting.binned(self.encoded, self.edges).persist()
+        return self.edges, self.binned
+
     def candidates(self, patterns: list[tuple[int, ...]], measure: Measure, floor: int, ordered: bool, keep: int | None = None) -> DataFrame:
         """Refinements with `floor` rows or more, their statistics, description and score.
 
@@ -116,17 +130,16 @@ class Session:
             if keep is not None:
                 self.level = lattice.distinct_extents(cands).persist()  # candidates of one level, read three times
                 cands = self.within_reach(self.level, patterns, measure, ordered, keep)
-            cands = counting.with_medians(cands, self.encoded, patterns, self.blocked, ordered)
+            edges, small = self.bins()
+            cands = counting.with_medians(cands, self.encoded, edges, small, patterns, self.blocked, ordered)
         else:
             cands = cands.withColumn("med", F.lit(None).cast("double"))
         return cands.withColumn("score", scored(measure, self.norms))
 
     def within_reach(self, cands: DataFrame, patterns: list[tuple[int, ...]], measure: Measure, ordered: bool, keep: int) -> DataFrame:
         """Candidates of distinct extents whose median bracket allows them among the best `keep`."""
-        if self.binned is None:
-            self.edges = counting.bin_edges(self.encoded)
-            self.binned = counting.binned(self.encoded, self.edges).persist()
-        b = counting.median_brackets(self.binned, self.edges, patterns, self.blocked, ordered)
+        edges, small = self.bins()
+        b = counting.median_brackets(small, edges, patterns, self.blocked, ordered)
         b = b.join(cands.select(F.col("p").alias("_p")), F.col("p") == F.col("_p"), "left_semi")
         s = scored(measure, self.norms)
         worst = b.withColumn("med", F.col("med_lo")).select(s.alias("s")).orderBy(F.desc("s")).limit(keep).agg(F.min("s"), F.count("*")).first()
@@ -136,11 +149,10 @@ class Session:
         return cands.join(hold, F.col("p") == F.col("_p"), "left_semi")
 
     def with_tight(self, cands: DataFrame, patterns: list[tuple[int, ...]], m: Measure, floor: int) -> DataFrame:
-        """Add `tight`, the exact optimum over all refinements, from each candidate's rows in falling order of target."""
-        rows = counting.refinements(self.encoded.select("t", "sels"), patterns, self.blocked, True)
-        rows = rows.join(cands.select(F.col("p").alias("_p")), F.col("p") == F.col("_p"), "left_semi")
-        make = bounds.tight_family if m.bound == "family" else bounds.tight_median
-        best = make(rows, ["p"], "t", m.a or 0.0, self.norms, floor).select(F.col("p").alias("_p"), F.col("bound").alias("tight"))
+        """Add `tight`, an estimate from each candidate's rows counted by target bin, close to the optimum over all refinements."""
+        counts = counting.target_bins(cands, self.bins()[1], patterns, self.blocked, True)
+        make = bounds.binned_family if m.bound == "family" else bounds.binned_median
+        best = make(counts, ["p"], m.a or 0.0, self.norms, floor).select(F.col("p").alias("_p"), F.col("bound").alias("tight"))
         return cands.join(best, F.col("p") == F.col("_p"), "left").drop("_p")
 
     def collect(self, df: DataFrame) -> list[dict]:
@@ -273,7 +285,7 @@ def null_scores(ds: SubgroupDataset, selectors: list[Selector], measure: str, ro
     The draw is a hash of row and round into `grid` quantiles of the target, so it needs no shuffle and can be repeated.
     """
     at = [i / grid for i in range(grid + 1)]
-    levels = ds.rows().agg(F.percentile(F.col("t").cast("double"), at)).first()[0]
+    levels = quantiles(ds.rows(), "t", at)
     out = []
     for r in range(rounds):
         draw = F.element_at(constant(levels, "array<double>"), (F.pmod(F.xxhash64(F.lit(r), F.col(ds.oid)), F.lit(grid + 1)) + 1).cast("int"))

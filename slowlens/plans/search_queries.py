@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from slowlens.functions import bounds
+from slowlens.functions.quantiles import median
 from slowlens.functions.measures import get, scored, tscore
 from slowlens.operators import counting, selectors, stats
 from slowlens.operators.dataset import SubgroupDataset
@@ -47,14 +48,28 @@ def _run(session: search.Session, how: str, spark: SparkSession, **options) -> D
 # ---- measures over the depth-1 subgroups of events
 
 
-def measure_rows(spark: SparkSession, sf_dir: str, names: dict[str, str], target: str = "time_s") -> DataFrame:
+def kept(session: search.Session, rows: DataFrame) -> DataFrame:
+    """`rows`, few by construction (a row for each selector), taken from a session that is then closed."""
+    with session:
+        return session.ds.df.sparkSession.createDataFrame(rows.collect(), rows.schema)
+
+
+def depth_one(session: search.Session, with_median: bool = False) -> DataFrame:
+    """Statistics of every single selector, with its label."""
+    cands = counting.level_counts(session.cells, [()], session.blocked)
+    if with_median:
+        cands = counting.with_medians(cands, session.encoded, *session.bins(), [()], session.blocked)
+    return cands.withColumn("description", F.element_at(F.lit(session.labels), F.element_at("p", 1) + 1))
+
+
+def measure_rows(session: search.Session, names: dict[str, str]) -> DataFrame:
     """Every depth-1 subgroup with the asked measures, one column each."""
-    s = events_session(spark, sf_dir, target)
-    cands = counting.level_counts(s.cells, [()], s.blocked)
-    if any(get(m).needs == "median" for m in names.values()):
-        cands = counting.with_medians(cands, s.encoded, [()], s.blocked)
-    label = F.element_at(F.lit(s.labels), F.element_at("p", 1) + 1)
-    return cands.select(label.alias("description"), F.col("n").alias("size"), *[scored(m, s.norms).alias(c) for c, m in names.items()])
+    cands = depth_one(session, _medians(names))
+    return kept(session, cands.select("description", F.col("n").alias("size"), *[scored(m, session.norms).alias(c) for c, m in names.items()]))
+
+
+def _medians(names: dict[str, str]) -> bool:
+    return any(get(m).needs == "median" for m in names.values())
 
 
 def measure_sql(names: dict[str, str], target: str | None = None) -> str:
@@ -80,38 +95,40 @@ for _key, _names, _target in [
     ("q_median_ratio", {"median_ratio": "median_ratio"}, None),
     ("q_low_direction", {"low_wracc": "low_wracc", "low_median": "low_median_0.5"}, None),
 ]:
-    query(_key, measure_sql(_names, SLOW if _target else None))(lambda spark, d, n=_names, t=_target: measure_rows(spark, d, n, t or "time_s"))
+    query(_key, measure_sql(_names, SLOW if _target else None))(lambda spark, d, n=_names, t=_target: measure_rows(events_session(spark, d, t or "time_s", median=_medians(n)), n))
 
 
 @query("q_coverage", f"WITH ds AS MATERIALIZED (SELECT * REPLACE ({SLOW} AS t) FROM ({oracle.EVENTS_PLAIN})), sel AS ({E_SEL}) SELECT label AS description, round(CAST(count(*) AS DOUBLE) / (SELECT count(*) FROM ds), 6) AS of_rows, round(CAST(sum(t) AS DOUBLE) / (SELECT sum(t) FROM ds), 6) AS of_positives FROM sel GROUP BY label")
 def q_coverage(spark: SparkSession, d: str) -> DataFrame:
-    s = events_session(spark, d, "slow")
-    cands = counting.level_counts(s.cells, [()], s.blocked)
-    label = F.element_at(F.lit(s.labels), F.element_at("p", 1) + 1)
-    return cands.select(label.alias("description"), F.round(F.col("n") / s.norms.n, 6).alias("of_rows"), F.round(F.col("s1").cast("double") / s.norms.positives, 6).alias("of_positives"))
+    s = events_session(spark, d, "slow", median=False)
+    rows = depth_one(s).select("description", F.round(F.col("n") / s.norms.n, 6).alias("of_rows"), F.round(F.col("s1").cast("double") / s.norms.positives, 6).alias("of_positives"))
+    return kept(s, rows)
 
 
 @query("q_report_stats", f"WITH ds AS MATERIALIZED ({oracle.EVENTS_PLAIN}), sel AS ({E_SEL}) SELECT label AS description, CAST(count(*) AS BIGINT) AS size, round(CAST(sum(t) AS DOUBLE) / count(*), 6) AS mean, round(stddev_pop(CAST(t AS DOUBLE)), 6) AS std, round(median(CAST(t AS DOUBLE)), 6) AS median FROM sel GROUP BY label")
 def q_report_stats(spark: SparkSession, d: str) -> DataFrame:
-    s = events_session(spark, d)
-    return stats.describe_selectors(s)
+    s = events_session(spark, d, median=False)
+    return kept(s, stats.describe_selectors(s))
 
 
 @query("q_multi_target", measure_sql({"wracc": "wracc"}, "CASE WHEN time_s > 25 AND k < 50 THEN 1 ELSE 0 END"))
 def q_multi_target(spark: SparkSession, d: str) -> DataFrame:
     """Slow and few rows at once."""
     both = F.least((F.col("time_s") > 25).cast("int"), (F.col("k") < 50).cast("int"))
-    s = events_session(spark, d, replace_target=both)
-    cands = counting.level_counts(s.cells, [()], s.blocked)
-    label = F.element_at(F.lit(s.labels), F.element_at("p", 1) + 1)
-    return cands.select(label.alias("description"), F.col("n").alias("size"), scored("wracc", s.norms).alias("wracc"))
+    return measure_rows(events_session(spark, d, replace_target=both, median=False), {"wracc": "wracc"})
 
 
 @query("q_tscore_sample", measure_sql({"tscore": "tscore"}).replace(oracle.SCORES["tscore"], "CASE WHEN n >= 2 THEN sqrt(n / tot) / (sqrt(greatest(s2 / n - s1 / n * (s1 / n), 0)) * sqrt(n / (n - 1))) * (s1 / n - mu0) END"))
 def q_tscore_sample(spark: SparkSession, d: str) -> DataFrame:
-    s = events_session(spark, d)
-    label = F.element_at(F.lit(s.labels), F.element_at("p", 1) + 1)
-    return counting.level_counts(s.cells, [()], s.blocked).select(label.alias("description"), F.col("n").alias("size"), scored(tscore(1), s.norms).alias("tscore"))
+    s = events_session(spark, d, median=False)
+    return kept(s, depth_one(s).select("description", F.col("n").alias("size"), scored(tscore(1), s.norms).alias("tscore")))
+
+
+# times of milliseconds, and amounts beyond a hundred billion: no target is rounded before it is summed
+_SCALED = {"average": "average", "wracc": "wracc", "tscore": "tscore", "median": "median_0.5"}
+FINE, LARGE = "CAST(time_s AS DOUBLE) / 100000", "CAST(CAST(time_s AS DECIMAL(38,2)) * 100000000 AS DECIMAL(30,2))"
+query("q_fine_target", measure_sql(_SCALED, FINE))(lambda spark, d: measure_rows(events_session(spark, d, replace_target=F.col("time_s").cast("double") / 100000), _SCALED))
+query("q_large_target", measure_sql({"lift": "lift", "tscore": "tscore"}, LARGE))(lambda spark, d: measure_rows(events_session(spark, d, replace_target=F.expr(LARGE), median=False), {"lift": "lift", "tscore": "tscore"}))
 
 
 # ---- searches
@@ -150,16 +167,15 @@ _exhaustive("a_two_sided", 2, "wracc_abs", "slow")
 
 @query("a_beam_levels", oracle.search(oracle.EVENTS_PLAIN, E_SEL, "wracc", 10, 2, 10, levels=True))
 def a_beam_levels(spark: SparkSession, d: str) -> DataFrame:
-    s = events_session(spark, d, median=False)
-    rows = search.beam_levels(s, "wracc", 2, 10)
-    s.close()
+    with events_session(spark, d, median=False) as s:
+        rows = search.beam_levels(s, "wracc", 2, 10)
     return spark.createDataFrame([(r["level"], r["description"], r["n"], r["score"]) for r in rows], "level int, description string, size bigint, score double")
 
 
 @query("a_min_support", f"WITH ds AS MATERIALIZED ({oracle.EVENTS_PLAIN}), sel AS MATERIALIZED ({E_SEL}) SELECT label AS description, CAST(count(*) AS BIGINT) AS size FROM sel GROUP BY label HAVING count(*) >= 2500")
 def a_min_support(spark: SparkSession, d: str) -> DataFrame:
     s = events_session(spark, d, median=False)
-    return s.candidates([()], get("wracc"), 2500, False).select("description", F.col("n").alias("size"))
+    return kept(s, s.candidates([()], get("wracc"), 2500, False).select("description", F.col("n").alias("size")))
 
 
 _POS = "sum(greatest(CAST(t AS DOUBLE) - mu0, 0))"
@@ -171,14 +187,13 @@ SELECT label AS description, round(pos / tot, 5) AS wracc, round(CASE WHEN pos /
 round(greatest(pow(n / tot, 0.5) * (tmax - med0), 0), 5) AS median FROM x""")
 def a_bounds(spark: SparkSession, d: str) -> DataFrame:
     s = events_session(spark, d)
-    label = F.element_at(F.lit(s.labels), F.element_at("p", 1) + 1)
-    cands = counting.level_counts(s.cells, [()], s.blocked)
-    return cands.select(label.alias("description"), *[F.round(bounds.estimate(get(m), s.norms, 10), 5).alias(c) for c, m in (("wracc", "wracc"), ("mean_test", "mean_test"), ("median", "median_0.5"))])
+    return kept(s, depth_one(s).select("description", *[F.round(bounds.estimate(get(m), s.norms, 10), 5).alias(c) for c, m in (("wracc", "wracc"), ("mean_test", "mean_test"), ("median", "median_0.5"))]))
 
 
 @query("b_brute_d2", oracle.search(oracle.EVENTS_PLAIN, E_SEL, "wracc", 10, 2, None, ties=True))
 def b_brute_d2(spark: SparkSession, d: str) -> DataFrame:
-    return search.brute(events_session(spark, d, median=False), "wracc", 10, 2)
+    s = events_session(spark, d, median=False)
+    return kept(s, search.brute(s, "wracc", 10, 2))
 
 
 # ---- experiment workloads
@@ -191,8 +206,7 @@ def slice_d1(spark: SparkSession, d: str, region: int | None = None) -> DataFram
     """Lines of suppliers with at least the median number of distinct customers."""
     lines = datasets.lineitem_frame(spark, d)
     wide = lines.groupBy("l_suppkey").agg(F.count_distinct("o_custkey").alias("c"))
-    middle = wide.agg(F.percentile(F.col("c"), 0.5).alias("m"))
-    keep = wide.join(F.broadcast(middle)).where("c >= m").select("l_suppkey")
+    keep = wide.where(F.col("c") >= median(wide, "c")).select("l_suppkey")
     out = lines.join(keep, "l_suppkey", "left_semi")
     return out.where(F.col("s_regionkey") == region) if region is not None else out
 
@@ -226,11 +240,11 @@ D4_SQL = f"SELECT * FROM ({oracle.EVENTS}) WHERE server IN (SELECT server FROM (
 
 
 def _slice_query(key: str, make, sql: str, target: str) -> None:
-    text = f"SELECT CAST(count(*) AS BIGINT) AS n, round(CAST(sum(CAST({target} AS DECIMAL(18,2))) AS DOUBLE) / count(*), 6) AS mean, round(median(CAST({target} AS DOUBLE)), 6) AS median FROM ({sql})"
+    text = f"SELECT CAST(count(*) AS BIGINT) AS n, round(CAST(sum({target}) AS DOUBLE) / count(*), 6) AS mean, round(median(CAST({target} AS DOUBLE)), 6) AS median FROM ({sql})"
 
     def run(spark: SparkSession, d: str) -> DataFrame:
-        t = F.col(target)
-        return make(spark, d).agg(F.count("*").alias("n"), F.round(F.sum(t.cast("decimal(18,2)")).cast("double") / F.count("*"), 6).alias("mean"), F.round(F.percentile(t.cast("double"), 0.5), 6).alias("median"))
+        ds = SubgroupDataset(make(spark, d).withColumn("t", F.col(target)))
+        return stats.norms(ds).select("n", "mean", "median")
 
     query(key, text)(run)
 

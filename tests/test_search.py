@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from slowlens.operators import redundancy, selectors, stats
 from slowlens.operators.counting import bitmap_sizes, bitmap_store
 from slowlens.operators.dataset import SubgroupDataset
-from slowlens.operators.encode import encode, encode_by_join
+from slowlens.operators.encode import encode, encode_by_index
 from slowlens.operators.lattice import describe
 from slowlens.plans import search
 from slowlens.plans.interactive import Exploration
@@ -90,7 +90,7 @@ def test_limits(session):
 
 def test_encodings_and_bitmaps(spark, session):
     plain = {r["oid"]: list(r["sels"]) for r in encode(session.ds, session.selectors).collect()}
-    joined = {r["oid"]: list(r["sels"]) for r in encode_by_join(session.ds, session.selectors).collect()}
+    joined = {r["oid"]: list(r["sels"]) for r in encode_by_index(session.ds, session.selectors).collect()}
     assert plain == joined
     store = bitmap_store(session.encoded)
     pairs = [(0, 0), (0, 5), (1, 1), (2, 0), (2, 4)]
