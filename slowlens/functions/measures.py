@@ -1,6 +1,6 @@
 """Interestingness measures as Columns over the statistics of a candidate subgroup.
 
-A measure turns the statistics n, s1 (sum of the target), s2 (sum of its squares), med (median) into a score, given the
+A measure turns the statistics n, s1 (sum of the target), s2 (sum of its squared distances from the mean of all rows), med (median) into a score, given the
 norms of the whole dataset. Scores are rounded to 9 decimals so that ties are ties in every engine.
 """
 
@@ -12,6 +12,8 @@ from dataclasses import dataclass
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
+from slowlens.functions.exact import Form
+
 DIGITS = 9
 
 
@@ -24,7 +26,7 @@ class Norms:
     median: float | None
     std: float
     positives: int | None = None
-    form: str = "double"  # the type in which targets are summed, see functions.exact
+    form: Form = Form()  # how targets are summed
 
     @property
     def rate(self) -> float:
@@ -41,6 +43,7 @@ class Measure:
     a: float | None = None
     binary_only: bool = False
     bound: str = "none"  # family of its optimistic estimate, see functions.bounds
+    spread: bool = False  # whether it reads s2
 
 
 def _n() -> Column:
@@ -51,10 +54,10 @@ def _mean() -> Column:
     return F.col("s1").cast("double") / _n()
 
 
-def _std() -> Column:
-    """Population deviation from exact decimal sums."""
-    spread = F.col("s2").cast("double") / _n() - _mean() * _mean()
-    return F.sqrt(F.greatest(spread, F.lit(0.0)))
+def _std(g: Norms) -> Column:
+    """Population deviation."""
+    off = _mean() - g.mean
+    return F.sqrt(F.greatest(F.col("s2").cast("double") / _n() - off * off, F.lit(0.0)))
 
 
 def klosgen(a: float) -> Measure:
@@ -74,11 +77,11 @@ def tscore(ddof: int = 0, sigma_floor: float | None = None) -> Measure:
     """Deviation of the mean in units of its spread; null without spread or under two rows."""
 
     def score(g: Norms) -> Column:
-        sd = _std() * (F.sqrt(_n() / (_n() - ddof)) if ddof else F.lit(1.0))
+        sd = _std(g) * (F.sqrt(_n() / (_n() - ddof)) if ddof else F.lit(1.0))
         sd = F.greatest(sd, F.lit(sigma_floor)) if sigma_floor else sd
         return F.when((_n() >= 2) & (sd > 1e-9), F.sqrt(_n() / g.n) / sd * (_mean() - g.mean))
 
-    return Measure("tscore", "moments", score, 0.5, bound="tscore" if sigma_floor else "none")
+    return Measure("tscore", "moments", score, 0.5, bound="tscore" if sigma_floor else "none", spread=True)
 
 
 def _binomial(g: Norms) -> Column:
@@ -87,7 +90,7 @@ def _binomial(g: Norms) -> Column:
 
 
 def _low(m: Measure) -> Measure:
-    return Measure(f"low_{m.name}", m.needs, lambda g: -m.score(g), m.a, m.binary_only)
+    return Measure(f"low_{m.name}", m.needs, lambda g: -m.score(g), m.a, m.binary_only, spread=m.spread)
 
 
 _REGISTRY: dict[str, Measure] = {
@@ -110,7 +113,7 @@ def register(name: str, needs: str, score: Callable[[Norms], Column], bound: str
     """Add a measure of the user's own."""
     if needs not in ("moments", "median"):
         raise ValueError("needs is moments or median")
-    _REGISTRY[name] = m = Measure(name, needs, score, a, bound=bound)
+    _REGISTRY[name] = m = Measure(name, needs, score, a, bound=bound, spread=True)
     return m
 
 

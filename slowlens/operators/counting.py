@@ -5,13 +5,13 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from slowlens.functions.exact import summand
+from slowlens.functions.exact import Form, summand
 from slowlens.functions.literals import constant
 from slowlens.functions.quantiles import edges_of, medians_from, middle_bins, place
 from slowlens.operators.dataset import SubgroupDataset
 from slowlens.operators.selectors import Selector
 
-STATS = ("n", "s1", "s2", "pos", "neg", "npos")
+BOUND_INPUTS = ("pos", "neg", "npos")
 BINS, UNROLLED = 1024, 64
 
 
@@ -23,15 +23,19 @@ def blocked_pairs(selectors: list[Selector]) -> list[list[int]]:
     return [[j for j in by_attr[s.label if s.op == "token" else s.attr] if s.conflicts(selectors[j])] for s in selectors]
 
 
-def matched(patterns: list[tuple[int, ...]]) -> Column:
-    """The patterns (as arrays of ids) that a row's `sels` holds whole."""
+def parents(patterns: list[tuple[int, ...]], n_selectors: int) -> Column:
+    """The places in `patterns` of those that a row's `sels` holds whole."""
     if patterns == [()]:
-        return F.array(F.array().cast("array<int>"))
-    if len(patterns) > UNROLLED:  # the plan must not grow with the beam
-        every = constant([list(p) for p in patterns], "array<array<int>>")
-        return F.filter(every, lambda p: F.forall(p, lambda i: F.array_contains("sels", i)))
-    tests = [F.when(_holds(p), F.array(*[F.lit(i) for i in p])) for p in patterns]
-    return F.filter(F.array(*tests), lambda x: x.isNotNull())
+        return F.array(F.lit(0))
+    if len(patterns) <= UNROLLED:
+        return F.filter(F.array(*[F.when(_holds(p), F.lit(i)) for i, p in enumerate(patterns)]), lambda x: x.isNotNull())
+    # the plan must not grow with the beam, nor a row's work: only patterns that begin with a selector of the row are tried
+    by_first: list[list[int]] = [[] for _ in range(n_selectors)]
+    for i, p in enumerate(patterns):
+        by_first[p[0]].append(i)
+    index, rest = constant(by_first, "array<array<int>>"), constant([list(p[1:]) for p in patterns], "array<array<int>>")
+    tried = F.flatten(F.transform("sels", lambda s: F.element_at(index, s + 1)))
+    return F.filter(tried, lambda i: F.forall(F.element_at(rest, i + 1), lambda s: F.array_contains("sels", s)))
 
 
 def _holds(pattern: tuple[int, ...]) -> Column:
@@ -41,32 +45,55 @@ def _holds(pattern: tuple[int, ...]) -> Column:
     return out
 
 
+def denied(patterns: list[tuple[int, ...]], blocked: list[list[int]], ordered: bool) -> list[list[int]]:
+    """For each pattern the selectors it must not take: those that conflict with it and, unless `ordered`, those that lead
+    to a refinement which an earlier pattern of the list has already."""
+    out = []
+    for i, p in enumerate(patterns):
+        own = {s for q in p for s in blocked[q]} | set(p)
+        if not ordered:
+            for q in patterns[:i]:
+                new = set(q) - set(p)
+                if len(new) == 1 and len(q) == len(p):
+                    own |= new
+        out.append(sorted(own))
+    return out
+
+
 def refinements(encoded: DataFrame, patterns: list[tuple[int, ...]], blocked: list[list[int]], ordered: bool = False) -> DataFrame:
-    """The rows of `encoded`, once for each refinement `p` (a sorted array of ids) of a pattern they hold.
+    """The rows of `encoded`, once for each refinement of a pattern they hold, named by `code`: place of the pattern times
+    the number of selectors, plus the selector (see pattern_of).
 
-    A refinement that two patterns lead to appears once a row. `ordered` adds only selectors after the pattern's last,
+    A refinement that two patterns lead to is the earlier one's. `ordered` adds only selectors after the pattern's last,
     so that an enumeration meets each set once.
     """
-    lookup = constant(blocked, "array<array<int>>") if any(len(p) for p in patterns) else None
-
-    def extended(p: Column) -> Column:
-        def free(s: Column) -> Column:
-            ok = ~F.exists(p, lambda q: F.array_contains(F.element_at(lookup, q + 1), s)) if lookup is not None else F.lit(True)
-            return ok & (s > F.coalesce(F.try_element_at(p, F.lit(-1)), F.lit(-1))) if ordered else ok
-
-        return F.transform(F.filter("sels", free), lambda s: F.array_sort(F.concat(p, F.array(s))))
-
-    many = len(patterns) > 1 and not ordered
-    grown = F.flatten(F.transform(matched(patterns), extended))
-    return encoded.withColumn("p", F.explode(F.array_distinct(grown) if many else grown))
-
-
-def level_counts(cells: DataFrame, patterns: list[tuple[int, ...]], blocked: list[list[int]], ordered: bool = False) -> DataFrame:
-    """Additive statistics of every refinement, from cells (see encode.cells): summed map-side, one shuffle of groups."""
-    grown = refinements(cells, patterns, blocked, ordered)
-    return grown.groupBy("p").agg(
-        *[F.sum(c).alias(c) for c in STATS], F.max("tmax").alias("tmax"), F.bit_xor("sig_x").alias("sig_x"), F.sum("sig_s").alias("sig_s")
-    )
+    n = len(blocked)
+    rows = encoded.withColumn("_i", F.explode(parents(patterns, n)))
+    free = F.col("sels")
+    if patterns != [()]:
+        if ordered:
+            last = F.element_at(constant([p[-1] if p else -1 for p in patterns], "array<int>"), F.col("_i") + 1)
+            at = F.array_position("sels", last)
+            free = F.slice("sels", (at + 1).cast("int"), F.greatest(F.size("sels") - at, F.lit(0)).cast("int"))
+        not_now = constant(denied(patterns, blocked, ordered), "array<array<int>>")
+        free = F.array_except(free, F.element_at(not_now, F.col("_i") + 1))
+    return rows.withColumn("_s", F.explode(free)).withColumn("code", F.col("_i").cast("bigint") * n + F.col("_s")).drop("_i", "_s")
+
+
+def pattern_of(patterns: list[tuple[int, ...]], n_selectors: int) -> Column:
+    """The sorted array of selector ids that `code` names."""
+    own = F.element_at(constant([list(p) for p in patterns], "array<array<int>>"), F.expr(f"cast(code div {n_selectors} as int)") + 1)
+    return F.array_sort(F.concat(own, F.array((F.col("code") % n_selectors).cast("int"))))
+
+
+def level_counts(cells: DataFrame, form: Form, patterns: list[tuple[int, ...]], blocked: list[list[int]], ordered: bool = False, spread: bool = True, bounded: bool = True) -> DataFrame:
+    """Additive statistics of every refinement, from cells (see encode.cells): summed map-side in longs and doubles, one
+    shuffle of groups. s2 and the inputs of estimates are summed only where asked for."""
+    names = ["n", *form.columns, *(["s2"] if spread else []), *(BOUND_INPUTS if bounded else [])]
+    sums = [F.sum(c).alias(c) for c in names] + ([F.max("tmax").alias("tmax")] if bounded else [])
+    kept = cells.select("sels", *names, *(["tmax"] if bounded else []), "sig_x", "sig_s")
+    out = refinements(kept, patterns, blocked, ordered).groupBy("code").agg(*sums, F.bit_xor("sig_x").alias("sig_x"), F.sum("sig_s").alias("sig_s"))
+    return out.withColumn("s1", form.total()).withColumn("p", pattern_of(patterns, len(blocked))).drop("s1_low")
 
 
 def with_medians(cands: DataFrame, encoded: DataFrame, edges: list[float], small: DataFrame, patterns: list[tuple[int, ...]], blocked: list[list[int]], ordered: bool = False) -> DataFrame:
@@ -75,11 +102,16 @@ def with_medians(cands: DataFrame, encoded: DataFrame, edges: list[float], small
     Counts by target bin say in which bins a candidate's middle rows lie; only rows of those bins are counted by value and
     ordered, so what is sorted for a candidate is a small share of its distinct values, and it may spill.
     """
-    of_cands = lambda df: df.join(cands.select(F.col("p").alias("_p")), F.col("p") == F.col("_p"), "left_semi")
-    bins = of_cands(refinements(small, patterns, blocked, ordered)).groupBy("p", "bin").agg(F.sum("n").alias("n"))
-    rows = encoded.select(F.col("t").cast("double").alias("v"), "sels", place(F.col("t").cast("double"), edges).alias("bin"), F.lit(1).alias("n"))
-    med = medians_from(refinements(rows, patterns, blocked, ordered), middle_bins(bins, "p"), "p")
-    return cands.join(med, F.col("p") == F.col("_k")).drop("_k")
+    bins = _of(cands, refinements(small.select("sels", "bin", "n"), patterns, blocked, ordered)).groupBy("code", "bin").agg(F.sum("n").alias("n"))
+    v = F.col("t").cast("double")
+    rows = encoded.groupBy("sels", place(v, edges).alias("bin"), v.alias("v")).agg(F.count("*").alias("n"))
+    med = medians_from(refinements(rows, patterns, blocked, ordered), middle_bins(bins, "code"), "code")
+    return cands.join(med, F.col("code") == F.col("_k")).drop("_k")
+
+
+def _of(cands: DataFrame, rows: DataFrame) -> DataFrame:
+    """The rows of the candidates in `cands`."""
+    return rows.join(cands.select(F.col("code").alias("_c")), F.col("code") == F.col("_c"), "left_semi")
 
 
 def bin_edges(encoded: DataFrame, bins: int = BINS) -> list[float]:
@@ -95,23 +127,23 @@ def binned(encoded: DataFrame, edges: list[float]) -> DataFrame:
 
 
 def target_bins(cands: DataFrame, small: DataFrame, patterns: list[tuple[int, ...]], blocked: list[list[int]], ordered: bool) -> DataFrame:
-    """(p, bin, n, s, top) of the candidates: at most a row for each candidate and bin."""
-    rows = refinements(small, patterns, blocked, ordered).join(cands.select(F.col("p").alias("_p")), F.col("p") == F.col("_p"), "left_semi")
-    return rows.groupBy("p", "bin").agg(F.sum("n").alias("n"), F.sum("s").alias("s"), F.max("top").alias("top"))
+    """(code, bin, n, s, top) of the candidates: at most a row for each candidate and bin."""
+    rows = _of(cands, refinements(small, patterns, blocked, ordered))
+    return rows.groupBy("code", "bin").agg(F.sum("n").alias("n"), F.sum("s").alias("s"), F.max("top").alias("top"))
 
 
 def median_brackets(small: DataFrame, edges: list[float], patterns: list[tuple[int, ...]], blocked: list[list[int]], ordered: bool = False) -> DataFrame:
-    """(p, n, med_lo, med_hi): bounds of each candidate's median from counts by target bin (see binned), summed map-side."""
+    """(code, n, med_lo, med_hi): bounds of each candidate's median from counts by target bin (see binned), summed map-side."""
     cuts = constant(edges, "array<double>")
-    counted = refinements(small, patterns, blocked, ordered).groupBy("p", "bin").agg(F.sum("n").alias("n"))
-    run = Window.partitionBy("p").orderBy("bin").rowsBetween(Window.unboundedPreceding, 0)
-    placed = counted.withColumn("upto", F.sum("n").over(run)).withColumn("all", F.sum("n").over(Window.partitionBy("p")))
+    counted = refinements(small.select("sels", "bin", "n"), patterns, blocked, ordered).groupBy("code", "bin").agg(F.sum("n").alias("n"))
+    run = Window.partitionBy("code").orderBy("bin").rowsBetween(Window.unboundedPreceding, 0)
+    placed = counted.withColumn("upto", F.sum("n").over(run)).withColumn("all", F.sum("n").over(Window.partitionBy("code")))
     lower, upper = F.floor((F.col("all") + 1) / 2), F.floor(F.col("all") / 2) + 1
     lo = F.min(F.when(F.col("upto") >= lower, F.col("bin")))
     hi = F.min(F.when(F.col("upto") >= upper, F.col("bin")))
-    at = placed.groupBy("p").agg(F.first("all").alias("n"), lo.alias("lo"), hi.alias("hi"))
+    at = placed.groupBy("code").agg(F.first("all").alias("n"), lo.alias("lo"), hi.alias("hi"))
     edge = lambda i: F.element_at(cuts, F.greatest(F.lit(1), F.least(i, F.lit(len(edges)))).cast("int"))
-    return at.select("p", "n", edge(F.col("lo")).alias("med_lo"), edge(F.col("hi") + 1).alias("med_hi"))
+    return at.select("code", "n", edge(F.col("lo")).alias("med_lo"), edge(F.col("hi") + 1).alias("med_hi"))
 
 
 def prefix_counts(ds: SubgroupDataset, attr: str, cuts: list, min_support: int = 1) -> DataFrame:

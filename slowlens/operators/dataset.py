@@ -66,4 +66,4 @@ class SubgroupDataset:
         row = rows.agg(*stats).first()
         n = row["n"]
         middle = median(rows, "t", n) if with_median else None
-        return Norms(n, float(row["s1"]) / n if n else 0.0, middle, row["sd"] or 0.0, row["pos"], exact.form(kind, row["most"], n))
+        return Norms(n, float(row["s1"]) / n if n else 0.0, middle, row["sd"] or 0.0, row["pos"], exact.Form.of(kind, row["most"], n))

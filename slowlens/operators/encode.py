@@ -86,6 +86,6 @@ def cells(encoded: DataFrame, norms: Norms) -> DataFrame:
     """Rows that satisfy the same selectors are interchangeable for every additive statistic: one row for each such
     group, exact. The log shrinks to its distinct selector sets before any search level reads it."""
     t = F.col("t")
-    exact = t.cast(norms.form)
+    sums = norms.form.parts(t) | {"s2": (t.cast("double") - norms.mean) * (t.cast("double") - norms.mean)}
     bound = [c.alias(k) for k, c in inputs(t, norms).items()]
-    return encoded.groupBy("sels").agg(F.count("*").alias("n"), F.sum(exact).alias("s1"), F.sum(exact * exact).alias("s2"), *bound, *signature_columns())
+    return encoded.groupBy("sels").agg(F.count("*").alias("n"), *[F.sum(c).alias(k) for k, c in sums.items()], *bound, *signature_columns())

@@ -57,12 +57,12 @@ def space_size(selectors: list[Selector], depth: int) -> int:
     return sum(ways)
 
 
-SIGNATURE = {"x": lambda c: F.bit_xor(F.xxhash64(c)), "s": lambda c: F.sum(F.xxhash64(F.lit(7), c).cast("decimal(20,0)"))}
-
-
 def signature_columns(oid: str = "oid") -> list[Column]:
-    """Two aggregates that, with the count, tell extents apart; they add up over partial groups."""
-    return [f(F.col(oid)).alias(f"sig_{k}") for k, f in SIGNATURE.items()]
+    """Two aggregates that, with the count, tell extents apart; they add up over partial groups.
+
+    The second is a sum of 24 bits a row, which tells rows that share an oid from rows that cancel out.
+    """
+    return [F.bit_xor(F.xxhash64(oid)).alias("sig_x"), F.sum(F.shiftrightunsigned(F.xxhash64(F.lit(7), oid), 40)).alias("sig_s")]
 
 
 def distinct_extents(cands: DataFrame) -> DataFrame:

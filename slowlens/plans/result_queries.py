@@ -295,13 +295,10 @@ def _rank_table(names: dict[str, str], target: str | None):
     """Rank of every depth-1 subgroup by several measures, side by side."""
 
     def run(spark: SparkSession, d: str) -> DataFrame:
-        s = events_session(spark, d, target or "time_s")
-        cands = counting.level_counts(s.cells, [()], s.blocked)
-        if any(get(m).needs == "median" for m in names.values()):
-            cands = counting.with_medians(cands, s.encoded, [()], s.blocked)
-        label = F.element_at(F.lit(s.labels), F.element_at("p", 1) + 1)
-        rows = cands.select(label.alias("description"), *[scored(m, s.norms).alias(f"_{c}") for c, m in names.items()])
-        return rows.select("description", *[F.rank().over(Window.orderBy(F.desc_nulls_last(f"_{c}"))).alias(c) for c in names])  # selectors only
+        with_median = any(get(m).needs == "median" for m in names.values())
+        s = events_session(spark, d, target or "time_s", median=with_median)
+        rows = depth_one(s, with_median).select("description", *[scored(m, s.norms).alias(f"_{c}") for c, m in names.items()])
+        return kept(s, rows.select("description", *[F.rank().over(Window.orderBy(F.desc_nulls_last(f"_{c}"))).alias(c) for c in names]))  # selectors only
 
     ds = f"SELECT * REPLACE ({SLOW} AS t) FROM ({EV})" if target else EV
     cols = ", ".join(f"CAST(rank() OVER (ORDER BY round({oracle.score(m)}, 9) DESC NULLS LAST) AS INTEGER) AS {c}" for c, m in names.items())

@@ -19,7 +19,7 @@ from slowlens.operators.encode import cells, encode, encode_by_index, token_map_
 from slowlens.operators.selectors import Selector
 
 RESULT = "rank int, description string, n_sel int, size bigint, mean double, score double"
-KEPT = ("p", "n", "s1", "s2", "sig_x", "sig_s", "med", "score")
+KEPT = ("p", "n", "s1", "sig_x", "sig_s", "med", "score")
 
 
 @dataclass
@@ -38,7 +38,7 @@ class Found:
     def frame(self, spark) -> DataFrame:
         if not self.complete:
             raise TimeoutError("the time limit ended the search; `rows` holds the best so far, raise time_limit_s for the answer")
-        data = [(r["rank"], r["description"], len(r["p"]), r["n"], _round(float(r["s1"]) / r["n"]), r["score"]) for r in self.rows]
+        data = [(r["rank"], r["description"], len(r["p"]), r["n"], _round(r["s1"] / r["n"]), r["score"]) for r in self.rows]
         return spark.createDataFrame(data, RESULT)
 
 
@@ -80,7 +80,9 @@ class Session:
         self.blocked = counting.blocked_pairs(selectors)
         self.labels = [s.label for s in selectors]
         code = encode_by_index if token_map_is_large(selectors) else encode
-        self.encoded = code(ds, selectors).persist()
+        self.encoded = code(ds, selectors)
+        if median:  # read by every median; moments come from cells alone
+            self.encoded = self.encoded.persist()
         self.cells = cells(self.encoded, self.norms).persist()
         self.edges: list[float] = []
         self.binned: DataFrame | None = None
@@ -117,14 +119,14 @@ class Session:
             self.binned = counting.binned(self.encoded, self.edges).persist()
         return self.edges, self.binned
 
-    def candidates(self, patterns: list[tuple[int, ...]], measure: Measure, floor: int, ordered: bool, keep: int | None = None) -> DataFrame:
+    def candidates(self, patterns: list[tuple[int, ...]], measure: Measure, floor: int, ordered: bool, keep: int | None = None, bounded: bool = False) -> DataFrame:
         """Refinements with `floor` rows or more, their statistics, description and score.
 
         For a median measure with `keep`, brackets from bin counts first rule out candidates that cannot be among the
         best `keep`; exact medians are taken of the rest only.
         """
         names = F.array_join(F.array_sort(F.transform("p", lambda i: F.element_at(constant(self.labels, "array<string>"), i + 1))), " & ")
-        cands = counting.level_counts(self.cells, patterns, self.blocked, ordered).where(F.col("n") >= floor)
+        cands = counting.level_counts(self.cells, self.norms.form, patterns, self.blocked, ordered, measure.spread, bounded).where(F.col("n") >= floor)
         cands = cands.withColumn("description", names).withColumn("n_sel", F.size("p"))
         if measure.needs == "median":
             if keep is not None:
@@ -140,20 +142,20 @@ class Session:
         """Candidates of distinct extents whose median bracket allows them among the best `keep`."""
         edges, small = self.bins()
         b = counting.median_brackets(small, edges, patterns, self.blocked, ordered)
-        b = b.join(cands.select(F.col("p").alias("_p")), F.col("p") == F.col("_p"), "left_semi")
+        b = b.join(cands.select(F.col("code").alias("_c")), F.col("code") == F.col("_c"), "left_semi")
         s = scored(measure, self.norms)
         worst = b.withColumn("med", F.col("med_lo")).select(s.alias("s")).orderBy(F.desc("s")).limit(keep).agg(F.min("s"), F.count("*")).first()
         if worst[1] < keep:
             return cands  # all may be among the best
-        hold = b.withColumn("med", F.col("med_hi")).where(s >= worst[0]).select(F.col("p").alias("_p"))
-        return cands.join(hold, F.col("p") == F.col("_p"), "left_semi")
+        hold = b.withColumn("med", F.col("med_hi")).where(s >= worst[0]).select(F.col("code").alias("_c"))
+        return cands.join(hold, F.col("code") == F.col("_c"), "left_semi")
 
     def with_tight(self, cands: DataFrame, patterns: list[tuple[int, ...]], m: Measure, floor: int) -> DataFrame:
         """Add `tight`, an estimate from each candidate's rows counted by target bin, close to the optimum over all refinements."""
         counts = counting.target_bins(cands, self.bins()[1], patterns, self.blocked, True)
         make = bounds.binned_family if m.bound == "family" else bounds.binned_median
-        best = make(counts, ["p"], m.a or 0.0, self.norms, floor).select(F.col("p").alias("_p"), F.col("bound").alias("tight"))
-        return cands.join(best, F.col("p") == F.col("_p"), "left").drop("_p")
+        best = make(counts, ["code"], m.a or 0.0, self.norms, floor).select(F.col("code").alias("_c"), F.col("bound").alias("tight"))
+        return cands.join(best, F.col("code") == F.col("_c"), "left").drop("_c")
 
     def collect(self, df: DataFrame) -> list[dict]:
         return [{k: r[k] for k in (*KEPT, "description")} | {"p": tuple(r["p"])} for r in df.collect()]
@@ -170,7 +172,7 @@ def beam(session: Session, measure: str | Measure = "wracc", k: int = 10, depth:
         began = time.time()
         cands = session.candidates(patterns, m, floor, False, width if m.needs == "median" else None)
         cands = cands.where(F.col("score").isNotNull())
-        best = lattice.distinct_extents(cands.drop("neg", "pos", "npos", "tmax")).orderBy(F.desc("score"), "n_sel", "description").limit(width)
+        best = lattice.distinct_extents(cands).orderBy(F.desc("score"), "n_sel", "description").limit(width)
         rows = session.collect(best)
         session.end_level()
         trace.append({"level": level, "parents": len(patterns), "kept": len(rows), "threshold": min((r["score"] for r in rows), default=None), "seconds": time.time() - began})
@@ -187,7 +189,7 @@ def beam_levels(session: Session, measure: str, depth: int, width: int, min_supp
     patterns, out = [()], []
     for level in range(1, depth + 1):
         cands = session.candidates(patterns, m, floor, False).where(F.col("score").isNotNull())
-        rows = session.collect(lattice.distinct_extents(cands.drop("neg", "pos", "npos", "tmax")).orderBy(F.desc("score"), "n_sel", "description").limit(width))
+        rows = session.collect(lattice.distinct_extents(cands).orderBy(F.desc("score"), "n_sel", "description").limit(width))
         out += [r | {"level": level, "place": i + 1} for i, r in enumerate(rows)]
         patterns = [r["p"] for r in rows]
         if not rows:
@@ -230,7 +232,7 @@ def exhaustive(
         cut = len(take) - len(alive)
         if not alive:
             continue
-        cands = session.candidates(alive, m, floor, True)
+        cands = session.candidates(alive, m, floor, True, bounded=bound != "none")
         estimate = bounds.estimate(m, session.norms, floor, binary) if bound != "none" else F.lit(None).cast("double")
         if bound == "tight" and not binary and m.bound in ("family", "median"):
             cands, estimate = session.with_tight(cands, alive, m, floor), F.col("tight")
@@ -270,7 +272,8 @@ def brute(session: Session, measure: str | Measure = "wracc", k: int = 10, depth
 
         sets = F.concat(one, F.flatten(F.transform(sets, larger)))
     every = session.cells.withColumn("p", F.explode(F.array_distinct(sets)))
-    stats = every.groupBy("p").agg(*[F.sum(c).alias(c) for c in ("n", "s1", "s2")], F.bit_xor("sig_x").alias("sig_x"), F.sum("sig_s").alias("sig_s")).where(F.col("n") >= floor)
+    stats = every.groupBy("p").agg(*[F.sum(c).alias(c) for c in ("n", *session.norms.form.columns, "s2")], F.bit_xor("sig_x").alias("sig_x"), F.sum("sig_s").alias("sig_s")).where(F.col("n") >= floor)
+    stats = stats.withColumn("s1", session.norms.form.total())
     names = F.array_join(F.array_sort(F.transform("p", lambda i: F.element_at(constant(session.labels, "array<string>"), i + 1))), " & ")
     rows = stats.withColumn("description", names).withColumn("n_sel", F.size("p")).withColumn("score", scored(m, session.norms)).where("score is not null")
     rows = lattice.distinct_extents(rows)

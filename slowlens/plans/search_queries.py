@@ -56,7 +56,7 @@ def kept(session: search.Session, rows: DataFrame) -> DataFrame:
 
 def depth_one(session: search.Session, with_median: bool = False) -> DataFrame:
     """Statistics of every single selector, with its label."""
-    cands = counting.level_counts(session.cells, [()], session.blocked)
+    cands = counting.level_counts(session.cells, session.norms.form, [()], session.blocked)
     if with_median:
         cands = counting.with_medians(cands, session.encoded, *session.bins(), [()], session.blocked)
     return cands.withColumn("description", F.element_at(F.lit(session.labels), F.element_at("p", 1) + 1))

@@ -29,7 +29,7 @@ def toy(spark, target):
 def values(spark, ds, pattern, names):
     g = ds.norms()
     t = F.col("t").cast("decimal(18,2)")
-    row = ds.rows().where(lattice.to_column(pattern)).agg(F.count("*").alias("n"), F.sum(t).alias("s1"), F.sum(t * t).alias("s2"), F.percentile(t.cast("double"), 0.5).alias("med"))
+    row = ds.rows().where(lattice.to_column(pattern)).agg(F.count("*").alias("n"), F.sum(t).alias("s1"), F.sum((t.cast("double") - g.mean) * (t.cast("double") - g.mean)).alias("s2"), F.percentile(t.cast("double"), 0.5).alias("med"))
     return row.select("n", "med", (F.col("s1").cast("double") / F.col("n")).alias("mean"), *[scored(m, g).alias(f"x{i}") for i, m in enumerate(names)]).first()
 
 
