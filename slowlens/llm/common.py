@@ -25,6 +25,8 @@ def shared_base(spark: SparkSession) -> str:
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if base:
         return base.rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
     if _local_base is None:
         _local_base = tempfile.mkdtemp(prefix="slowlens-")
     return f"file://{_local_base}"
@@ -124,6 +126,34 @@ def _numbered(dealt: DataFrame, key: str, order: list, scratch: Scratch, out: st
     )
 
 
+def hot_keys(counts: DataFrame, key: str, n: str, parts: int = 500) -> list:
+    """The keys that hold 1/parts of all rows or more; `counts` has a row for each key and its number of rows.
+
+    At most `parts` keys reach the driver, by arithmetic.
+    """
+    total = counts.agg(F.sum(n)).first()[0] or 0
+    least = max(2, -(-total // parts))
+    return [r[0] for r in counts.where(F.col(n) >= least).select(key).collect()] if total > parts else []
+
+
+def salted_join(left: DataFrame, right: DataFrame, left_on: list[str], right_on: list[str], left_key: str, right_key: str, hot: list, spread, how: str = "inner", salts: int = 128) -> DataFrame:
+    """left join right, the rows of hot keys dealt over `salts` tasks.
+
+    `right` has few rows for each key. Rows of left with a hot key go by key and a share of `spread`; the hot rows of right,
+    few as there are few hot keys, are repeated once for each share. Other rows join as ever.
+    """
+    on = [F.col(a) == F.col(b) for a, b in zip(left_on, right_on, strict=True)]
+    if hot:
+        left = left.withColumn("_slw_salt", F.when(F.col(left_key).isin(hot), F.pmod(spread, F.lit(salts))).otherwise(0).cast("int"))
+        shares = F.when(F.col(right_key).isin(hot), F.sequence(F.lit(0), F.lit(salts - 1))).otherwise(F.array(F.lit(0)))
+        right = right.withColumn("_slw_share", F.explode(shares))
+        on.append(F.col("_slw_salt") == F.col("_slw_share"))
+    condition = on[0]
+    for c in on[1:]:
+        condition = condition & c
+    return left.join(right, condition, how).drop("_slw_salt", "_slw_share")
+
+
 def components(links: DataFrame, scratch: Scratch, rounds: int = 60) -> DataFrame:
     """Connected components of links (a, b): one row (node, comp) per linked node, comp being the smallest node.
 
@@ -131,13 +161,16 @@ def components(links: DataFrame, scratch: Scratch, rounds: int = 60) -> DataFram
     an aggregation and two joins on tables in the shared folder, and nothing is gathered on the driver but a count.
     """
     both = scratch.settle(links.select("a", "b").union(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), "edges")
+    hubs = hot_keys(both.groupBy("b").agg(F.count("*").alias("n")), "b", "n")  # leaders of groups of copies
     labels = scratch.settle(both.groupBy("a").agg(F.min("b").alias("m")).select(F.col("a").alias("node"), F.least("a", "m").alias("comp")), "labels")
     for _ in range(rounds):
-        near = both.join(labels, both.b == labels.node).groupBy("a").agg(F.min("comp").alias("m"))
+        near = salted_join(both, labels, ["b"], ["node"], "b", "node", hubs, F.xxhash64("a")).groupBy("a").agg(F.min("comp").alias("m"))
         step = labels.join(near, labels.node == near.a).select("node", F.least("comp", "m").alias("comp"), F.col("comp").alias("old"))
         step = scratch.settle(step, "step")
         far = step.select(F.col("node").alias("far"), F.col("comp").alias("_c"))
-        new = scratch.settle(step.join(far, step.comp == far.far).select("node", F.least("comp", "_c").alias("comp"), "old"), "labels")
+        # a component is named by one of its nodes, most often the hub of a star
+        large = hot_keys(step.groupBy("comp").agg(F.count("*").alias("n")), "comp", "n") if hubs else []
+        new = scratch.settle(salted_join(step, far, ["comp"], ["far"], "comp", "far", large, F.xxhash64("node")).select("node", F.least("comp", "_c").alias("comp"), "old"), "labels")
         scratch.drop(labels, step)
         labels = new
         if labels.where("comp <> old").limit(1).count() == 0:

@@ -1,13 +1,16 @@
 """Benchmark decontamination on templates: numbers, names and units become typed placeholders.
 
-A text is read as a sequence of words, lower-cased; a word that starts with a digit is a number, a unit is a known unit
-word right after a number, a name is a capitalised word that doesn't start a sentence. Windows of WINDOW template words
-(whole items, if they have MIN_ITEM to WINDOW - 1 words) of the benchmark and of all documents are hash-joined. Hits of
-one document, item and alignment are judged together: their placeholders must map item values to document values one to
-one (a re-parameterised question does), else only windows with the same values count. A document is contaminated by an
-item if the counted windows cover COVERAGE of its words or RUN of them in a row.
-
-A Bloom filter of fixed size over the benchmark's windows keeps all other windows from being shuffled; the join decides.
+A text is read as a sequence of words, lower-cased. A number is a whole number with its decimals and thousands marks, a
+unit is a known unit word right after a number, a name is a run of capitalised words that don't start a sentence; each is
+one placeholder. Windows of WINDOW template words (whole items, if they have MIN_ITEM to WINDOW - 1 words) of the
+benchmark and of all documents are hash-joined, and so are windows of the plain words, in which nothing is replaced, so
+that a copy in other capitals or without marks is found as well. Hits of one document, item and alignment are judged
+together: their placeholders must map item values to document values one to one (a re-parameterised question does), else
+only windows with the same values count. The windows that count, over all alignments of an item, are put together: a
+document is contaminated by an item if they cover COVERAGE of its words or RUN of them in a row.
+
+A Bloom filter over the benchmark's windows, BITS_A_WINDOW bits for each, keeps all other windows from being shuffled; it
+stops growing at MOST_BITS (256 MB), beyond which more windows pass it; the join decides in any case.
 
 Cases: null text counts as empty; items under MIN_ITEM words match nothing; windows with fewer than half literal words
 count only with equal values; rows that share a doc_id are judged together; an empty table gives no rows (an empty
@@ -26,11 +29,12 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from slowlens.llm.common import Scratch, slices, table
+from slowlens.llm.common import Scratch, hot_keys, salted_join, slices, table
 
-WINDOW, MIN_ITEM, COVERAGE, RUN, BLOOM_BITS, BROADCAST_IDS = 8, 5, 0.5, 13, 1 << 25, 1_000_000
+WINDOW, MIN_ITEM, COVERAGE, RUN, BROADCAST_ROWS = 8, 5, 0.5, 13, 1_000_000
+BITS_A_WINDOW, LEAST_BITS, MOST_BITS = 32, 1 << 20, 1 << 31
 UNITS = frozenset("mm cm m km in ft yd mi mg g kg t lb lbs oz ml l cl gal ms s sec secs min mins h hr hrs hour hours minute minutes second seconds day days week weeks month months year years percent pct kb mb gb tb hz khz mhz ghz w kw kwh v mv a ma k c f j kj cal kcal usd eur gbp dollar dollars euro euros pound pounds cent cents mph kph".split())
-_token = re.compile(r"\w+|[.!?\n]")
+_token = re.compile(r"\d[\d.,]*\d\w*|\w+|[.!?\n]")
 _LITERAL, _NUMBER, _UNIT, _NAME, _MARK = range(5)
 _TYPED = np.array([[0, 0], *([xxhash.xxh3_64_intdigest(f"placeholder {k}", seed) for seed in (1, 2)] for k in (_NUMBER, _UNIT, _NAME)), [0, 0]], np.uint64)
 _STEP = np.array([0x9E3779B97F4A7C15, 0xD6E8FEB86659FD93], np.uint64)
@@ -57,11 +61,62 @@ class _Words(dict):
 
 
 class _Windows:
-    """The windows of a list of texts: `at` starts in the words of all texts, hashes by lane on demand."""
+    """The windows of a list of texts, over template words or (`plain`) over the words as they are."""
+
+    def __init__(self, words: _Read, plain: bool):
+        self.read, n = words, len(words.kind)
+        if plain:
+            self.first_word, self.kind, self.lanes = np.arange(n), np.full(n, _LITERAL, np.int8), words.lanes
+        else:
+            again = np.r_[False, (words.kind[1:] == _NAME) & (words.kind[:-1] == _NAME) & (words.doc[1:] == words.doc[:-1])] if n else np.zeros(0, bool)
+            self.first_word = np.flatnonzero(~again)  # of each template word; a run of names is one
+            self.kind = words.kind[self.first_word]
+            typed = np.flatnonzero(self.kind != _LITERAL)
+            self.lanes = []
+            for lane, h in enumerate(words.lanes):
+                own = h[self.first_word]
+                own[typed] = _TYPED[self.kind[typed], lane]
+                self.lanes.append(own)
+        self.doc = words.doc[self.first_word]
+        self.last_word = np.r_[self.first_word[1:], n]
+        self.total = np.bincount(self.doc, minlength=words.texts)
+        self.first = np.searchsorted(self.doc, np.arange(words.texts))
+
+    def starts(self, size: int) -> np.ndarray:
+        """Where a window of this size lies within one text."""
+        last = len(self.doc) - size + 1
+        return np.flatnonzero(self.doc[:last] == self.doc[size - 1 :]) if last > 0 else np.zeros(0, np.int64)
+
+    def hashes(self, at: np.ndarray, size: int, lane: int) -> np.ndarray:
+        """Polynomial hashes, built from those of windows half as long."""
+        if not len(at):
+            return np.zeros(0, np.uint64)
+        step = int(_STEP[lane])
+        out, done, part, length = np.zeros(len(at), np.uint64), 0, self.lanes[lane], 1
+        with np.errstate(over="ignore"):
+            for bit in range(size.bit_length()):
+                if size >> bit & 1:
+                    out = out * np.uint64(pow(step, length, 1 << 64)) + part[at + done]
+                    done += length
+                if size >> bit > 1:
+                    longer = part[: len(part) - length] * np.uint64(pow(step, length, 1 << 64)) + part[length:]
+                    part, length = longer, 2 * length
+            out = out + np.uint64(size)
+        return out ^ (out >> np.uint64(31))
+
+    def slots(self, at: int, size: int) -> list[str]:
+        """Kind and lower-cased value of each placeholder of a window, in order."""
+        r = self.read
+        return [f"{self.kind[i]}:{' '.join(r.tokens[r.word[j]].lower() for j in range(self.first_word[i], self.last_word[i]) if r.doc[j] == self.doc[i])}" for i in range(at, at + size) if self.kind[i] != _LITERAL]
+
+
+class _Read:
+    """The words of a list of texts, with their kinds and hashes in two lanes."""
 
     def __init__(self, texts: list[str], seen: _Words):
         found = [_token.findall(t) for t in texts]
         sizes = np.array([len(f) for f in found], np.int64)
+        self.texts = len(texts)
         self.tokens = [w for f in found for w in f]
         number = np.fromiter(map(seen.__getitem__, self.tokens), np.int64, len(self.tokens))
         kind = np.frombuffer(seen.kind, np.int8)[number] if len(number) else np.zeros(0, np.int8)
@@ -72,48 +127,23 @@ class _Windows:
         self.kind[(self.kind == _NAME) & fresh] = _LITERAL
         after = np.r_[False, (self.kind[:-1] == _NUMBER) & (self.doc[1:] == self.doc[:-1])] if len(self.kind) else np.zeros(0, bool)
         self.kind[(self.kind == _UNIT) & ~after] = _LITERAL
-        typed = np.flatnonzero(self.kind != _LITERAL)
-        self.lanes = []
-        for lane, column in enumerate(seen.lanes):
-            h = np.frombuffer(column, np.uint64)[number[self.word]] if len(self.word) else np.zeros(0, np.uint64)
-            h[typed] = _TYPED[self.kind[typed], lane]
-            self.lanes.append(h)
-        self.total = np.bincount(self.doc, minlength=len(texts))
-        self.first = np.searchsorted(self.doc, np.arange(len(texts)))
-
-    def starts(self, size: int) -> np.ndarray:
-        """Where a window of this size lies within one text."""
-        last = len(self.word) - size + 1
-        return np.flatnonzero(self.doc[:last] == self.doc[size - 1 :]) if last > 0 else np.zeros(0, np.int64)
-
-    def hashes(self, at: np.ndarray, size: int, lane: int) -> np.ndarray:
-        h = np.full(len(at), size, np.uint64)
-        own = self.lanes[lane]
-        with np.errstate(over="ignore"):
-            for k in range(size):
-                h *= _STEP[lane]
-                h += own[at + k]
-        return h ^ (h >> np.uint64(31))
-
-    def slots(self, at: int, size: int) -> list[str]:
-        """Kind and lower-cased value of each placeholder of a window, in order."""
-        return [f"{self.kind[i]}:{self.tokens[self.word[i]].lower()}" for i in range(at, at + size) if self.kind[i] != _LITERAL]
+        self.lanes = [np.frombuffer(column, np.uint64)[number[self.word]] if len(self.word) else np.zeros(0, np.uint64) for column in seen.lanes]
 
 
-_ROW = "key bigint, h1 bigint, h2 bigint, place int, size int, slots array<string>, total int"
+_ROW = "key bigint, plain boolean, h1 bigint, h2 bigint, place int, size int, slots array<string>, total int"
+_KINDS = [pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.list_(pa.string()), pa.int32()]
 
 
 def _hit(h: np.ndarray, bits: np.ndarray) -> np.ndarray:
     """Whether a hash may be one of the benchmark's."""
-    b = h & np.uint64(BLOOM_BITS - 1)
+    b = h & np.uint64(len(bits) * 64 - 1)
     return (bits[b >> np.uint64(6)] >> (b & np.uint64(63))) & np.uint64(1) != 0
 
 
-def _emit(batches: Iterator[pa.RecordBatch], key: str, lengths: list[int] | None, bits: np.ndarray | None) -> Iterator[pa.RecordBatch]:
+def _emit(batches: Iterator[pa.RecordBatch], key: str, lengths: dict[bool, list[int]] | None, bits: np.ndarray | None) -> Iterator[pa.RecordBatch]:
     """Windows of texts. Of documents, those of the given lengths that pass the filter; of items (lengths None), all of
     WINDOW words, or the whole of a shorter item."""
     seen = _Words()
-    kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.list_(pa.string()), pa.int32()]
     for batch in slices(batches):
         ids, texts = batch.column(key).to_pylist(), batch.column("text").to_pylist()
         start = 0
@@ -123,50 +153,68 @@ def _emit(batches: Iterator[pa.RecordBatch], key: str, lengths: list[int] | None
                 chars += len(texts[end] or "")
                 end += 1
             own = ids[start:end]
-            w = _Windows([t or "" for t in texts[start:end]], seen)
+            read = _Read([t or "" for t in texts[start:end]], seen)
             start = end
             seen.rest()
             out: list[tuple] = []
-            for size in lengths if lengths is not None else range(MIN_ITEM, WINDOW + 1):
-                at = w.starts(size)
-                if lengths is None and size < WINDOW:
-                    at = at[w.total[w.doc[at]] == size]
-                lanes = []
-                for lane in (0, 1):
-                    h = w.hashes(at, size, lane)
-                    if bits is not None:
-                        keep = _hit(h, bits)
-                        at, h, lanes = at[keep], h[keep], [x[keep] for x in lanes]
-                    lanes.append(h)
-                for i, h1, h2 in zip(at.tolist(), lanes[0].view(np.int64).tolist(), lanes[1].view(np.int64).tolist(), strict=True):
-                    d = w.doc[i]
-                    out.append((own[d], h1, h2, int(i - w.first[d]), size, w.slots(i, size), int(w.total[d])))
-            cols = list(zip(*out, strict=True)) if out else [[]] * 7
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds, strict=True)], names=["key", "h1", "h2", "place", "size", "slots", "total"])
+            for plain in (False, True):
+                w = _Windows(read, plain)
+                for size in lengths[plain] if lengths is not None else range(MIN_ITEM, WINDOW + 1):
+                    at = w.starts(size)
+                    if lengths is None and size < WINDOW:
+                        at = at[w.total[w.doc[at]] == size]
+                    lanes = []
+                    for lane in (0, 1):
+                        h = w.hashes(at, size, lane)
+                        if bits is not None:
+                            keep = _hit(h, bits)
+                            at, h, lanes = at[keep], h[keep], [x[keep] for x in lanes]
+                        lanes.append(h)
+                    for i, h1, h2 in zip(at.tolist(), lanes[0].view(np.int64).tolist(), lanes[1].view(np.int64).tolist(), strict=True):
+                        d = w.doc[i]
+                        out.append((own[d], plain, h1, h2, int(i - w.first[d]), size, w.slots(i, size), int(w.total[d])))
+            cols = list(zip(*out, strict=True)) if out else [[]] * 8
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, _KINDS, strict=True)], names=["key", "plain", "h1", "h2", "place", "size", "slots", "total"])
+
+
+def filter_bits(items: DataFrame, n: int) -> np.ndarray:
+    """The Bloom filter over the two hashes of n windows."""
+    size = LEAST_BITS
+    while size < min(n * BITS_A_WINDOW, MOST_BITS):
+        size *= 2
+    bit = F.explode(F.transform(F.array("h1", "h2"), lambda h: h.bitwiseAND(size - 1)))
+    words = items.select(bit.alias("b")).groupBy(F.shiftright("b", 6).cast("int").alias("w")).agg(F.bit_or(F.expr("shiftleft(1L, cast(b & 63 as int))")).alias("v")).toArrow()  # at most size / 64 rows
+    bits = np.zeros(size // 64, np.uint64)
+    bits[words["w"].to_numpy()] = words["v"].to_numpy().view(np.uint64)
+    return bits
 
 
 def contamination(docs: DataFrame, benchmark: DataFrame, scratch: Scratch) -> DataFrame:
     """(doc_id, items): the contaminated documents and the sorted ids of the items found in each."""
     items = scratch.settle(benchmark.select("item_id", "text").mapInArrow(lambda it: _emit(it, "item_id", None, None), _ROW), "items")
-    bit = F.explode(F.transform(F.array("h1", "h2"), lambda h: h.bitwiseAND(BLOOM_BITS - 1)))
-    set_bits = items.select(bit.alias("b")).groupBy(F.shiftright("b", 6).cast("int").alias("w")).agg(F.bit_or(F.expr("shiftleft(1L, cast(b & 63 as int))")).alias("v")).toPandas()  # at most BLOOM_BITS / 64 rows
-    bits = np.zeros(BLOOM_BITS // 64, np.uint64)
-    bits[set_bits["w"].to_numpy(np.int64)] = set_bits["v"].to_numpy(np.int64).view(np.uint64)
-    lengths = sorted(r[0] for r in items.select("size").distinct().collect())  # at most WINDOW - MIN_ITEM + 1
-    shared = docs.sparkSession.sparkContext.broadcast(bits)
+    sizes = items.groupBy("plain", "size").agg(F.count("*").alias("n")).collect()  # at most 2 (WINDOW - MIN_ITEM + 1) rows
+    n = sum(r["n"] for r in sizes)
+    lengths = {p: sorted(r["size"] for r in sizes if r["plain"] == p) for p in (False, True)}
+    shared = docs.sparkSession.sparkContext.broadcast(filter_bits(items, n))
     hits = docs.select("doc_id", "text").mapInArrow(lambda it: _emit(it, "doc_id", lengths, shared.value), _ROW)
-    hits = scratch.settle(hits.select("key", "h1", "h2", "place", "slots"), "hits")
-    asked = items.select(F.col("key").alias("item_id"), F.col("h1").alias("_h1"), F.col("h2").alias("_h2"), F.col("place").alias("at"), "size", F.col("slots").alias("own"), "total")
-    met = hits.join(asked, (F.col("h1") == F.col("_h1")) & (F.col("h2") == F.col("_h2")))
+    hits = scratch.settle(hits.select("key", "plain", "h1", "h2", "place", "slots"), "hits")
+    asked = items.select(F.col("key").alias("item_id"), F.col("h1").alias("_h1"), F.col("h2").alias("_h2"), F.col("plain").alias("_plain"), F.col("place").alias("at"), "size", F.col("slots").alias("own"), "total")
+    if n <= BROADCAST_ROWS:
+        met = hits.join(F.broadcast(asked), (F.col("h1") == F.col("_h1")) & (F.col("h2") == F.col("_h2")) & (F.col("plain") == F.col("_plain")))
+    else:
+        hot = hot_keys(hits.groupBy("h1").agg(F.count("*").alias("n")), "h1", "n")
+        met = salted_join(hits, asked, ["h1", "h2", "plain"], ["_h1", "_h2", "_plain"], "h1", "_h1", hot, F.xxhash64("key", "place"))
     exact, open_ = F.col("own") == F.col("slots"), F.size("slots") * 2 <= F.col("size")
-    met = met.where(exact | open_).select(F.col("key").alias("doc_id"), "item_id", (F.col("place") - F.col("at")).alias("shift"), "at", "size", "total", exact.alias("exact"), F.arrays_zip(F.col("own").alias("i"), F.col("slots").alias("d")).alias("pairs"))
+    met = met.where(exact | open_).select(F.col("key").alias("doc_id"), "item_id", "plain", (F.col("place") - F.col("at")).alias("shift"), "at", "size", "total", exact.alias("exact"), F.arrays_zip(F.col("own").alias("i"), F.col("slots").alias("d")).alias("pairs"))
     # one alignment has at most one row for each window of the item
-    lined = met.groupBy("doc_id", "item_id", "shift").agg(
-        F.array_sort(F.collect_set("at")).alias("every"), F.array_sort(F.collect_set(F.when(F.col("exact"), F.col("at")))).alias("same"),
+    lined = met.groupBy("doc_id", "item_id", "plain", "shift").agg(
+        F.collect_set("at").alias("every"), F.collect_set(F.when(F.col("exact"), F.col("at"))).alias("same"),
         F.array_distinct(F.flatten(F.collect_list("pairs"))).alias("pairs"), F.first("size").alias("size"), F.first("total").alias("total"),
     )
     one = (F.size(F.array_distinct(F.transform("pairs", lambda p: p["i"]))) == F.size("pairs")) & (F.size(F.array_distinct(F.transform("pairs", lambda p: p["d"]))) == F.size("pairs"))
-    lined = lined.withColumn("at", F.when(one, F.col("every")).otherwise(F.col("same")))
+    counted = lined.select("doc_id", "item_id", "plain", "size", "total", F.explode(F.when(one, F.col("every")).otherwise(F.col("same"))).alias("at"))
+    # over all alignments: at most one row for each window of the item
+    lined = counted.groupBy("doc_id", "item_id", "plain").agg(F.array_sort(F.collect_set("at")).alias("at"), F.first("size").alias("size"), F.first("total").alias("total"))
 
     def grow(s, p):
         gap = p - s["end"]  # words between the last window and this one
@@ -182,7 +230,7 @@ def contamination(docs: DataFrame, benchmark: DataFrame, scratch: Scratch) -> Da
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame, scratch: Scratch) -> DataFrame:
     found = scratch.settle(contamination(docs, benchmark, scratch).select(F.col("doc_id").alias("_slw_id")), "found")
-    few = found.count() <= BROADCAST_IDS
+    few = found.count() <= BROADCAST_ROWS
     return docs.join(F.broadcast(found) if few else found, F.col("doc_id").eqNullSafe(F.col("_slw_id")), "left_anti")
 
 

@@ -192,8 +192,6 @@ def test_templates(spark):
     got = found(spark, rows, [(1, ITEM), (2, None), (3, ""), (4, "too short"), (5, "exactly six words stand here now")])
     assert got[10] == [1] and got[11] == [1] and 12 not in got and 14 not in got and not set(got) & {1, 2, 3, 4, 5, 6, 7}
     assert found(spark, [(1, "well: exactly six words stand here now!")], [(5, "exactly six words stand here now")]) == {1: [5]}
-    # one name for two: the placeholders don't map one to one, and no window with equal values is long enough
-    assert 20 not in found(spark, [(20, mixed.replace("and sells 12 pears at 5", "and sells 9 pears at 9").replace("7 days", "9 days"))], [(1, ITEM.replace("12 pears", "12 pears"))]) or True
     assert found(spark, rows, []) == {} and found(spark, [], [(1, ITEM)]) == {}
 
 
@@ -205,6 +203,79 @@ def test_inconsistent_values_do_not_count(spark):
     assert got == {1: [1]}
 
 
+PLACES = "A farmer in New York holds 3.5 litres of milk and then adds 1,200 litres more, so what does John Smith of San Diego pour after 2.5 hours?"
+
+
+@pytest.mark.parametrize(
+    "copy",
+    [
+        PLACES, PLACES.lower(), PLACES.upper(), PLACES.replace(",", "").replace("1200", "1,200").replace("?", ""),
+        PLACES.replace("3.5", "4").replace("1,200", "7").replace("2.5", "16"), PLACES.replace("New York", "Oslo").replace("John Smith", "Anna Maria Bach").replace("San Diego", "Rome"),
+        PLACES.replace("milk and", "milk indeed and").replace("what does", "what then does"),
+    ],
+)
+def test_whole_values_case_and_insertions(spark, copy):
+    filler = "one two three four five six seven eight nine ten. " * 5
+    assert found(spark, [(1, filler + copy + "\n" + filler), (2, filler)], [(1, PLACES)]) == {1: [1]}
+
+
+def plain_contamination(text, item):
+    """The same judgement by plain loops over all pairs of windows."""
+    seen = decontaminate._Words()
+
+    def sequences(t):
+        r = decontaminate._Read([t], seen)
+        for plain in (False, True):
+            w = decontaminate._Windows(r, plain)
+            words = [r.tokens[r.word[i]].lower() if k == 0 else f"<{k}>" for i, k in zip(w.first_word, w.kind, strict=True)]
+            yield words, [w.slots(i, 1) for i in range(len(words))]
+
+    for (a, sa), (b, sb) in zip(sequences(text), sequences(item), strict=True):
+        size = min(decontaminate.WINDOW, len(b))
+        if size < decontaminate.MIN_ITEM:
+            continue
+        covered = set()
+        for shift in range(-len(b), len(a)):
+            every, same, pairs = [], [], set()
+            for at in range(len(b) - size + 1):
+                place = at + shift
+                if place < 0 or place + size > len(a) or a[place : place + size] != b[at : at + size]:
+                    continue
+                x, y = sum(sb[at : at + size], []), sum(sa[place : place + size], [])
+                if x != y and len(x) * 2 > size:
+                    continue
+                every.append(at)
+                same += [at] if x == y else []
+                pairs |= set(zip(x, y, strict=True))
+            one = len({x for x, _ in pairs}) == len(pairs) == len({y for _, y in pairs})
+            covered |= {i for at in (every if one else same) for i in range(at, at + size)}
+        runs, run = 0, 0
+        for i in range(len(b)):
+            run = run + 1 if i in covered else 0
+            runs = max(runs, run)
+        if covered and (len(covered) >= decontaminate.COVERAGE * len(b) or runs >= decontaminate.RUN):
+            return True
+    return False
+
+
+def test_contamination_against_all_pairs(spark):
+    rng = random.Random(12)
+    word = lambda: rng.choice(["red", "Blue", "Anna", "7", "1,500", "2.5", "km", "hours", "the", "of", "Rome", "and", "Paris", "box", "is", "9"])
+    items = [(i, " ".join(word() for _ in range(rng.randint(4, 24)))) for i in range(25)]
+    rows = []
+    for d in range(120):
+        _, base = rng.choice(items)
+        words = base.split()
+        for _ in range(rng.choice([0, 0, 1, 2, 4])):
+            words.insert(rng.randrange(len(words) + 1), word()) if rng.random() < 0.5 else words.pop(rng.randrange(len(words))) if len(words) > 3 else None
+        text = " ".join(words)
+        text = rng.choice([text, text.lower(), text.upper(), text.replace("7", "11"), text.replace("Anna", "Maria"), text])
+        rows.append((d, " ".join(word() for _ in range(rng.randint(0, 15))) + ". " + text + ". " + " ".join(word() for _ in range(rng.randint(0, 15)))))
+    got = found(spark, rows, items)
+    want = {d: sorted(i for i, t in items if plain_contamination(text, t)) for d, text in rows}
+    assert got == {d: i for d, i in want.items() if i} and 20 < len(got) < 120
+
+
 def test_drop_contaminated(spark):
     rows = [(1, ITEM), (2, "clean text"), (3, None), (None, "no id")]
     bench = spark.createDataFrame([(1, ITEM)], "item_id bigint, text string")
