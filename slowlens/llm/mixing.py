@@ -1,14 +1,17 @@
 """Mixing sources to target weights by Pfair scheduling, in DataFrame expressions only.
 
 A source with target weight w owns block i (from 1) in the window from floor((i - 1) / w) to ceil(i / w); among the
-released blocks the one with the earliest deadline takes the next slot. Weights are whole parts of SLOTS, so the
-schedule repeats after SLOTS slots: one period is laid out once, in a fold over its slots, and block i of any source
-finds its slot by division, whatever the size of the corpus. Up to the slot where the first source runs out, the blocks
-that a source has had never differ from weight x slots by a whole block; later its slots stay empty and the others keep
-their order. No row is dropped or repeated.
-
-Cases: a null source is a source of its own; the streams are the STREAMS largest sources and one more for all others
-together; repeated rows keep one position each; an empty table gives no rows.
+released blocks the one with the earliest deadline takes the next slot. Target weights are fractions with one denominator,
+the period: the least period up to `slots` in which every asked weight is a whole number of slots, else one of about
+`slots`, in which each asked weight is rounded to a whole number, at least one. The schedule repeats after a period, so
+one is laid out once, in a fold over its slots, and block i of any source finds its slot by division, whatever the size of
+the corpus. Sources of equal weight have equal windows and are one class in the fold, so its state grows with the root of
+the period and not with the number of sources. Up to the slot where the first source runs out, the blocks that a source
+has had never differ from weight x slots by a whole block; later its slots stay empty and the others keep their order. No
+row is dropped or repeated, and every source is a stream of its own.
+
+Cases: a null source is a source of its own; a source of weight 0, or without one where weights are given, follows after
+all others, block by block; repeated rows keep one position each; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -18,83 +21,92 @@ from pyspark.sql import functions as F
 
 from slowlens.llm.common import Scratch, numbered, table
 
-SLOTS, STREAMS, BLOCK, BUCKETS = 1000, 255, 16, 1024
+SLOTS, BLOCK, BUCKETS, CHUNK, BROADCAST_ROWS, DIGITS = 8192, 16, 1024, 64, 1_000_000, 1e-9
 
 
-def stream_shares(docs: DataFrame, power: float = 0.5, weights: dict[str, float] | None = None, slots: int = SLOTS, streams: int = STREAMS) -> DataFrame:
-    """(stream, source, share): stream numbers from 0, share in slots of a period, adding up to `slots`.
+def stream_shares(docs: DataFrame, scratch: Scratch, power: float = 0.5, weights: dict[str, float] | None = None, slots: int = SLOTS) -> DataFrame:
+    """(source, n, stream, share, class, member): each source's rows, its number from 0, its slots in a period, and its
+    place among the sources of equal share. A row for each source.
 
-    Target weights are given, or else go as the number of rows to `power`. `source` of the last stream is a name for all
-    sources beyond the largest ones. At most streams + 1 rows.
+    Target weights are given, or else go as the number of rows to `power`.
     """
     size = docs.groupBy("source").agg(F.count("*").alias("n"))
-    given = F.create_map(*[F.lit(x) for kv in weights.items() for x in kv]) if weights else None
-    want = F.coalesce(F.try_element_at(given, F.coalesce("source", F.lit(""))), F.lit(0.0)) if weights else F.pow(F.col("n").cast("double"), F.lit(power))
-    top = size.withColumn("want", want).orderBy(F.desc("want"), F.desc("n"), F.asc_nulls_first("source")).limit(streams)
-    total = size.agg(F.sum("n").alias("all_n"))
-    kept = top.agg(F.sum("n").alias("kept_n"))
-    rest = total.join(F.broadcast(kept)).where("all_n > kept_n").select(F.lit("").alias("source"), F.lit(True).alias("others"), (F.lit(0.0) if weights else F.pow((F.col("all_n") - F.col("kept_n")).cast("double"), F.lit(power))).alias("want"))
-    every = Window.partitionBy(F.lit(1))  # at most streams + 1 rows
-    order = Window.orderBy("others", F.desc("want"), F.asc_nulls_first("source"))
-    asked = top.select("source", F.lit(False).alias("others"), "want").unionByName(rest)
-    part = asked.withColumn("x", F.lit(slots) * F.col("want") / F.sum("want").over(every)).withColumn("base", F.greatest(F.lit(1), F.floor("x")).cast("int"))
-    part = part.withColumn("left", F.lit(slots) - F.sum("base").over(every))
-    by_rest = Window.orderBy(F.desc(F.col("x") - F.col("base")), "others", F.asc_nulls_first("source"))
-    # what small streams got beyond their weight comes from all with more than one slot, in proportion; none falls below one
-    spare = F.col("base") - 1
-    owed = F.greatest(-F.col("left"), F.lit(0)) * spare
-    part = part.withColumn("spare", F.greatest(F.sum(spare).over(every), F.lit(1))).withColumn("cut", F.floor(owed / F.col("spare"))).withColumn("over", owed % F.col("spare"))
-    part = part.withColumn("still", F.greatest(-F.col("left"), F.lit(0)) - F.sum("cut").over(every))
-    by_over = Window.orderBy(F.desc("over"), "others", F.asc_nulls_first("source"))
-    part = part.withColumn("r", F.row_number().over(by_rest)).withColumn("o", F.row_number().over(by_over))
-    share = F.col("base") + F.when(F.col("r") <= F.col("left"), 1).otherwise(0) - F.col("cut") - F.when(F.col("o") <= F.col("still"), 1).otherwise(0)
-    return part.select((F.row_number().over(order) - 1).cast("int").alias("stream"), "source", "others", share.cast("int").alias("share"))
-
-
-def period(shares: DataFrame, slots: int = SLOTS) -> DataFrame:
-    """(stream, share, nth, slot): where the nth block (from 0) of each stream stands in a period."""
-    row = shares.agg(F.array_sort(F.collect_list(F.struct("stream", "share"))).alias("s"))
+    if weights:
+        given = F.create_map(*[F.lit(x) for kv in weights.items() for x in kv])
+        want = F.coalesce(F.try_element_at(given, F.coalesce("source", F.lit(""))).cast("double"), F.lit(0.0))
+    else:
+        want = F.pow(F.col("n").cast("double"), F.lit(power))
+    asked = scratch.settle(size.withColumn("want", F.greatest(want, F.lit(0.0))), "sizes")
+    count, total = asked.where("want > 0").agg(F.count("*"), F.sum("want")).first()
+    base = max(slots, 4 * count)
+    if 0 < count <= slots:
+        ratios = asked.where("want > 0").agg(F.collect_set(F.col("want") / total).alias("r"))  # distinct weights, at most `slots`
+        near = lambda q: F.forall("r", lambda r: (F.round(r * q) >= 1) & (F.abs(r * q - F.round(r * q)) < DIGITS * q))
+        base = ratios.select(F.try_element_at(F.filter(F.sequence(F.lit(1), F.lit(slots)), near), F.lit(1))).first()[0] or base
+    share = F.when(F.col("want") > 0, F.greatest(F.lit(1), F.round(F.col("want") / F.lit(total or 1.0) * base))).otherwise(0).cast("bigint")
+    by_share = Window.partitionBy("share").orderBy(F.asc_nulls_first("source"))
+    order = Window.orderBy(F.desc("share"), F.asc_nulls_first("source"))  # a row for each source
+    shared = asked.withColumn("share", share).withColumn("member", F.row_number().over(by_share) - 1).withColumn("class", F.dense_rank().over(Window.orderBy(F.desc("share"))) - 1)
+    return shared.select("source", "n", (F.row_number().over(order) - 1).alias("stream"), "share", "class", "member")
+
+
+def period(shares: DataFrame, slots: int, chunk: int = CHUNK) -> DataFrame:
+    """(stream, nth, place): where the nth block (from 0) of each stream stands in a period of `slots`, the sum of shares."""
+    classes = shares.where("share > 0").groupBy("class").agg(F.first("share").alias("share"), F.count("*").alias("members"))
+    row = classes.agg(F.array_sort(F.collect_list(F.struct("class", "share", "members"))).alias("s"))  # distinct shares of one period
 
     def place(state: Column, t: Column) -> Column:
-        """Give slot t to the released block with the earliest deadline; ties go to the lower stream."""
-        done = state["done"]
+        """Give slot t to the released block with the earliest deadline; ties go to the greater share."""
 
         def next_block(x: Column, i: Column) -> Column:
-            n = F.element_at(done, i + 1)
-            release = F.floor(n * slots / x["share"])
-            deadline = F.ceil((n + 1) * slots / x["share"])
-            ready = (n < x["share"]) & (release <= t)
-            return F.struct(F.when(ready, deadline).otherwise(F.lit(2 * slots)).cast("int").alias("due"), x["stream"].alias("stream"), n.alias("nth"))
+            taken = F.get(state["done"], i)
+            n = F.floor(taken / x["members"])  # its members take turns at the nth block
+            ready = (n < x["share"]) & (F.floor(n * slots / x["share"]) <= t)
+            return F.struct(F.when(ready, F.ceil((n + 1) * slots / x["share"])).otherwise(F.lit(4 * slots)).cast("bigint").alias("due"), i.cast("int").alias("at"), taken.alias("taken"))
 
-        pick = F.array_min(F.transform("s", next_block))
-        return F.struct(
-            F.transform(done, lambda n, i: F.when(i == pick["stream"], n + 1).otherwise(n)).alias("done"),
-            F.concat(state["slots"], F.array(F.struct(pick["stream"].alias("stream"), pick["nth"].alias("nth"), t.cast("int").alias("slot")))).alias("slots"),
-        )
+        def apply(pick: Column) -> Column:
+            done = F.transform(state["done"], lambda n, i: F.when(i == pick["at"], n + 1).otherwise(n))
+            return F.struct(done.alias("done"), F.concat(state["out"], F.array(F.struct(pick["at"].alias("class"), pick["taken"].alias("taken"), t.cast("bigint").alias("place")))).alias("out"))
 
-    start = F.struct(F.transform("s", lambda x: F.lit(0)).alias("done"), F.array().cast("array<struct<stream:int,nth:int,slot:int>>").alias("slots"))
-    laid = row.where(F.size("s") > 0).select(F.aggregate(F.sequence(F.lit(0), F.lit(slots - 1)), start, place, lambda st: st["slots"]).alias("p"))
-    return laid.select(F.inline("p")).join(F.broadcast(shares.select("stream", "share")), "stream").select("stream", "share", "nth", "slot")
+        return F.element_at(F.transform(F.array(F.array_min(F.transform("s", next_block))), apply), 1)
+
+    kind = "array<struct<class:int,taken:bigint,place:bigint>>"
+
+    def step(state: Column, first: Column) -> Column:
+        """A chunk of slots, so that a long list isn't copied at every slot."""
+        start = F.struct(state["done"].alias("done"), F.array().cast(kind).alias("out"))
+        laid = F.aggregate(F.sequence(first, F.least(first + chunk, F.lit(slots)) - 1), start, place)
+        return F.element_at(F.transform(F.array(laid), lambda y: F.struct(y["done"].alias("done"), F.concat(state["out"], F.array(y["out"])).alias("out"))), 1)
+
+    zero = F.struct(F.transform("s", lambda x: F.lit(0).cast("bigint")).alias("done"), F.array().cast(f"array<{kind}>").alias("out"))
+    firsts = F.sequence(F.lit(0), F.lit(max(slots - 1, 0)), F.lit(chunk))
+    laid = row.where(F.size("s") > 0).select(F.explode(F.flatten(F.aggregate(firsts, zero, step, lambda st: st["out"]))).alias("p")).select("p.*")
+    own = shares.where("share > 0").join(classes.select(F.col("class").alias("_c"), "members"), F.col("class") == F.col("_c")).select(F.col("class").alias("_class"), "member", "members", "stream")
+    taken_by = (F.col("class") == F.col("_class")) & (F.col("taken") % F.col("members") == F.col("member"))
+    return laid.join(own, taken_by).select("stream", F.floor(F.col("taken") / F.col("members")).alias("nth"), "place")
 
 
 def mix(docs: DataFrame, scratch: Scratch, weights: dict[str, float] | None = None, power: float = 0.5, block: int = BLOCK, slots: int = SLOTS) -> DataFrame:
     """Add _slw_stream, _slw_block, _slw_slot and _slw_in_block to docs. Reading by slot, then place in the block, gives the mixed order."""
-    shares = scratch.settle(stream_shares(docs, power, weights, slots), "shares")
-    least, whole = shares.agg(F.min("share"), F.sum("share")).first()
-    if whole is not None and (least < 1 or whole != slots):
-        raise ValueError(f"shares of a period: least {least}, sum {whole} of {slots} slots; every stream needs a slot and some weight must be positive")
-    plan = scratch.settle(period(shares, slots), "period")
-    own = shares.where("not others").select(F.col("stream").alias("_slw_s"), F.col("source").alias("_slw_src"))
-    streamed = docs.join(F.broadcast(own), docs["source"].eqNullSafe(F.col("_slw_src")), "left")  # at most STREAMS rows
-    last = shares.agg(F.max(F.when(F.col("others"), F.col("stream"))).alias("_slw_last"))
-    streamed = streamed.join(F.broadcast(last)).withColumn("_slw_stream", F.coalesce("_slw_s", "_slw_last")).drop("_slw_s", "_slw_src", "_slw_last")
+    shares = scratch.settle(stream_shares(docs, scratch, power, weights, slots), "shares")
+    sources, whole = shares.agg(F.count("*"), F.coalesce(F.sum("share"), F.lit(0))).first()
+    plan = scratch.settle(period(shares, whole), "period")
+    small = F.broadcast if max(sources, whole) <= BROADCAST_ROWS else lambda df: df
+    blocks = F.ceil(F.col("n") / block)
+    last = shares.where("share > 0").withColumn("last", blocks - 1)
+    ends = last.join(plan.select(F.col("stream").alias("_s"), "nth", "place"), (F.col("stream") == F.col("_s")) & (F.col("last") % F.col("share") == F.col("nth")))
+    end = ends.agg(F.coalesce(F.max(F.floor(F.col("last") / F.col("share")) * whole + F.col("place") + 1), F.lit(0))).first()[0]
+    before = Window.partitionBy(F.col("share") > 0).orderBy("stream").rowsBetween(Window.unboundedPreceding, -1)  # a row for each source
+    tail = F.when(F.col("share") == 0, F.lit(end) + F.coalesce(F.sum(blocks).over(before), F.lit(0)))
+    own = shares.select(F.col("source").alias("_slw_src"), F.col("stream").alias("_slw_stream"), F.col("share").alias("_slw_share"), tail.alias("_slw_tail"))
+    streamed = docs.join(small(own), docs["source"].eqNullSafe(F.col("_slw_src"))).drop("_slw_src")
     placed = numbered(streamed, "_slw_stream", ["doc_id"], F.xxhash64("doc_id"), BUCKETS, scratch, "_slw_at")
     placed = placed.withColumn("_slw_block", F.floor(F.col("_slw_at") / block)).withColumn("_slw_in_block", (F.col("_slw_at") % block).cast("int"))
-    at = plan.select(F.col("stream").alias("_slw_ps"), F.col("nth").alias("_slw_nth"), F.col("slot").alias("_slw_place"))
-    placed = placed.join(F.broadcast(shares.select(F.col("stream").alias("_slw_ss"), F.col("share").alias("_slw_share"))), F.col("_slw_stream") == F.col("_slw_ss"))
-    placed = placed.join(F.broadcast(at), (F.col("_slw_stream") == F.col("_slw_ps")) & ((F.col("_slw_block") % F.col("_slw_share")).cast("int") == F.col("_slw_nth")))  # `slots` rows
-    slot = F.floor(F.col("_slw_block") / F.col("_slw_share")) * slots + F.col("_slw_place")
-    return placed.withColumn("_slw_slot", slot.cast("bigint")).drop("_slw_at", "_slw_ss", "_slw_share", "_slw_ps", "_slw_nth", "_slw_place")
+    nth = F.when(F.col("_slw_share") > 0, F.col("_slw_block") % F.col("_slw_share"))
+    at = plan.select(F.col("stream").alias("_slw_ps"), F.col("nth").alias("_slw_nth"), F.col("place").alias("_slw_place"))
+    placed = placed.join(small(at), (F.col("_slw_stream") == F.col("_slw_ps")) & (nth == F.col("_slw_nth")), "left")
+    slot = F.coalesce(F.floor(F.try_divide(F.col("_slw_block"), F.col("_slw_share"))) * whole + F.col("_slw_place"), F.col("_slw_tail") + F.col("_slw_block"))
+    return placed.withColumn("_slw_slot", slot.cast("bigint")).drop("_slw_at", "_slw_share", "_slw_tail", "_slw_ps", "_slw_nth", "_slw_place")
 
 
 def op4_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:

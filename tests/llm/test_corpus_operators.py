@@ -185,15 +185,45 @@ def test_neighbours(spark):
 # ---- mixing
 
 
-def test_period_is_pfair(spark):
-    shares = spark.createDataFrame([(0, 61), (1, 23), (2, 10), (3, 5), (4, 1)], "stream int, share int")
-    slots = {r["slot"]: r["stream"] for r in mixing.period(shares, 100).collect()}
-    assert sorted(slots) == list(range(100))
+def order_of(out):
+    """Slots in order with their sources; each slot holds one block of one source."""
+    slots = defaultdict(set)
+    for r in out:
+        slots[r["_slw_slot"]].add((r["source"], r["_slw_block"]))
+    assert all(len(x) == 1 for x in slots.values())
+    return sorted((s, next(iter(x))[0]) for s, x in slots.items())
+
+
+def check_deviation(order, weights):
+    """Under one block from weight x slots, for every source, until the first one is used up."""
+    horizon = min(max(s for s, x in order if x == source) for source in weights) + 1
+    done = Counter()
+    for t, (slot, source) in enumerate(order[:horizon], 1):
+        assert slot == t - 1
+        done[source] += 1
+        assert all(abs(done[s] - w * t) < 1 for s, w in weights.items()), (t, done)
+    return horizon
+
+
+@pytest.mark.parametrize("shares", [[61, 23, 10, 5, 1], [1] * 40, [300, 300, 300, 60, 20, 20, *[1] * 60], [7]])
+def test_period_is_pfair(spark, shares):
+    from pyspark.sql import functions as F
+
+    total = sum(shares)
+    distinct = sorted(set(shares), reverse=True)
+    seen = Counter()
+    rows = []
+    for i, p in enumerate(shares):
+        rows.append((i, p, distinct.index(p), seen[p]))
+        seen[p] += 1
+    frame = spark.createDataFrame(rows, "stream int, share bigint, class int, member int").withColumn("source", F.col("stream"))
+    got = mixing.period(frame, total, 16).collect()
+    assert sorted(r["place"] for r in got) == list(range(total))
     done = Counter()
-    for t in range(100):
-        done[slots[t]] += 1
-        for s, w in ((0, 61), (1, 23), (2, 10), (3, 5), (4, 1)):
-            assert abs(done[s] - w * (t + 1) / 100) < 1
+    for r in sorted(got, key=lambda r: r["place"]):
+        assert r["nth"] == done[r["stream"]]
+        done[r["stream"]] += 1
+        assert all(abs(done[i] - p * (r["place"] + 1) / total) < 1 for i, p in enumerate(shares))
 
 
 def test_mixing_keeps_all_rows_and_weights(spark):
@@ -205,30 +235,43 @@ def test_mixing_keeps_all_rows_and_weights(spark):
         by[r["_slw_stream"]].append((r["_slw_block"], r["_slw_in_block"]))
     for v in by.values():
         assert sorted(v) == [(i // 4, i % 4) for i in range(len(v))]
-    order = sorted({(r["_slw_slot"], r["_slw_stream"]) for r in out})
-    assert len({s for s, _ in order}) == len(order)
-    shares = {r["stream"]: r["share"] for r in mixing.stream_shares(docs(spark, rows)).collect()}
-    assert sum(shares.values()) == mixing.SLOTS
-    horizon = min(max(s for s, x in order if x == stream) for stream in shares)
-    for t in range(1, horizon + 1):
-        for stream, share in shares.items():
-            assert abs(sum(s < t and x == stream for s, x in order) - share * t / mixing.SLOTS) < 1
+    shares = {r["source"]: r["share"] for r in mixing.stream_shares(docs(spark, rows), Scratch(spark, "t")).collect()}
+    check_deviation(order_of(out), {s: p / sum(shares.values()) for s, p in shares.items()})
     assert mixing.mix(docs(spark, []), Scratch(spark, "t")).count() == 0
-    given = mixing.stream_shares(docs(spark, rows), weights={"s0": 3.0, "s1": 1.0, "s2": 1.0, "": 5.0}).collect()
-    assert {r["source"]: r["share"] for r in given} == {"s0": 300, "s1": 100, "s2": 100, None: 500}
+
+
+def test_three_equal_sources_keep_thirds(spark):
+    rows = [(i, "t", f"s{i % 3}") for i in range(9000)]
+    out = mixing.mix(docs(spark, rows), Scratch(spark, "t"), block=2).select("source", "_slw_block", "_slw_slot").collect()
+    assert check_deviation(order_of(out), {f"s{i}": 1 / 3 for i in range(3)}) > 4000
+
+
+def test_given_weights(spark):
+    rows = [(i, "t", f"s{i % 3}" if i % 2 else None) for i in range(900)]
+    shares = mixing.stream_shares(docs(spark, rows), Scratch(spark, "t"), weights={"s0": 3.0, "s1": 1.0, "s2": 1.0, "": 5.0}).collect()
+    assert {r["source"]: r["share"] for r in shares} == {"s0": 3, "s1": 1, "s2": 1, None: 5}
+    # weights of 0, weights for absent sources, and no weight that fits: those sources follow after all others
+    for weights, first in (({"s0": 2.0, "s1": 0.0, "other": 9.0}, {"s0"}), ({"nowhere": 1.0}, set()), ({"s0": 0.7, "s2": 0.1}, {"s0", "s2"})):
+        out = mixing.mix(docs(spark, rows), Scratch(spark, "t"), weights, block=4).select("doc_id", "source", "_slw_block", "_slw_slot").collect()
+        order = order_of(out)
+        assert sorted(r["doc_id"] for r in out) == list(range(900))
+        late = [s for s, x in order if x not in first]
+        assert not first or min(late) > max(s for s, x in order if x in first)
+        assert late == list(range(late[0], late[0] + len(late)))
+    check_deviation(order, {"s0": 0.875, "s2": 0.125})
 
 
 def test_mixing_keeps_large_sources_beside_many_small_ones(spark):
     from pyspark.sql import functions as F
 
-    large = spark.range(20 * 10_000).select(F.col("id").alias("doc_id"), F.concat(F.lit("large"), (F.col("id") % 20).cast("string")).alias("source"))
-    small = spark.range(200).select((F.col("id") + 1_000_000).alias("doc_id"), F.concat(F.lit("small"), F.col("id").cast("string")).alias("source"))
+    large = spark.range(20 * 3_000).select(F.col("id").alias("doc_id"), F.concat(F.lit("large"), (F.col("id") % 20).cast("string")).alias("source"))
+    small = spark.range(400).select((F.col("id") + 1_000_000).alias("doc_id"), F.concat(F.lit("small"), F.col("id").cast("string")).alias("source"))
     rows = large.union(small)
-    shares = [r["share"] for r in mixing.stream_shares(rows).collect()]
-    assert len(shares) == 220 and sum(shares) == mixing.SLOTS and sorted(shares) == [1] * 200 + [40] * 20
-    out = mixing.mix(rows, Scratch(spark, "t"))
-    count = lambda df: {r["source"]: r["count"] for r in df.groupBy("source").count().collect()}
-    assert count(out) == count(rows)
+    shares = {r["source"]: r["share"] for r in mixing.stream_shares(rows, Scratch(spark, "t")).collect()}
+    assert len(shares) == 420 and min(shares.values()) >= 1
+    out = mixing.mix(rows, Scratch(spark, "t")).select("source", "_slw_block", "_slw_slot").collect()
+    assert Counter(r["source"] for r in out) == {r["source"]: r["count"] for r in rows.groupBy("source").count().collect()}
+    check_deviation(order_of(out), {s: p / sum(shares.values()) for s, p in shares.items()})
 
 
 # ---- sharding
