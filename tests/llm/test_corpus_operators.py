@@ -277,9 +277,26 @@ def test_mixing_keeps_large_sources_beside_many_small_ones(spark):
 # ---- sharding
 
 
+def one_by_one(sizes, counts, shards):
+    """Each group on its own to the least loaded shard."""
+    load, out = [0] * shards, []
+    for size, n in zip(sizes, counts, strict=True):
+        row = [0] * shards
+        for _ in range(n):
+            s = min(range(shards), key=lambda s: (load[s], s))
+            row[s] += 1
+            load[s] += size
+        out.append(row)
+    return out
+
+
 def test_longest_first():
-    got = sharding.longest_first([("a", 7), ("b", 5), ("c", 4), ("d", 4), ("e", 2)], 2)
-    assert got == {"a": 0, "b": 1, "c": 1, "d": 0, "e": 1}
+    rng = random.Random(6)
+    for _ in range(60):
+        sizes = sorted(rng.sample(range(1, 60), rng.randint(1, 12)), reverse=True)
+        counts = [rng.choice([1, 2, 9, 40, 333]) for _ in sizes]
+        shards = rng.randint(1, 9)
+        assert sharding.longest_first(np.array(sizes), np.array(counts), shards).tolist() == one_by_one(sizes, counts, shards)
 
 
 def test_shards(spark):
@@ -295,9 +312,13 @@ def test_shards(spark):
         slots[r["shard"]].append(r["slot"])
         where[text[r["doc_id"]]].add(r["shard"])
     assert all(len(s) == 1 for s in where.values()) and all(sorted(s) == list(range(len(s))) for s in slots.values())
-    unique = docs(spark, [(i, f"text {i} " * rng.randint(1, 30), "s") for i in range(3000)])
-    sums = [r["n"] for r in sharding.assign_shards(unique, 8).groupBy("shard").agg({"size": "sum"}).withColumnRenamed("sum(size)", "n").collect()]
-    assert len(sums) == 8 and max(sums) - min(sums) <= 0.01 * sum(sums)
+    unique_rows = [(i, f"text {i} " * rng.randint(1, 30), "s") for i in range(3000)]
+    unique = docs(spark, unique_rows)
+    sums = [r["n"] for r in sharding.assign_shards(unique, Scratch(spark, "t"), 8).groupBy("shard").agg({"size": "sum"}).withColumnRenamed("sum(size)", "n").collect()]
+    own = Counter(len(t.encode()) + 1 for _, t, _ in unique_rows)
+    by_size = sorted(own, reverse=True)
+    want = np.array(by_size) @ np.array(one_by_one(by_size, [own[s] for s in by_size], 8))
+    assert sorted(sums) == sorted(want.tolist())
     assert sharding.shard_layout(docs(spark, []), Scratch(spark, "t")).count() == 0
 
 
