@@ -22,7 +22,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from slowlens.llm.common import Scratch, table
+from slowlens.llm.common import Scratch, hot_keys, salted_join, table
 
 MIN_WORDS = 50
 
@@ -49,8 +49,11 @@ def line_table(docs: DataFrame) -> DataFrame:
 
 def stretches(lines: DataFrame, scratch: Scratch, min_words: int) -> DataFrame:
     """The repeated lines that stand in stretches of min_words words or more; `upto` sums words within a text."""
-    twice = lines.groupBy("h1", "h2").agg(F.count("*").alias("_n")).where("_n > 1").select(F.col("h1").alias("_h1"), F.col("h2").alias("_h2"))
-    again = scratch.settle(lines.join(twice, (F.col("h1") == F.col("_h1")) & (F.col("h2") == F.col("_h2"))).select("uid", "doc_id", "pos", "h1", "h2", "words"), "again")
+    twice = lines.groupBy("h1", "h2").agg(F.count("*").alias("_n")).where("_n > 1").select(F.col("h1").alias("_h1"), F.col("h2").alias("_h2"), "_n")
+    twice = scratch.settle(twice, "twice")
+    hot = hot_keys(twice, "_h1", "_n")  # blank lines, say, and boilerplate
+    met = salted_join(lines, twice, ["h1", "h2"], ["_h1", "_h2"], "h1", "_h1", hot, F.xxhash64("uid", "pos"))
+    again = scratch.settle(met.select("uid", "doc_id", "pos", "h1", "h2", "words"), "again")
     by_text = Window.partitionBy("uid").orderBy("pos")
     run = again.withColumn("stretch", F.col("pos") - F.row_number().over(by_text)).withColumn("upto", F.sum("words").over(by_text))
     sums = run.groupBy("uid", "stretch").agg(F.sum("words").alias("_w")).where(F.col("_w") >= min_words).select(F.col("uid").alias("_u"), F.col("stretch").alias("_s"))
@@ -60,15 +63,19 @@ def stretches(lines: DataFrame, scratch: Scratch, min_words: int) -> DataFrame:
 def repeated_runs(lines: DataFrame, scratch: Scratch, min_words: int = MIN_WORDS, levels: int = 40) -> DataFrame:
     """(uid, start, length): for each place the longest run that occurs earlier, if it has min_words words."""
     base = scratch.settle(stretches(lines, scratch, min_words), "stretches")
-    order = ranked(base.select("h1", "h2"), ["h1", "h2"], scratch).where("n > 1").select(F.col("h1").alias("_h1"), F.col("h2").alias("_h2"), "rank")
-    first = base.join(order, (F.col("h1") == F.col("_h1")) & (F.col("h2") == F.col("_h2"))).select("uid", "pos", "rank")
+    spread = F.xxhash64("uid", "pos")
+    order = ranked(base.select("h1", "h2"), ["h1", "h2"], scratch).where("n > 1").select(F.col("h1").alias("_h1"), F.col("h2").alias("_h2"), "n", "rank")
+    hot = hot_keys(order, "_h1", "n")
+    usual = not hot  # no pair of lines, and no longer run, is more frequent than a line of it
+    first = salted_join(base, order, ["h1", "h2"], ["_h1", "_h2"], "h1", "_h1", hot, spread).select("uid", "pos", "rank")
     ranks = [scratch.settle(first, "rank0")]
     for j in range(levels):
         here = ranks[-1]
         on = here.select(F.col("uid").alias("_u"), (F.col("pos") - (1 << j)).alias("_p"), F.col("rank").alias("then"))
         pairs = scratch.settle(here.join(on, (F.col("uid") == F.col("_u")) & (F.col("pos") == F.col("_p"))).select("uid", "pos", "rank", "then"), "pairs")
-        order = ranked(pairs.select(F.col("rank").alias("here"), "then"), ["here", "then"], scratch).where("n > 1").select("here", F.col("then").alias("_t"), F.col("rank").alias("new"))
-        step = pairs.join(order, (F.col("rank") == F.col("here")) & (F.col("then") == F.col("_t"))).select("uid", "pos", F.col("new").alias("rank"))
+        order = ranked(pairs.select(F.col("rank").alias("here"), "then"), ["here", "then"], scratch).where("n > 1").select("here", F.col("then").alias("_t"), "n", F.col("rank").alias("new"))
+        hot = [] if usual else hot_keys(order, "here", "n")
+        step = salted_join(pairs, order, ["rank", "then"], ["here", "_t"], "rank", "here", hot, spread).select("uid", "pos", F.col("new").alias("rank"))
         step = scratch.settle(step, f"rank{j + 1}")
         scratch.drop(pairs)
         if step.limit(1).count() == 0:
@@ -82,8 +89,9 @@ def repeated_runs(lines: DataFrame, scratch: Scratch, min_words: int = MIN_WORDS
         named = scratch.settle(inside.join(names, (F.col("uid") == F.col("_u")) & (F.col("pos") + F.col("length") == F.col("_p")), "left").drop("_u", "_p"), "named")
         open_, rest = named.where("name is not null"), named.where("name is null")  # apart: the join must not see a key of nulls
         kin = open_.groupBy("interval", "name").agg(F.count("*").alias("n"), F.min(place).alias("first")).where("n > 1")
-        kin = kin.select(F.col("interval").alias("_i"), F.col("name").alias("_n"), F.col("first.uid").alias("first_uid"), F.col("first.pos").alias("first_pos"))
-        joined = open_.join(kin, (F.col("interval") == F.col("_i")) & (F.col("name") == F.col("_n")), "left")
+        kin = kin.select(F.col("interval").alias("_i"), F.col("name").alias("_n"), "n", F.col("first.uid").alias("first_uid"), F.col("first.pos").alias("first_pos"))
+        hot = [] if usual else hot_keys(kin, "_n", "n")
+        joined = salted_join(open_, kin, ["interval", "name"], ["_i", "_n"], "name", "_n", hot, spread, "left")
         is_first = (F.col("uid") == F.col("first_uid")) & (F.col("pos") == F.col("first_pos"))
         deeper = F.struct(F.xxhash64("interval", "name", F.lit(j)).alias("interval"), (F.col("length") + (1 << j)).alias("length"))
         stay = F.struct(F.col("interval").alias("interval"), F.col("length").alias("length"))
@@ -92,8 +100,9 @@ def repeated_runs(lines: DataFrame, scratch: Scratch, min_words: int = MIN_WORDS
         new = scratch.settle(new, "intervals")
         scratch.drop(inside, named)
         inside = new
-    firsts = inside.where("length > 0").groupBy("interval").agg(F.min(place).alias("first")).select(F.col("interval").alias("_i"), "first")
-    later = inside.where("length > 0").join(firsts, F.col("interval") == F.col("_i")).where(place > F.col("first")).select("uid", F.col("pos").alias("start"), "length")
+    firsts = inside.where("length > 0").groupBy("interval").agg(F.min(place).alias("first"), F.count("*").alias("n")).select(F.col("interval").alias("_i"), "first", "n")
+    hot = [] if usual else hot_keys(firsts, "_i", "n")
+    later = salted_join(inside.where("length > 0"), firsts, ["interval"], ["_i"], "interval", "_i", hot, spread).where(place > F.col("first")).select("uid", F.col("pos").alias("start"), "length")
     at = base.select(F.col("uid").alias("_u"), F.col("pos").alias("_p"), "upto", "words")
     sized = later.join(at, (F.col("uid") == F.col("_u")) & (F.col("start") == F.col("_p"))).withColumn("until", F.col("upto") - F.col("words")).drop("_u", "_p", "upto", "words")
     sized = sized.join(at, (F.col("uid") == F.col("_u")) & (F.col("start") + F.col("length") - 1 == F.col("_p")))
