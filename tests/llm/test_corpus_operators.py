@@ -9,7 +9,7 @@ import pytest
 
 import corpus_pipeline
 from slowlens.llm import ann, linededup, minhash, mixing, registry, sharding
-from slowlens.llm.common import Scratch, components, table
+from slowlens.llm.common import Scratch, components, hot_keys, salted_join, table
 
 SF = "/root/testdata/sf0.01"
 DOCS = "doc_id bigint, text string, lang string, source string, n_chars bigint"
@@ -145,11 +145,78 @@ def test_signatures_estimate_weighted_likeness():
     for shift in range(12):
         mark = lambda s, k=shift: np.array([x ^ (k * 7919) for x in s], np.uint64)
         keys = [mark(a), mark(b)]
-        sig = minhash.signatures(np.repeat([0, 1], [len(a), len(b)]), np.concatenate(keys), np.array([*a.values(), *b.values()]), 2)
+        sig = minhash.signatures(np.repeat([0, 1], [len(a), len(b)]), np.concatenate(keys), minhash.weights(np.array([*a.values(), *b.values()]), True), 2)
         est.append((sig[0] == sig[1]).mean())
     assert np.mean(est) == pytest.approx(exact, abs=0.05)
 
 
+def test_weighted_classes_against_all_pairs(spark):
+    rng = random.Random(14)
+    texts = {}
+    for g in range(10):
+        base = [f"g{g}w{rng.randint(0, 10**6)}" for _ in range(90)]
+        for times in (1, 2, 40):  # a passage that weighs more each time
+            own = list(base)
+            own[rng.randrange(90)] = f"v{rng.randint(0, 10**6)}"
+            texts[len(texts)] = " ".join(own + base[: rng.randint(10, 40)] * times)
+
+    def bag(t):
+        w = t.split()
+        return {k: 1 + np.log(c) for k, c in Counter(tuple(w[i : i + 5]) for i in range(len(w) - 4)).items()}
+
+    def likeness(x, y):
+        ids = set(x) | set(y)
+        return sum(1 / sum(max(x.get(j, 0) / x[i], y.get(j, 0) / y[i]) for j in ids) for i in set(x) & set(y))
+
+    bags = {i: bag(t) for i, t in texts.items()}
+    parts = [(np.array(sorted(hash(k) for k in b)), np.array([v for _, v in sorted((hash(k), v) for k, v in b.items())])) for b in bags.values()]
+    up = {i: i for i in texts}
+
+    def root(x):
+        return x if up[x] == x else root(up[x])
+
+    links = 0
+    for a, b in itertools.combinations(texts, 2):
+        if a // 3 == b // 3:
+            exact = likeness(bags[a], bags[b])
+            assert minhash.probability_jaccard(*parts[a], *parts[b]) == pytest.approx(exact)
+            if exact >= 0.8:
+                links += 1
+                x, y = sorted((root(a), root(b)))
+                up[y] = x
+    got = {r["doc_id"]: r["class_id"] for r in minhash.near_duplicate_classes(docs(spark, [(i, t, "s") for i, t in texts.items()]), Scratch(spark, "t"), weighted=True).collect()}
+    assert links and got == {i: root(i) for i in texts} != plain_classes(texts)
+
+
+def test_near_duplicates_with_a_large_group(spark):
+    """One group of copies holds most rows, so that its leader, buckets and component are hot."""
+    rng = random.Random(15)
+    base = [f"w{i}" for i in range(70)]
+    texts = {0: " ".join(base)}
+    for i in range(1, 701):
+        own = list(base)
+        if i % 3:
+            own[rng.randrange(70)] = f"v{i}"
+        texts[i] = " ".join(own)
+    for i in range(701, 800):
+        texts[i] = " ".join(f"u{rng.randint(0, 10**6)}" for _ in range(12))
+    got = {r["doc_id"]: r["class_id"] for r in minhash.near_duplicate_classes(docs(spark, [(i, t, "s") for i, t in texts.items()]), Scratch(spark, "t")).collect()}
+    assert got == {i: 0 if i <= 700 else i for i in texts}
+
+
+def test_salted_join(spark):
+    from pyspark.sql import functions as F
+
+    left = spark.createDataFrame([(i, 7 if i % 2 else i) for i in range(2000)], "id bigint, k bigint")
+    right = spark.createDataFrame([(7, "seven"), (8, "eight"), (9, "nine")], "j bigint, name string")
+    hot = hot_keys(left.groupBy("k").count(), "k", "count")
+    assert hot == [7]
+    for how in ("inner", "left"):
+        got = salted_join(left, right, ["k"], ["j"], "k", "j", hot, F.xxhash64("id"), how, 4)
+        want = left.join(right, left.k == right.j, how)
+        assert got.columns == want.columns and sorted(map(str, got.collect())) == sorted(map(str, want.collect()))
+
+
 def test_components(spark):
     links = spark.createDataFrame([(i, i + 1) for i in range(50)] + [(100, 101), (101, 100), (7, 7), (200, 60)], "a bigint, b bigint")
     got = {r["node"]: r["comp"] for r in components(links, Scratch(spark, "t")).collect()}
