@@ -1,20 +1,26 @@
 """Nearest neighbours by multi-index hashing over learned rotated binary codes.
 
 A rotation is learned on a bounded sample (principal axes, then alternating between codes and the closest rotation);
-BITS signs along it and along a second random turn of it are a vector's code. Rows are dealt into blocks; in each block
-every byte of the codes has its own table. A code within Hamming radius r of a query agrees with it in one of the m
-bytes up to r // m flips, so probing those entries of each table finds every code within r; hits within r are reranked by
-exact inner products in double precision. r is the smallest radius that reaches RECALL on pairs of the sample. A block
-that gives a query fewer than k rows is searched whole for it, so rows never lack neighbours.
-
-Every row is indexed. Cases: vectors that are null, zero, or hold null or non-finite components take no part, nor do
-those whose dimension is not the sample's most frequent one; ties go to the smaller vec_id; with too few candidates all
-are returned; an empty table gives no rows; rows sharing a vec_id are one query each but never each other's neighbours.
+signs along it and along a second random turn of it are a vector's code. Rows are dealt into blocks; in each block every
+16-bit substring of the codes has its own table. Among m substrings a code within Hamming radius r = a m + b of a query
+agrees with it up to a flips in one of the first b + 1, or up to a - 1 flips in one of the others (else their flips would
+sum to more than r), so probing those entries finds every code within r. Entries are probed by the flips of the query's
+substring while those are fewer than the table's entries, else by a walk over the entries. Hits within r are reranked by
+exact inner products in double precision. A query starts at the smallest radius that reaches RECALL on pairs of the
+sample, and its radius grows in a block until it has k hits there or the block is used up.
+
+How many rows are probed depends on the data: few where neighbours are close, most where they are hardly closer than
+chance (see probed_share).
+
+Every row is indexed, each dimension on its own. Cases: vectors that are null, zero, or hold null or non-finite components
+take no part; ties go to the smaller vec_id; with too few candidates all are returned; an empty table gives no rows; rows
+that share a vec_id count as one, the least vector.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 from itertools import combinations
 
 import numpy as np
@@ -24,11 +30,19 @@ from pyspark.sql import functions as F
 
 from slowlens.llm.common import Scratch, table
 
-SAMPLE, BLOCK_ROWS, QUERY_EVERY, K, RECALL, SEED, TURNS = 4000, 16384, 20, 20, 0.985, 11, 2
+SAMPLE, BLOCK_ROWS, QUERY_EVERY, K, RECALL, SEED, TURNS = 4000, 8192, 20, 20, 0.97, 11, 2
+WORD = 16  # bits of a substring
 
 
-def _flips(most: int) -> np.ndarray:
-    return np.array([sum(1 << b for b in c) for k in range(most + 1) for c in combinations(range(8), k)], np.uint8)
+def flips(most: int) -> np.ndarray:
+    """All masks of a substring with at most so many bits."""
+    return np.array([sum(1 << b for b in c) for k in range(most + 1) for c in combinations(range(WORD), k)], np.uint16)
+
+
+def allowed(radius: int, tables: int) -> list[int]:
+    """Flips to probe in each table, so that every code within the radius is met; -1: none."""
+    whole, rest = divmod(min(radius, WORD * tables), tables)
+    return [whole if t <= rest else whole - 1 for t in range(tables)]
 
 
 class Codes:
@@ -48,7 +62,7 @@ class Codes:
                 turn = (u @ v).T
             turns.append(axes @ turn)
         self.rotation = np.concatenate(turns, axis=1)
-        self.bytes = -(-self.rotation.shape[1] // 64) * 8
+        self.tables = -(-self.rotation.shape[1] // 64) * 4
         code = self.code(x)
         asked = rng.choice(len(x), min(len(x), 200), replace=False)
         far = np.bitwise_count(code[asked][:, None, :].view(np.uint64) ^ code[None].view(np.uint64)).sum(axis=2)
@@ -56,38 +70,61 @@ class Codes:
         near[np.arange(len(asked)), asked] = -np.inf
         top = np.argsort(-near, axis=1)[:, : min(k, len(x) - 1)]
         reach = np.sort(np.take_along_axis(far, top, axis=1).ravel())
-        self.radius = int(reach[min(len(reach) - 1, int(recall * len(reach)))]) if len(reach) else 0
         # a larger table than the sample has closer neighbours, which the radius covers as well
-        self.flips = _flips(min(8, self.radius // self.bytes))
+        self.radius = int(reach[min(len(reach) - 1, int(recall * len(reach)))]) if len(reach) else 0
 
     def _unit(self, x: np.ndarray) -> np.ndarray:
         y = x - self.centre
         return y / np.maximum(np.linalg.norm(y, axis=1, keepdims=True), 1e-12)
 
     def code(self, x: np.ndarray) -> np.ndarray:
+        """Rows of substrings."""
         bits = np.packbits(self._unit(x) @ self.rotation > 0, axis=1)
-        return np.ascontiguousarray(np.pad(bits, ((0, 0), (0, self.bytes - bits.shape[1]))))
+        return np.ascontiguousarray(np.pad(bits, ((0, 0), (0, 2 * self.tables - bits.shape[1])))).view(np.uint16)
 
 
 class Block:
-    """The rows of one block: a table for each byte of the codes."""
+    """The rows of one block, with a table for each substring of the codes: its entries and the rows of each."""
 
     def __init__(self, codes: Codes, ids: np.ndarray, x: np.ndarray):
         self.codes, self.ids, self.x, self.code = codes, ids, x, codes.code(x)
         self.words = self.code.view(np.uint64)
-        self.order = [np.argsort(c, kind="stable") for c in self.code.T]
-        self.starts = [np.searchsorted(c[o], np.arange(257)) for c, o in zip(self.code.T, self.order, strict=True)]
+        self.entries, self.order, self.starts, self.entry = [], [], [], []
+        for column in self.code.T:
+            order = np.argsort(column, kind="stable")
+            entries, entry = np.unique(column, return_inverse=True)
+            starts = np.searchsorted(column[order], entries)
+            self.entry.append(entry.astype(np.int32))
+            self.entries.append(entries)
+            self.order.append(order)
+            self.starts.append(np.r_[starts, len(order)])
+
+    def probe(self, code: np.ndarray, radius: int) -> np.ndarray:
+        """Which rows stand in a probed entry of some table."""
+        marked = np.zeros(len(self.ids), bool)
+        for t, most in enumerate(allowed(radius, self.codes.tables)):
+            if most < 0:
+                continue
+            entries, starts = self.entries[t], self.starts[t]
+            if most <= 2 and len(entries) > 200:
+                wanted = code[t] ^ flips(most)
+                at = np.searchsorted(entries, wanted)
+                at = at[(at < len(entries)) & (entries[np.minimum(at, len(entries) - 1)] == wanted)]
+                for i in at:
+                    marked[self.order[t][starts[i] : starts[i + 1]]] = True
+            else:
+                marked |= (np.bitwise_count(entries ^ code[t]) <= most)[self.entry[t]]
+        return marked
 
     def search(self, vec_id: int, q: np.ndarray, code: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
-        marked = np.zeros(len(self.ids), bool)
-        for b, order, starts in zip(code, self.order, self.starts, strict=True):
-            for v in b ^ self.codes.flips:
-                marked[order[starts[v] : starts[int(v) + 1]]] = True
-        marked &= self.ids != vec_id
-        rows = np.flatnonzero(marked)
-        rows = rows[np.bitwise_count(self.words[rows] ^ code.view(np.uint64)).sum(axis=1) <= self.codes.radius]
-        if len(rows) < k:
-            rows = np.flatnonzero(self.ids != vec_id)
+        radius, bits = self.codes.radius, WORD * self.codes.tables
+        while True:
+            rows = np.flatnonzero(self.probe(code, radius))
+            rows = rows[np.bitwise_count(self.words[rows] ^ code.view(np.uint64)).sum(axis=1) <= radius]
+            rows = rows[self.ids[rows] != vec_id]
+            if len(rows) >= k or radius >= bits:
+                break
+            radius = min(bits, radius + max(1, self.codes.tables // 2))
         score = (self.x[rows] * q).sum(axis=1)  # row by row, so that equal vectors score alike to the last bit
         if len(rows) > 4 * k:
             near = np.flatnonzero(score >= np.partition(score, len(score) - k)[len(score) - k])
@@ -96,6 +133,15 @@ class Block:
         return self.ids[rows[best]], score[best]
 
 
+def probed_share(x: np.ndarray, queries: int = 100, k: int = K) -> tuple[float, float]:
+    """Of a block of vectors, the share of rows that a query's probes meet, and that of rows within its radius."""
+    codes = Codes(x[:SAMPLE], k)
+    block = Block(codes, np.arange(len(x)), x)
+    met = [block.probe(c, codes.radius).mean() for c in block.code[:queries]]
+    within = [(np.bitwise_count(block.words ^ c.view(np.uint64)).sum(axis=1) <= codes.radius).mean() for c in block.code[:queries]]
+    return float(np.mean(met)), float(np.mean(within))
+
+
 def usable(vectors: DataFrame) -> DataFrame:
     """Vectors as arrays of doubles, without those that take no part."""
     v = vectors.select("vec_id", F.col("embedding").cast("array<double>").alias("v")).where("vec_id is not null and v is not null and size(v) > 0")
@@ -106,20 +152,26 @@ def usable(vectors: DataFrame) -> DataFrame:
 def nearest(vectors: DataFrame, scratch: Scratch, k: int = K, every: int = QUERY_EVERY, sample: int = SAMPLE, block_rows: int = BLOCK_ROWS) -> DataFrame:
     """query_id, rank, vec_id, score of the k nearest rows of each query, a row whose vec_id is divisible by `every`."""
     rows = scratch.settle(usable(vectors), "vectors")
-    schema = "query_id bigint, rank int, vec_id bigint, score double"
-    n = rows.count()
+    if rows.groupBy("vec_id").count().where("count > 1").limit(1).count():
+        rows = scratch.settle(rows.groupBy("vec_id").agg(F.min("v").alias("v")), "unique")
+    dims = sorted((r["d"], r["n"]) for r in rows.groupBy(F.size("v").alias("d")).agg(F.count("*").alias("n")).collect())  # a row for each dimension
+    parts = [_of_dimension(rows.where(F.size("v") == d), n, d, k, every, sample, block_rows) for d, n in dims]
+    if not parts:
+        return vectors.sparkSession.createDataFrame([], "query_id bigint, rank int, vec_id bigint, score double")
+    found = reduce(DataFrame.unionAll, parts)
+    best = F.slice(F.array_sort(F.collect_list(F.struct((-F.col("score")).alias("minus"), "vec_id"))), 1, k)  # at most k from each block
+    return found.groupBy("query_id").agg(best.alias("b")).select("query_id", F.posexplode("b").alias("p", "n")).select("query_id", (F.col("p") + 1).alias("rank"), "n.vec_id", (-F.col("n.minus")).alias("score"))
+
+
+def _of_dimension(rows: DataFrame, n: int, dim: int, k: int, every: int, sample: int, block_rows: int) -> DataFrame:
+    """(query_id, vec_id, score): each query's nearest in every block of the n rows of one dimension."""
     taken = rows.orderBy(F.xxhash64("vec_id"), "vec_id").limit(sample).collect()  # at most `sample` rows
-    if not taken:
-        return vectors.sparkSession.createDataFrame([], schema)
-    dims = [len(r["v"]) for r in taken]
-    dim = max(sorted(set(dims)), key=dims.count)
-    rows = rows.where(F.size("v") == dim)
-    codes = Codes(np.array([r["v"] for r in taken if len(r["v"]) == dim]), k)
-    blocks = max(1, -(-n // block_rows))
-    index = rows.select(F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("bigint").alias("block"), F.lit(0).alias("asks"), "vec_id", "v")
+    codes = Codes(np.array([r["v"] for r in taken]), k)
+    blocks = -(-n // block_rows)
+    index = rows.select(F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("int").alias("block"), F.lit(0).alias("asks"), "vec_id", "v")
     asked = rows.where(F.col("vec_id") % every == 0)
     # each query goes to every block: the stated query set against all rows, in blocks
-    asked = asked.select(F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(blocks - 1).cast("bigint"))).alias("block"), F.lit(1).alias("asks"), "vec_id", "v")
+    asked = asked.select(F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("block"), F.lit(1).alias("asks"), "vec_id", "v")
 
     def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         key, ids, xs, block = None, [], [], None
@@ -144,10 +196,8 @@ def nearest(vectors: DataFrame, scratch: Scratch, k: int = K, every: int = QUERY
             cols = list(zip(*out, strict=True)) if out else [[], [], []]
             yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int64()), pa.array(cols[2], pa.float64())], names=["query_id", "vec_id", "score"])
 
-    together = index.unionByName(asked).repartition(blocks, "block").sortWithinPartitions("block", "asks")
-    found = together.mapInArrow(search, "query_id bigint, vec_id bigint, score double").distinct()
-    best = F.slice(F.array_sort(F.collect_list(F.struct((-F.col("score")).alias("minus"), "vec_id"))), 1, k)  # at most k from each block
-    return found.groupBy("query_id").agg(best.alias("b")).select("query_id", F.posexplode("b").alias("p", "n")).select("query_id", (F.col("p") + 1).alias("rank"), "n.vec_id", (-F.col("n.minus")).alias("score"))
+    together = index.unionByName(asked).repartitionById(blocks, "block").sortWithinPartitions("block", "asks")  # a block a task
+    return together.mapInArrow(search, "query_id bigint, vec_id bigint, score double")
 
 
 def op8_nearest_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -244,11 +244,53 @@ def test_neighbours(spark):
         assert found == sorted(found, key=lambda y: (-y[1], y[0]))
         hit += len(set(best) & {i for i, _ in found})
     assert hit / (20 * len(got)) >= 0.9
+    twice = df.where("vec_id < 100").union(spark.createDataFrame([(0, [-9.0] * 24, 0), (3, x[3].tolist(), 0)], df.schema))
+    again = ann.nearest(twice, Scratch(spark, "t")).collect()
+    assert len({(r["query_id"], r["rank"]) for r in again}) == len(again) == 5 * 20
+    other = spark.createDataFrame([(i, [float(i), 1.0], 0) for i in (2000, 2001, 2020)], df.schema)
+    mixed = [r for r in ann.nearest(df.union(other), Scratch(spark, "t")).collect() if r["query_id"] >= 2000]
+    assert sorted((r["query_id"], r["rank"], r["vec_id"]) for r in mixed) == [(2000, 1, 2020), (2000, 2, 2001), (2020, 1, 2001), (2020, 2, 2000)]
     few = ann.nearest(df.where("vec_id < 5"), Scratch(spark, "t")).collect()
     assert sorted((r["query_id"], r["rank"]) for r in few) == [(0, r) for r in range(1, 5)]
     assert ann.nearest(df.limit(0), Scratch(spark, "t")).count() == 0
 
 
+@pytest.mark.parametrize("radius", [0, 3, 9, 20, 37])
+def test_probes_meet_every_code_within_the_radius(radius):
+    rng = np.random.default_rng(radius)
+    centres = rng.normal(size=(20, 40))
+    x = centres[rng.integers(0, 20, 1500)] + 0.25 * rng.normal(size=(1500, 40))
+    codes = ann.Codes(x[:800])
+    assert sum(a + 1 for a in ann.allowed(radius, codes.tables)) == radius + 1 or radius < codes.tables
+    block = ann.Block(codes, np.arange(len(x)), x)
+    for q in range(0, 1500, 150):
+        within = np.bitwise_count(block.words ^ block.words[q]).sum(axis=1) <= radius
+        met = block.probe(block.code[q], radius)
+        assert (met | ~within).all()
+
+
+def test_close_neighbours_need_few_probes():
+    rng = np.random.default_rng(5)
+    centres = rng.normal(size=(60, 64))
+    x = centres[rng.integers(0, 60, 8000)] + 0.05 * rng.normal(size=(8000, 64))
+    met, within = ann.probed_share(x)
+    assert within <= met < 0.2
+
+
+def test_recall_on_the_given_vectors(spark):
+    rows = table(spark, SF, "embeddings").collect()
+    ids, x = np.array([r["vec_id"] for r in rows]), np.array([r["embedding"] for r in rows], float)
+    got = defaultdict(set)
+    for r in ann.nearest(table(spark, SF, "embeddings"), Scratch(spark, "t")).collect():
+        got[r["query_id"]].add(r["vec_id"])
+    hits = []
+    for q in np.flatnonzero(ids % 20 == 0):
+        score = x @ x[q]
+        score[q] = -np.inf
+        hits.append(len(got[ids[q]] & set(ids[np.lexsort((ids, -score))[:20]].tolist())) / 20)
+    assert np.mean(hits) >= 0.95
+
+
 # ---- mixing
 
 
