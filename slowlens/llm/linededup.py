@@ -74,8 +74,9 @@ def repeated_runs(lines: DataFrame, scratch: Scratch, min_words: int = MIN_WORDS
         on = here.select(F.col("uid").alias("_u"), (F.col("pos") - (1 << j)).alias("_p"), F.col("rank").alias("then"))
         pairs = scratch.settle(here.join(on, (F.col("uid") == F.col("_u")) & (F.col("pos") == F.col("_p"))).select("uid", "pos", "rank", "then"), "pairs")
         order = ranked(pairs.select(F.col("rank").alias("here"), "then"), ["here", "then"], scratch).where("n > 1").select("here", F.col("then").alias("_t"), "n", F.col("rank").alias("new"))
-        hot = [] if usual else hot_keys(order, "here", "n")
-        step = salted_join(pairs, order, ["rank", "then"], ["here", "_t"], "rank", "here", hot, spread).select("uid", "pos", F.col("new").alias("rank"))
+        order, pairs_of = order.withColumn("_key", F.xxhash64("here", "_t")), pairs.withColumn("_of", F.xxhash64("rank", "then"))
+        hot = [] if usual else hot_keys(order, "_key", "n")
+        step = salted_join(pairs_of, order, ["rank", "then"], ["here", "_t"], "_of", "_key", hot, spread).select("uid", "pos", F.col("new").alias("rank"))
         step = scratch.settle(step, f"rank{j + 1}")
         scratch.drop(pairs)
         if step.limit(1).count() == 0:
@@ -90,8 +91,9 @@ def repeated_runs(lines: DataFrame, scratch: Scratch, min_words: int = MIN_WORDS
         open_, rest = named.where("name is not null"), named.where("name is null")  # apart: the join must not see a key of nulls
         kin = open_.groupBy("interval", "name").agg(F.count("*").alias("n"), F.min(place).alias("first")).where("n > 1")
         kin = kin.select(F.col("interval").alias("_i"), F.col("name").alias("_n"), "n", F.col("first.uid").alias("first_uid"), F.col("first.pos").alias("first_pos"))
-        hot = [] if usual else hot_keys(kin, "_n", "n")
-        joined = salted_join(open_, kin, ["interval", "name"], ["_i", "_n"], "name", "_n", hot, spread, "left")
+        kin = kin.withColumn("_key", F.xxhash64("_i", "_n"))
+        hot = [] if usual else hot_keys(kin, "_key", "n")
+        joined = salted_join(open_.withColumn("_of", F.xxhash64("interval", "name")), kin, ["interval", "name"], ["_i", "_n"], "_of", "_key", hot, spread, "left")
         is_first = (F.col("uid") == F.col("first_uid")) & (F.col("pos") == F.col("first_pos"))
         deeper = F.struct(F.xxhash64("interval", "name", F.lit(j)).alias("interval"), (F.col("length") + (1 << j)).alias("length"))
         stay = F.struct(F.col("interval").alias("interval"), F.col("length").alias("length"))
