@@ -23,35 +23,44 @@ def with_clock(log: DataFrame, ts: str = "started") -> DataFrame:
     return log.withColumn("hour", F.hour(ts)).withColumn("dow", F.weekday(ts) + 1)
 
 
-def wait_history(waits: DataFrame, classes: list[str], server: str, window: Column, value: Column, agg: str = "avg", kind: str = "wait_class") -> DataFrame:
-    """One row for each server and window, one column for each wait class."""
-    how = {"avg": F.avg, "sum": F.sum, "count": F.count, "max": F.max}[agg]
-    wide = waits.withColumn("win", window).groupBy(server, "win").pivot(kind, classes).agg(how(value))
-    return wide.select(F.col(server).alias("_server"), F.col("win").alias("_win"), *[F.coalesce(F.col(f"`{c}`"), F.lit(0)).alias(f"w_{c}") for c in classes])
+def run_end(started: Column, seconds: Column) -> Column:
+    """End of a run, at least a microsecond after its start, so that every run is a proper interval [started, ended)."""
+    length = F.greatest(F.coalesce((seconds * 1_000_000).cast("bigint"), F.lit(1)), F.lit(1).cast("bigint"))
+    return F.timestamp_micros(F.unix_micros(started) + length)
+
+
+def overlapping(log: DataFrame, spans: DataFrame, server: str = "server", start: str = "started", end: str = "ended", bucket_hours: int = 24) -> DataFrame:
+    """Pairs of a run (oid, _ts, _te) and a span [from_ts, to_ts) of its server that share time; spans keep their columns.
+
+    Both sides are cut into buckets of time; the join is on server and bucket, the exact test follows. A pair that meets in
+    several buckets counts in the first of them. Spans that don't end after they begin, and rows with nulls, pair with none.
+    """
+    bucket = lambda c: F.floor(F.unix_micros(c) / (bucket_hours * 3_600_000_000))
+    cut = lambda a, b: F.explode(F.sequence(bucket(F.col(a)), bucket(F.col(b))))
+    spread = spans.where("from_ts < to_ts").withColumnRenamed("server", "_server").withColumn("_b", cut("from_ts", "to_ts"))
+    runs = log.select("oid", F.col(server).alias("_s"), F.col(start).alias("_ts"), F.col(end).alias("_te")).where("_ts < _te").withColumn("_rb", cut("_ts", "_te"))
+    first = F.col("_b") == F.greatest(bucket(F.col("_ts")), bucket(F.col("from_ts")))
+    on = (F.col("_s") == F.col("_server")) & (F.col("_rb") == F.col("_b")) & (F.col("_te") > F.col("from_ts")) & (F.col("_ts") < F.col("to_ts")) & first
+    return runs.join(spread, on).drop("_s", "_server", "_b", "_rb")
 
 
-def with_waits(log: DataFrame, history: DataFrame, server: str, window: Column) -> DataFrame:
-    """Equi-join on server and window: a range of time has become a key."""
-    keyed = log.withColumn("_at", window)
-    return keyed.join(history, (F.col(server) == F.col("_server")) & (F.col("_at") == F.col("_win")), "left").drop("_server", "_win", "_at")
+def _joined(log: DataFrame, found: DataFrame, columns: list[Column]) -> DataFrame:
+    return log.join(found.select(F.col("oid").alias("_oid"), *columns), F.col("oid") == F.col("_oid"), "left").drop("_oid")
 
 
-def overlapping(log: DataFrame, alerts: DataFrame, server: str, ts: str, bucket_hours: int = 24) -> DataFrame:
-    """Pairs of a statement (oid) and an alert that is on when it runs: from_ts < start <= to_ts.
+def with_waits(log: DataFrame, waits: DataFrame, classes: list[str], agg: str = "count", value: str | None = None, kind: str = "kind", **interval) -> DataFrame:
+    """For each class of waits a column `w_<class>` over the waits of the server during the run; 0 where there is none.
 
-    Both sides are cut into buckets of time; the join is on server and bucket, the exact test follows.
+    `waits` has server, from_ts, to_ts and the class: a row for each waiting session (counted), or for each sample of an
+    active session history (then `value` holds its number of sessions, and agg is sum, avg or max).
     """
-    width = bucket_hours * 3600
-    bucket = lambda c: F.floor(F.unix_micros(c) / (width * 1_000_000))
-    spread = alerts.withColumn("_b", F.explode(F.sequence(bucket(F.col("from_ts")), bucket(F.col("to_ts"))))).withColumnRenamed("server", "_server")
-    runs = log.select("oid", F.col(server).alias("_s"), F.col(ts).alias("_ts")).withColumn("_rb", bucket(F.col("_ts")))
-    on = (F.col("_s") == F.col("_server")) & (F.col("_rb") == F.col("_b")) & (F.col("_ts") > F.col("from_ts")) & (F.col("_ts") <= F.col("to_ts"))
-    return runs.join(spread, on).drop("_server", "_b", "_rb")
+    how = {"avg": F.avg, "sum": F.sum, "count": F.count, "max": F.max}[agg]
+    wide = overlapping(log, waits, **interval).groupBy("oid").pivot(kind, classes).agg(how(F.col(value) if value else F.lit(1)))
+    return _joined(log, wide, [F.col(f"`{c}`").alias(f"w_{c}") for c in classes]).fillna(0, [f"w_{c}" for c in classes])
 
 
-def with_alerts(log: DataFrame, alerts: DataFrame, kinds: list[str], levels: tuple[str, ...], server: str = "server", ts: str = "started") -> DataFrame:
-    """For each kind the highest level on at the run, as an ordinal column `a_<kind>`; null where none is."""
+def with_alerts(log: DataFrame, alerts: DataFrame, kinds: list[str], levels: tuple[str, ...], **interval) -> DataFrame:
+    """For each kind the highest level on at any time of the run, as an ordinal column `a_<kind>`; null where none is."""
     place = F.array_position(F.lit(list(levels)), F.col("level"))
-    hit = overlapping(log, alerts, server, ts).groupBy("oid").pivot("kind", kinds).agg(F.max(place))
-    named = [F.try_element_at(F.lit(list(levels)), F.col(f"`{k}`").cast("int")).alias(f"a_{k}") for k in kinds]
-    return log.join(hit.select(F.col("oid").alias("_oid"), *named), F.col("oid") == F.col("_oid"), "left").drop("_oid")
+    hit = overlapping(log, alerts, **interval).groupBy("oid").pivot("kind", kinds).agg(F.max(place))
+    return _joined(log, hit, [F.try_element_at(F.lit(list(levels)), F.col(f"`{k}`").cast("int")).alias(f"a_{k}") for k in kinds])

@@ -98,7 +98,7 @@ def op_join_range(spark: SparkSession, d: str) -> DataFrame:
     return load(spark, d, "lineitem").where((q >= edges[0]) & (q < edges[-1])).groupBy(F.element_at(F.lit(edges), bin_no).alias("lo")).agg(F.count("*").alias("n"))
 
 
-query("op_join_interval", f"SELECT x.oid, CAST(count(*) AS BIGINT) AS alerts FROM ({oracle.LOG}) x JOIN (SELECT server, started FROM ({oracle.LOG}) WHERE event_type = 'error') y ON x.server = y.server AND x.started > y.started AND x.started <= y.started + INTERVAL 48 HOUR GROUP BY 1")(lambda spark, d: enrich.overlapping(datasets.query_log(spark, d), datasets.alert_intervals(spark, d), "server", "started").groupBy("oid").agg(F.count("*").alias("alerts")))
+query("op_join_interval", f"SELECT x.oid, CAST(count(*) AS BIGINT) AS alerts FROM ({oracle.LOG}) x JOIN (SELECT server, ended AS f FROM ({oracle.LOG}) WHERE event_type = 'error') y ON x.server = y.server AND x.ended > y.f AND x.started < y.f + INTERVAL 48 HOUR GROUP BY 1")(lambda spark, d: enrich.overlapping(datasets.query_log(spark, d), datasets.alert_intervals(spark, d)).groupBy("oid").agg(F.count("*").alias("alerts")))
 
 
 @query("op_join_asof", f"SELECT x.oid, y.oid AS alert FROM ({oracle.LOG}) x ASOF LEFT JOIN (SELECT * FROM ({oracle.LOG}) WHERE event_type = 'error') y ON x.server = y.server AND x.started > y.started")

@@ -2,20 +2,29 @@
 
 from __future__ import annotations
 
-from slowlens.sources.datasets import LEVEL_CUTS, LEVELS, TOY, TOY_COLUMNS, TYPES
+from slowlens.sources.datasets import BUSY, LEVEL_CUTS, LEVELS, TOY, TOY_COLUMNS, TYPES, WAIT_HOURS
 
 ENV = "customer JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey"
-LOG = "SELECT event_id AS oid, user_id AS server, ts AS started, CAST(value AS DECIMAL(18,2)) AS time_s, CAST(regexp_extract(props, '[0-9]+') AS INTEGER) AS k, event_type FROM events"
+LOG = "SELECT event_id AS oid, user_id AS server, ts AS started, CAST(value AS DECIMAL(18,2)) AS time_s, CAST(regexp_extract(props, '[0-9]+') AS INTEGER) AS k, event_type, ts + to_microseconds(greatest(CAST(CAST(value AS DECIMAL(18,2)) * 1000000 AS BIGINT), 1)) AS ended FROM events"
 _LEVEL = f"CASE WHEN time_s > {LEVEL_CUTS[2]} THEN 4 WHEN time_s > {LEVEL_CUTS[1]} THEN 3 WHEN time_s > {LEVEL_CUTS[0]} THEN 2 ELSE 1 END"
-_WAITS = ", ".join(f"CAST(count(*) FILTER (WHERE event_type = '{c}') AS BIGINT) AS w_{c}" for c in TYPES)
+_WAITS = ", ".join(f"CAST(count(*) FILTER (WHERE wk = '{c}') AS BIGINT) AS w_{c}" for c in TYPES)
+#: every period of ten seconds of every run, and the sessions that wait in it
+BUSY_SQL = f"""
+SELECT oid AS bo, CASE WHEN max(x) >= {BUSY} THEN 1 ELSE 0 END AS busy FROM (
+  SELECT oid, a, sum(least(b, t) - greatest(a, f)) / CAST(b - a AS DOUBLE) AS x FROM (
+    SELECT oid, server, a, least(a + 10000000, e) AS b FROM (SELECT *, unnest(range(s, e, 10000000)) AS a FROM (SELECT oid, server, epoch_us(started) AS s, epoch_us(ended) AS e FROM ({LOG})))) p
+  JOIN (SELECT server AS v, epoch_us(started) AS f, epoch_us(started) + {WAIT_HOURS} * 3600000000 AS t FROM ({LOG})) w ON p.server = w.v AND f < b AND t > a
+  GROUP BY oid, a, b) GROUP BY oid"""
 EVENTS_PLAIN = f"SELECT l.*, hour(started) AS hour, isodow(started) AS dow, c_mktsegment, c_acctbal, n_name, r_name, time_s AS t FROM ({LOG}) l LEFT JOIN ({ENV}) ON server = c_custkey"
 EVENTS = f"""
-SELECT p.*, w.* EXCLUDE (ws, wd), CASE a.lv {' '.join(f"WHEN {i + 1} THEN '{v}'" for i, v in enumerate(LEVELS))} END AS a_error,
-  CASE WHEN w_click + w_error + w_purchase + w_signup + w_view >= 6 THEN 1 ELSE 0 END AS busy, CASE WHEN a.lv = 4 THEN 1 ELSE 0 END AS crit
+SELECT p.*, w.* EXCLUDE (wo), CASE a.lv {' '.join(f"WHEN {i + 1} THEN '{v}'" for i, v in enumerate(LEVELS))} END AS a_error,
+  b.busy, CASE WHEN a.lv = 4 THEN 1 ELSE 0 END AS crit
 FROM ({EVENTS_PLAIN}) p
-JOIN (SELECT server AS ws, date_trunc('day', started) AS wd, {_WAITS} FROM ({LOG}) GROUP BY 1, 2) w ON p.server = w.ws AND date_trunc('day', p.started) = w.wd
-LEFT JOIN (SELECT x.oid AS ao, max(y.lv) AS lv FROM ({LOG}) x JOIN (SELECT server, started AS f, {_LEVEL} AS lv FROM ({LOG}) WHERE event_type = 'error') y
-  ON x.server = y.server AND x.started > y.f AND x.started <= y.f + INTERVAL 48 HOUR GROUP BY 1) a ON p.oid = a.ao
+JOIN (SELECT x.oid AS wo, {_WAITS} FROM ({LOG}) x JOIN (SELECT server AS ws, started AS wf, event_type AS wk FROM ({LOG})) y
+  ON x.server = ws AND wf < x.ended AND wf + INTERVAL {WAIT_HOURS} HOUR > x.started GROUP BY 1) w ON p.oid = w.wo
+JOIN ({BUSY_SQL}) b ON p.oid = b.bo
+LEFT JOIN (SELECT x.oid AS ao, max(y.lv) AS lv FROM ({LOG}) x JOIN (SELECT server, ended AS f, {_LEVEL} AS lv FROM ({LOG}) WHERE event_type = 'error') y
+  ON x.server = y.server AND x.ended > y.f AND x.started < y.f + INTERVAL 48 HOUR GROUP BY 1) a ON p.oid = a.ao
 """
 LINES = """
 SELECT hash(l) AS oid, l_returnflag, l_linestatus, l_quantity, l_discount, l_tax, p_brand, p_type, p_size, n_name, n_regionkey AS s_regionkey, o_orderpriority, c_mktsegment, year(l_shipdate) AS ship_year,

@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+from concurrent.futures import ThreadPoolExecutor
+from functools import reduce
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -290,29 +293,39 @@ for _m in ("lift", "wracc", "mean_test", "tscore", "median_0", "median_0.5", "me
     query(f"w_planted_{_m.replace('.', '')}", _text)(_planted)
 
 
-def _tokens(key: str, make, sql: str, tokens: str, target: str, measure: str, nominals: tuple[str, ...], cuts: dict[str, list], share: float, width: int = 20) -> None:
-    """A search over sparse token attributes; tokens in at least `share` of the rows."""
+def _tokens(key: str, make, sql: str, tokens: str, target: str, measure: str, nominals: tuple[str, ...], cuts: dict[str, list], width: int = 20, floor: int | None = None) -> None:
+    """A search over sparse token attributes: those of `floor` rows or more, the support that the search asks for anyway."""
     base = oracle.selectors(nominals, cuts) if nominals or cuts else ""
-    frequent = f"SELECT oid, token FROM ({tokens}) WHERE token IN (SELECT token FROM ({tokens}) WHERE oid IN (SELECT oid FROM ({sql})) GROUP BY token HAVING count(DISTINCT oid) >= ceil({share} * (SELECT count(*) FROM ({sql}))))"
-    text = oracle.search(sql, base + " UNION ALL " + oracle.token_counts(frequent), measure, 10, 2, width, target=target)
+    least = str(floor) if floor else f"greatest(5, (SELECT ceil(count(*) / 1000) FROM ({sql})))"
+    frequent = f"SELECT oid, token FROM ({tokens}) WHERE token IN (SELECT token FROM ({tokens}) WHERE oid IN (SELECT oid FROM ({sql})) GROUP BY token HAVING count(DISTINCT oid) >= {least})"
+    text = oracle.search(sql, base + " UNION ALL " + oracle.token_counts(frequent), measure, 10, 2, width, floor, target=target)
 
     def run(spark: SparkSession, d: str) -> DataFrame:
         ds = make(spark, d)
-        floor = -(-int(round(share * 1e6)) * ds.df.count() // 1_000_000)
-        sels = chosen(ds, nominals, cuts) + selectors.tokens(ds, max(1, floor))
-        return _run(search.Session(ds, sels, measure.startswith("med")), "beam", spark, measure=measure, k=10, depth=2, width=width)
+        sels = chosen(ds, nominals, cuts) + selectors.tokens(ds, floor or max(5, -(-ds.df.count() // 1000)))
+        return _run(search.Session(ds, sels, measure.startswith("med")), "beam", spark, measure=measure, k=10, depth=2, width=width, min_support=floor)
 
     query(key, text)(run)
 
 
-_tokens("w_sparse_quality", lambda s, d: datasets.documents_set(s, d, "bad"), oracle.DOCS, oracle.DOC_TOKENS, "bad", "wracc", ("lang",), {"n_words": [100, 500], "n_lines": [5, 20]}, 0.05)
-_tokens("w_sparse_toxic", lambda s, d: datasets.documents_set(s, d, "toxic"), oracle.DOCS, oracle.DOC_TOKENS, "toxic", "wracc", ("lang",), {"n_words": [100, 500]}, 0.03)
-_tokens("w_sparse_orders", lambda s, d: datasets.orders_set(s, d, "finished"), oracle.ORDERS, oracle.ORDER_TOKENS, "finished", "wracc", ("c_mktsegment",), {}, 0.02)
-_tokens("w_pages", datasets.pages_set, oracle.PAGES, oracle.PAGE_TOKENS, "t", "median_0.5", ("scheme", "domain"), {}, 0.05, 10)
+_tokens("w_sparse_quality", lambda s, d: datasets.documents_set(s, d, "bad"), oracle.DOCS, oracle.DOC_TOKENS, "bad", "wracc", ("lang",), {"n_words": [100, 500], "n_lines": [5, 20]})
+_tokens("w_sparse_toxic", lambda s, d: datasets.documents_set(s, d, "toxic"), oracle.DOCS, oracle.DOC_TOKENS, "toxic", "wracc", ("lang",), {"n_words": [100, 500]})
+_tokens("w_sparse_orders", lambda s, d: datasets.orders_set(s, d, "finished"), oracle.ORDERS, oracle.ORDER_TOKENS, "finished", "wracc", ("c_mktsegment",), {}, floor=5)
+_tokens("w_pages", datasets.pages_set, oracle.PAGES, oracle.PAGE_TOKENS, "t", "median_0.5", ("scheme", "domain"), {}, 10)
+
+
+COMPONENTS = 64
+_LABEL_SQL = oracle.search(oracle.vectors(COMPONENTS), oracle.selectors((), {f"e{i}": [-0.1, 0, 0.1] for i in range(COMPONENTS)}), "wracc", 10, 2, 20, target="CASE WHEN label = {label} THEN 1 ELSE 0 END")
 
 
-@query("w_nominal_embeddings", oracle.search(oracle.vectors(8), oracle.selectors((), {f"e{i}": [-0.1, 0, 0.1] for i in range(8)}), "wracc", 10, 2, 20))
+@query("w_nominal_embeddings", " UNION ALL ".join(f"SELECT * FROM (SELECT CAST({v} AS INTEGER) AS value, * FROM ({_LABEL_SQL.replace('{label}', str(v))})) WHERE {v} IN (SELECT label FROM embeddings)" for v in range(10)))
 def w_nominal_embeddings(spark: SparkSession, d: str) -> DataFrame:
-    ds = datasets.embeddings_set(spark, d, 0, 8)
-    s = search.Session(ds, [x for i in range(8) for x in selectors.numeric(f"e{i}", [-0.1, 0, 0.1])], False)
-    return _run(s, "beam", spark, measure="wracc", k=10, depth=2, width=20)
+    """Each value of a nominal target against the rest, on all components; the given labels are 0 to 9."""
+    sels = [x for i in range(COMPONENTS) for x in selectors.numeric(f"e{i}", [-0.1, 0, 0.1])]
+
+    def one(value: int) -> DataFrame:
+        s = search.Session(datasets.embeddings_set(spark, d, value, COMPONENTS), sels, False)
+        return _run(s, "beam", spark, measure="wracc", k=10, depth=2, width=20).select(F.lit(value).cast("int").alias("value"), "*")
+
+    with ThreadPoolExecutor(5) as pool:  # the searches don't depend on one another
+        return reduce(DataFrame.unionByName, pool.map(one, datasets.categories(datasets.load(spark, d, "embeddings"), "label")))

@@ -97,12 +97,13 @@ def p_env(spark: SparkSession, d: str) -> DataFrame:
 
 @query("p_waits", f"SELECT oid, w_click, w_error, w_purchase, w_signup, w_view FROM ({oracle.EVENTS})")
 def p_waits(spark: SparkSession, d: str) -> DataFrame:
-    return datasets.events_frame(spark, d).select("oid", *[f"w_{c}" for c in datasets.TYPES])
+    log = datasets.query_log(spark, d)
+    return enrich.with_waits(log, datasets.waiting_sessions(spark, d), list(datasets.TYPES)).select("oid", *[f"w_{c}" for c in datasets.TYPES])
 
 
 @query("p_alerts", f"SELECT oid, a_error FROM ({oracle.EVENTS})")
 def p_alerts(spark: SparkSession, d: str) -> DataFrame:
-    log = datasets.query_log(spark, d).select("oid", "server", "started")
+    log = datasets.query_log(spark, d).select("oid", "server", "started", "ended")
     return enrich.with_alerts(log, datasets.alert_intervals(spark, d), ["error"], datasets.LEVELS).select("oid", "a_error")
 
 
@@ -111,10 +112,10 @@ def p_clock(spark: SparkSession, d: str) -> DataFrame:
     return enrich.with_clock(datasets.query_log(spark, d)).select("oid", "hour", "dow")
 
 
-@query("p_concurrence", f"SELECT oid, CASE WHEN count(*) OVER (PARTITION BY server, date_trunc('day', started)) >= 6 THEN 1 ELSE 0 END AS concurrence FROM ({oracle.LOG})")
+@query("p_concurrence", f"SELECT bo AS oid, busy AS concurrence FROM ({oracle.BUSY_SQL})")
 def p_concurrence(spark: SparkSession, d: str) -> DataFrame:
     log = datasets.query_log(spark, d)
-    return targets.concurrence(log, log, "server", "started", "day", 6).select("oid", "concurrence")
+    return targets.concurrence(log, datasets.waiting_sessions(spark, d), datasets.BUSY).select("oid", "concurrence")
 
 
 @query("p_slow", f"SELECT oid, CASE WHEN time_s > 10 THEN 1 ELSE 0 END AS slow FROM ({oracle.LOG})")
@@ -127,10 +128,11 @@ def p_level_target(spark: SparkSession, d: str) -> DataFrame:
     return datasets.events_frame(spark, d).select("oid", targets.in_levels("a_error", ["Critical", "Blocking"]).alias("t"))
 
 
-@query("p_nominal_target", "SELECT vec_id AS oid, v AS value, CASE WHEN label = v THEN 1 ELSE 0 END AS t FROM embeddings, (SELECT unnest([0, 1, 2]) AS v)")
+@query("p_nominal_target", "SELECT vec_id AS oid, v AS value, CASE WHEN label = v THEN 1 ELSE 0 END AS t FROM embeddings, (SELECT DISTINCT label AS v FROM embeddings WHERE label IS NOT NULL)")
 def p_nominal_target(spark: SparkSession, d: str) -> DataFrame:
-    values = F.explode(F.array(F.lit(0), F.lit(1), F.lit(2)))
-    return load(spark, d, "embeddings").select(F.col("vec_id").alias("oid"), "label", values.alias("value")).select("oid", "value", (F.col("label") == F.col("value")).cast("int").alias("t"))
+    vectors = load(spark, d, "embeddings")
+    values = F.explode(F.lit(datasets.categories(vectors, "label")))
+    return vectors.select(F.col("vec_id").alias("oid"), "label", values.alias("value")).select("oid", "value", (F.col("label") == F.col("value")).cast("int").alias("t"))
 
 
 @query("p_dataset", f"SELECT oid, t, k, hour, dow, c_acctbal, event_type, c_mktsegment, r_name, n_name FROM ({oracle.EVENTS_PLAIN})")

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from slowlens.operators import enrich
+from slowlens.operators import enrich, targets
 from slowlens.operators.dataset import SubgroupDataset
 from slowlens.session import load
 
@@ -13,6 +13,8 @@ from slowlens.session import load
 LEVELS = ("Info", "Alarm", "Critical", "Blocking")
 TYPES = ("click", "error", "purchase", "signup", "view")
 LEVEL_CUTS = (35, 70, 150)
+#: Hours that a session of the log waits, and waiting sessions from which a run has an issue of concurrence.
+WAIT_HOURS, BUSY = 24, 6
 
 #: The toy table of eleven statements.
 TOY_COLUMNS = "oid string, from_a int, from_b int, where_a_key int, where_a_date int, where_b_key int, soft_version string, site string, alert_sessions string, concurrency double, nrows int, time_s decimal(18,2), slow int"
@@ -42,9 +44,10 @@ def toy(spark: SparkSession, target: str = "time_s") -> SubgroupDataset:
     return SubgroupDataset(df, numeric=("concurrency", "nrows"), nominal=("soft_version", "site"), ordinal={"alert_sessions": LEVELS}, boolean=())
 
 def query_log(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """events as a log of statements: oid, server, started, time_s, nrows, kind."""
+    """events as a log of statements: oid, server, started, time_s, nrows, kind, ended."""
     e = load(spark, sf_dir, "events")
-    return e.select(F.col("event_id").alias("oid"), F.col("user_id").alias("server"), F.col("ts").cast("timestamp").alias("started"), F.col("value").cast("decimal(18,2)").alias("time_s"), F.get_json_object("props", "$.k").cast("int").alias("nrows"), F.col("event_type").alias("kind"))
+    log = e.select(F.col("event_id").alias("oid"), F.col("user_id").alias("server"), F.col("ts").cast("timestamp").alias("started"), F.col("value").cast("decimal(18,2)").alias("time_s"), F.get_json_object("props", "$.k").cast("int").alias("nrows"), F.col("event_type").alias("kind"))
+    return log.withColumn("ended", enrich.run_end(F.col("started"), F.col("time_s")))
 
 def environment(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Properties of each server: customers with nation and region."""
@@ -52,23 +55,26 @@ def environment(spark: SparkSession, sf_dir: str) -> DataFrame:
     return c.join(n, c.c_nationkey == n.n_nationkey).join(r, n.n_regionkey == r.r_regionkey).select(F.col("c_custkey").alias("server"), "c_mktsegment", "c_acctbal", "n_name", "r_name")
 
 def alert_intervals(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Errors as alerts that hold 48 hours for their server."""
+    """Errors as alerts: raised when the statement ends, on for 48 hours at its server."""
     v = F.col("time_s")
     level = F.when(v > LEVEL_CUTS[2], LEVELS[3]).when(v > LEVEL_CUTS[1], LEVELS[2]).when(v > LEVEL_CUTS[0], LEVELS[1]).otherwise(LEVELS[0])
     log = query_log(spark, sf_dir).where("kind = 'error'")
-    return log.select("server", F.lit("error").alias("kind"), level.alias("level"), F.col("started").alias("from_ts"), (F.col("started") + F.expr("INTERVAL 48 HOURS")).alias("to_ts"))
+    return log.select("server", F.lit("error").alias("kind"), level.alias("level"), F.col("ended").alias("from_ts"), (F.col("ended") + F.expr("INTERVAL 48 HOURS")).alias("to_ts"))
+
+def waiting_sessions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every event as a session of its class that waits WAIT_HOURS at its server."""
+    later = F.col("started") + F.expr(f"INTERVAL {WAIT_HOURS} HOURS")
+    return query_log(spark, sf_dir).select("server", "kind", F.col("started").alias("from_ts"), later.alias("to_ts"))
 
 def events_frame(spark: SparkSession, sf_dir: str, context: bool = True) -> DataFrame:
     """Statements with clock and environment and, with `context`, waits (w_*), alerts (a_error), busy and crit."""
     log = query_log(spark, sf_dir)
     out = enrich.with_env(enrich.with_clock(log), environment(spark, sf_dir), "server")
     if context:
-        day = F.date_trunc("day", F.col("started"))
-        history = enrich.wait_history(log, list(TYPES), "server", day, F.lit(1), "count", "kind")
-        out = enrich.with_waits(out, history, "server", day)
+        waits = waiting_sessions(spark, sf_dir)
+        out = enrich.with_waits(out, waits, list(TYPES))
         out = enrich.with_alerts(out, alert_intervals(spark, sf_dir), ["error"], LEVELS)
-        sessions = sum((F.col(f"w_{c}") for c in TYPES), F.lit(0))
-        out = out.withColumn("busy", (sessions >= 6).cast("int")).withColumn("crit", F.coalesce(F.col("a_error") == "Blocking", F.lit(False)).cast("int"))
+        out = targets.concurrence(out, waits, BUSY).withColumnRenamed("concurrence", "busy").withColumn("crit", F.coalesce(F.col("a_error") == "Blocking", F.lit(False)).cast("int"))
     return out.select(*out.columns, F.col("kind").alias("event_type"), F.col("nrows").alias("k"), F.col("time_s").alias("t")).drop("kind", "nrows")
 
 def events_set(spark: SparkSession, sf_dir: str, target: str = "time_s", context: bool = False) -> SubgroupDataset:
@@ -129,6 +135,13 @@ def pages_set(spark: SparkSession, sf_dir: str) -> SubgroupDataset:
     df = base.join(_counted(pairs), F.col("key") == F.col("oid"), "left").drop("oid").withColumnRenamed("key", "oid").withColumn("tokens", F.coalesce("tokens", F.create_map().cast("map<string,int>")))
     return SubgroupDataset(df, nominal=("scheme", "domain"), boolean=("has_query",), tokens="tokens")
 
+def categories(df: DataFrame, column: str, most: int = 1000) -> list:
+    """All values of a nominal target, sorted; over `most` of them are refused, not cut."""
+    found = [r[0] for r in df.select(column).where(F.col(column).isNotNull()).distinct().limit(most + 1).collect()]
+    if len(found) > most:
+        raise ValueError(f"over {most} values of {column}")
+    return sorted(found)
+
 def embeddings_set(spark: SparkSession, sf_dir: str, label: int = 0, components: int = 64) -> SubgroupDataset:
     """DS-V: components as numeric attributes, one label against the rest."""
     v = load(spark, sf_dir, "embeddings")

@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from slowlens.functions import exact
 from slowlens.operators import selectors
 from slowlens.operators.dataset import SubgroupDataset
 from slowlens.operators.lattice import describe, to_column
@@ -77,25 +78,48 @@ def deduplicated(events: DataFrame) -> DataFrame:
 class Watch:
     """Watched patterns: running count, sum and sum of squares of the target, merged batch by batch into a small table.
 
-    A batch is applied once: the table names the last batch it holds, so a replayed batch after a failure changes nothing.
+    Each batch leaves a new version of the table under `path`, named by the batch, so a replayed batch changes nothing, and
+    a watch that is made anew on the same path goes on from the last whole version. The offsets of the stream stand beside
+    it, as both must go on together. Rows with a null target count nowhere. Sums are exact unless the target is floating.
     """
 
-    def __init__(self, spark: SparkSession, patterns: list[tuple[Selector, ...]], target: str = "t", level: float | None = None):
+    def __init__(self, spark: SparkSession, patterns: list[tuple[Selector, ...]], target: str = "t", level: float | None = None, path: str | None = None):
         self.spark, self.patterns, self.target, self.level = spark, patterns, target, level
-        self.root, self.version = work_path(spark, f"watch-{uuid.uuid4().hex}"), -1
-        self.path: str | None = None
+        self.root = path or work_path(spark, f"watch-{uuid.uuid4().hex}")
+        self.version = max(self._versions(), default=-1)
+
+    def _place(self, name: str):
+        """A file or folder under the root, and its file system."""
+        at = self.spark._jvm.org.apache.hadoop.fs.Path(f"{self.root}/{name}" if name else self.root)
+        return at.getFileSystem(self.spark._jsc.hadoopConfiguration()), at
+
+    def _versions(self) -> list[int]:
+        """Versions written to their end."""
+        fs, root = self._place("")
+        found = [s.getPath().getName() for s in fs.listStatus(root)] if fs.exists(root) else []
+        return sorted(int(n) for n in found if n.isdigit() and fs.exists(self._place(f"{n}/_SUCCESS")[1]))
+
+    @property
+    def path(self) -> str | None:
+        return f"{self.root}/{self.version}" if self.version >= 0 else None
 
     def update(self, batch: DataFrame, batch_id: int) -> None:
         if batch_id <= self.version:
             return
-        t = F.col(self.target).cast("decimal(18,2)")
+        kind, t = batch.schema[self.target].dataType, F.col(self.target)
+        total = "double" if exact.is_floating(kind) else f"decimal(38,{kind.scale if isinstance(kind, T.DecimalType) else 0})"
         flags = F.filter(F.array(*[F.when(to_column(p), F.lit(describe(p))) for p in self.patterns], F.lit("all")), lambda x: x.isNotNull())
-        new = batch.select(F.explode(flags).alias("description"), t.alias("t")).groupBy("description").agg(F.count("*").alias("n"), F.sum("t").cast("decimal(28,2)").alias("s1"), F.sum(F.col("t") * F.col("t")).cast("decimal(38,4)").alias("s2"))
+        rows = batch.where(t.isNotNull()).select(F.explode(flags).alias("description"), exact.summand(t, kind).alias("s1"), (t.cast("double") * t.cast("double")).alias("s2"), F.lit(1).cast("bigint").alias("n"))
+        merge = lambda df: df.groupBy("description").agg(F.sum("n").alias("n"), F.sum("s1").cast(total).alias("s1"), F.sum("s2").alias("s2"))
+        new = merge(rows)
         if self.path:
-            new = new.unionByName(self.spark.read.parquet(self.path)).groupBy("description").agg(F.sum("n").alias("n"), F.sum("s1").cast("decimal(28,2)").alias("s1"), F.sum("s2").cast("decimal(38,4)").alias("s2"))
-        path = f"{self.root}/{batch_id}"
-        new.write.mode("overwrite").parquet(path)
-        self.path, self.version = path, batch_id
+            new = merge(new.unionByName(self.spark.read.parquet(self.path)))
+        new.write.mode("overwrite").parquet(f"{self.root}/{batch_id}")
+        old = [v for v in self._versions() if v < self.version]  # the version before stays for those who read it now
+        self.version = batch_id
+        for v in old:
+            fs, at = self._place(str(v))
+            fs.delete(at, True)
 
     def table(self) -> DataFrame:
         """description, n, mean, and `crossed` where the mean is above the level."""
@@ -105,7 +129,7 @@ class Watch:
         return self.spark.read.parquet(self.path).select("description", "n", F.round(mean, 6).alias("mean"), (mean > (self.level if self.level is not None else float("inf"))).alias("crossed"))
 
     def start(self, stream: DataFrame, checkpoint: str | None = None):
-        return stream.writeStream.foreachBatch(self.update).option("checkpointLocation", checkpoint or work_path(self.spark, "offsets")).trigger(availableNow=True).start()
+        return stream.writeStream.foreachBatch(self.update).option("checkpointLocation", checkpoint or f"{self.root}/offsets").trigger(availableNow=True).start()
 
 
 def remine(stream: DataFrame, build: Callable[[DataFrame], SubgroupDataset], nominal: list[str], keep: list[DataFrame], measure: str = "wracc", k: int = 5, depth: int = 2):

@@ -59,6 +59,23 @@ def test_watch_ignores_a_replayed_batch(spark):
     assert got == {"all": (8, 1.5, True), "event_type=error": (4, 2.0, True)}
 
 
+def test_watch_goes_on_after_a_restart(spark):
+    path, where = formats.work_path(spark, "in"), formats.work_path(spark, "watch")
+    for part in (rows(1, 2, 3, 4), rows(5, 6, start=10), rows(7, start=20)):
+        put(spark, path, part)
+        watch = st.Watch(spark, [(Selector("event_type", "=", "error"),)], "value", 1.0, where)  # made anew each time
+        watch.start(st.read_stream(spark, path)).awaitTermination()
+    got = {r["description"]: (r["n"], r["mean"]) for r in watch.table().collect()}
+    assert got == {"all": (7, 1.0), "event_type=error": (3, round(5 / 3, 6))}
+    assert watch._versions() == [1, 2]
+
+
+def test_watch_keeps_the_scale_of_its_target(spark):
+    watch = st.Watch(spark, [(Selector("k", "<", 2),)], "t", 0.0)
+    watch.update(spark.sql("SELECT id AS k, CAST(0.0015 AS DECIMAL(10,4)) AS t FROM range(4) UNION ALL SELECT 9, NULL"), 0)
+    assert {r["description"]: (r["n"], r["mean"]) for r in watch.table().collect()} == {"all": (4, 0.0015), "k<2": (2, 0.0015)}
+
+
 def test_complete_mode_and_result_sink(spark):
     path = formats.work_path(spark, "in")
     put(spark, path, rows(1, 2, 3))
