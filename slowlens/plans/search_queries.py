@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-from concurrent.futures import ThreadPoolExecutor
 from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
@@ -322,10 +321,8 @@ _LABEL_SQL = oracle.search(oracle.vectors(COMPONENTS), oracle.selectors((), {f"e
 def w_nominal_embeddings(spark: SparkSession, d: str) -> DataFrame:
     """Each value of a nominal target against the rest, on all components; the given labels are 0 to 9."""
     sels = [x for i in range(COMPONENTS) for x in selectors.numeric(f"e{i}", [-0.1, 0, 0.1])]
-
-    def one(value: int) -> DataFrame:
+    out = []
+    for value in datasets.categories(datasets.load(spark, d, "embeddings"), "label"):
         s = search.Session(datasets.embeddings_set(spark, d, value, COMPONENTS), sels, False)
-        return _run(s, "beam", spark, measure="wracc", k=10, depth=2, width=20).select(F.lit(value).cast("int").alias("value"), "*")
-
-    with ThreadPoolExecutor(5) as pool:  # the searches don't depend on one another
-        return reduce(DataFrame.unionByName, pool.map(one, datasets.categories(datasets.load(spark, d, "embeddings"), "label")))
+        out.append(_run(s, "beam", spark, measure="wracc", k=10, depth=2, width=20).select(F.lit(value).cast("int").alias("value"), "*"))
+    return reduce(DataFrame.unionByName, out)
