@@ -126,12 +126,14 @@ def _numbered(dealt: DataFrame, key: str, order: list, scratch: Scratch, out: st
     )
 
 
-def hot_keys(counts: DataFrame, key: str, n: str, parts: int = 500) -> list:
+def hot_keys(counts: DataFrame, key: str, n: str, parts: int = 500, total: int | None = None) -> list:
     """The keys that hold 1/parts of all rows or more; `counts` has a row for each key and its number of rows.
 
-    At most `parts` keys reach the driver, by arithmetic.
+    At most `parts` keys reach the driver, by arithmetic. Where `total` is given, it is that many rows of which a key has
+    to hold a part.
     """
-    total = counts.agg(F.sum(n)).first()[0] or 0
+    if total is None:
+        total = counts.agg(F.sum(n)).first()[0] or 0
     least = max(2, -(-total // parts))
     return [r[0] for r in counts.where(F.col(n) >= least).select(key).collect()] if total > parts else []
 

@@ -60,13 +60,29 @@ def stretches(lines: DataFrame, scratch: Scratch, min_words: int) -> DataFrame:
     return run.join(sums, (F.col("uid") == F.col("_u")) & (F.col("stretch") == F.col("_s"))).drop("_u", "_s", "stretch")
 
 
+def with_kin(named: DataFrame, spread, total: int) -> DataFrame:
+    """Add `n` and `first`, the number and the earliest of the members of an interval that go on by the same name.
+
+    Rows of frequent names are dealt over many tasks; rows without a name have n = 0 and are kept apart from the join.
+    """
+    place = F.struct("doc_id", "uid", "pos")
+    open_, rest = named.where("name is not null"), named.where("name is null")
+    kin = open_.groupBy("interval", "name").agg(F.count("*").alias("n"), F.min(place).alias("first")).where("n > 1")
+    kin = kin.select(F.col("interval").alias("_i"), F.col("name").alias("_n"), "n", "first").withColumn("_key", F.xxhash64("_i", "_n"))
+    hot = hot_keys(kin, "_key", "n", total=total)
+    joined = salted_join(open_.withColumn("_of", F.xxhash64("interval", "name")), kin, ["interval", "name"], ["_i", "_n"], "_of", "_key", hot, spread, "left")
+    joined = joined.withColumn("n", F.coalesce("n", F.lit(0))).select(*named.columns, "n", "first")
+    return joined.unionByName(rest.withColumn("n", F.lit(0)), allowMissingColumns=True)
+
+
 def repeated_runs(lines: DataFrame, scratch: Scratch, min_words: int = MIN_WORDS, levels: int = 40) -> DataFrame:
     """(uid, start, length): for each place the longest run that occurs earlier, if it has min_words words."""
     base = scratch.settle(stretches(lines, scratch, min_words), "stretches")
     spread = F.xxhash64("uid", "pos")
     order = ranked(base.select("h1", "h2"), ["h1", "h2"], scratch).where("n > 1").select(F.col("h1").alias("_h1"), F.col("h2").alias("_h2"), "n", "rank")
-    hot = hot_keys(order, "_h1", "n")
-    usual = not hot  # no pair of lines, and no longer run, is more frequent than a line of it
+    total = base.count()
+    hot = hot_keys(order, "_h1", "n", total=total)
+    crowded = [bool(hot)]  # by level; no run is more frequent than a shorter one that it begins with
     first = salted_join(base, order, ["h1", "h2"], ["_h1", "_h2"], "h1", "_h1", hot, spread).select("uid", "pos", "rank")
     ranks = [scratch.settle(first, "rank0")]
     for j in range(levels):
@@ -75,11 +91,12 @@ def repeated_runs(lines: DataFrame, scratch: Scratch, min_words: int = MIN_WORDS
         pairs = scratch.settle(here.join(on, (F.col("uid") == F.col("_u")) & (F.col("pos") == F.col("_p"))).select("uid", "pos", "rank", "then"), "pairs")
         order = ranked(pairs.select(F.col("rank").alias("here"), "then"), ["here", "then"], scratch).where("n > 1").select("here", F.col("then").alias("_t"), "n", F.col("rank").alias("new"))
         order, pairs_of = order.withColumn("_key", F.xxhash64("here", "_t")), pairs.withColumn("_of", F.xxhash64("rank", "then"))
-        hot = [] if usual else hot_keys(order, "_key", "n")
+        hot = hot_keys(order, "_key", "n", total=total) if crowded[-1] else []
+        crowded.append(bool(hot))
         step = salted_join(pairs_of, order, ["rank", "then"], ["here", "_t"], "_of", "_key", hot, spread).select("uid", "pos", F.col("new").alias("rank"))
         step = scratch.settle(step, f"rank{j + 1}")
         scratch.drop(pairs)
-        if step.limit(1).count() == 0:
+        if step.isEmpty():
             break
         ranks.append(step)
 
@@ -87,23 +104,23 @@ def repeated_runs(lines: DataFrame, scratch: Scratch, min_words: int = MIN_WORDS
     place = F.struct("doc_id", "uid", "pos")
     for j in range(len(ranks) - 1, -1, -1):
         names = ranks[j].select(F.col("uid").alias("_u"), F.col("pos").alias("_p"), F.col("rank").alias("name"))
-        named = scratch.settle(inside.join(names, (F.col("uid") == F.col("_u")) & (F.col("pos") + F.col("length") == F.col("_p")), "left").drop("_u", "_p"), "named")
-        open_, rest = named.where("name is not null"), named.where("name is null")  # apart: the join must not see a key of nulls
-        kin = open_.groupBy("interval", "name").agg(F.count("*").alias("n"), F.min(place).alias("first")).where("n > 1")
-        kin = kin.select(F.col("interval").alias("_i"), F.col("name").alias("_n"), "n", F.col("first.uid").alias("first_uid"), F.col("first.pos").alias("first_pos"))
-        kin = kin.withColumn("_key", F.xxhash64("_i", "_n"))
-        hot = [] if usual else hot_keys(kin, "_key", "n")
-        joined = salted_join(open_.withColumn("_of", F.xxhash64("interval", "name")), kin, ["interval", "name"], ["_i", "_n"], "_of", "_key", hot, spread, "left")
-        is_first = (F.col("uid") == F.col("first_uid")) & (F.col("pos") == F.col("first_pos"))
+        named = inside.join(names, (F.col("uid") == F.col("_u")) & (F.col("pos") + F.col("length") == F.col("_p")), "left").drop("_u", "_p")
+        if crowded[j]:
+            named = scratch.settle(named, "named")
+            joined = with_kin(named, spread, total)
+        else:  # a name has less than 1/500 of the rows here, so a window over them is no large task
+            kin = Window.partitionBy("interval", F.coalesce("name", -1 - F.pmod(spread, F.lit(1 << 40))))  # rows without a name go apart
+            joined = named.withColumn("n", F.count("name").over(kin)).withColumn("first", F.min(place).over(kin))
+        is_first = (F.col("uid") == F.col("first.uid")) & (F.col("pos") == F.col("first.pos"))
         deeper = F.struct(F.xxhash64("interval", "name", F.lit(j)).alias("interval"), (F.col("length") + (1 << j)).alias("length"))
         stay = F.struct(F.col("interval").alias("interval"), F.col("length").alias("length"))
-        go = F.when(F.col("_n").isNull(), F.array(stay)).when(is_first, F.array(stay, deeper)).otherwise(F.array(deeper))
-        new = joined.select("uid", "doc_id", "pos", F.explode(go).alias("s")).select("uid", "doc_id", "pos", "s.*").unionByName(rest.select("uid", "doc_id", "pos", "interval", "length"))
+        go = F.when(F.col("n") < 2, F.array(stay)).when(is_first, F.array(stay, deeper)).otherwise(F.array(deeper))
+        new = joined.select("uid", "doc_id", "pos", F.explode(go).alias("s")).select("uid", "doc_id", "pos", "s.*")
         new = scratch.settle(new, "intervals")
         scratch.drop(inside, named)
         inside = new
     firsts = inside.where("length > 0").groupBy("interval").agg(F.min(place).alias("first"), F.count("*").alias("n")).select(F.col("interval").alias("_i"), "first", "n")
-    hot = [] if usual else hot_keys(firsts, "_i", "n")
+    hot = hot_keys(firsts, "_i", "n", total=total) if crowded[0] else []
     later = salted_join(inside.where("length > 0"), firsts, ["interval"], ["_i"], "interval", "_i", hot, spread).where(place > F.col("first")).select("uid", F.col("pos").alias("start"), "length")
     at = base.select(F.col("uid").alias("_u"), F.col("pos").alias("_p"), "upto", "words")
     sized = later.join(at, (F.col("uid") == F.col("_u")) & (F.col("start") == F.col("_p"))).withColumn("until", F.col("upto") - F.col("words")).drop("_u", "_p", "upto", "words")
