@@ -39,13 +39,15 @@ def plain_removed(texts, min_words):
     return gone
 
 
-@pytest.mark.parametrize("seed", [0, 1, 2])
-def test_line_dedup_against_all_pairs(spark, seed):
+@pytest.mark.parametrize(("seed", "size"), [(0, 24), (1, 24), (2, 24), (3, 110)])
+def test_line_dedup_against_all_pairs(spark, monkeypatch, seed, size):
+    dealt, plain = [], linededup.with_kin
+    monkeypatch.setattr(linededup, "with_kin", lambda *a: dealt.append(1) or plain(*a))
     rng = random.Random(seed)
     pool = [" ".join(rng.choice("abcdefg") for _ in range(rng.randint(0, 4))) for _ in range(6)]
     block = [f"line {k} of a block" for k in range(9)]
     texts = {}
-    for i in range(24):
+    for i in range(size):
         ls = [rng.choice(pool) for _ in range(rng.randint(0, 8))]
         if rng.random() < 0.6:
             a = rng.randint(0, 5)
@@ -56,6 +58,7 @@ def test_line_dedup_against_all_pairs(spark, seed):
     want = plain_removed(texts, 8)
     got = linededup.line_decisions(docs(spark, [(i, t, "s") for i, t in texts.items()]).repartition(3), Scratch(spark, "t"), 8).collect()
     assert len(got) == len(texts)
+    assert bool(dealt) == (size > 100)  # only there lines hold 1/500 of enough rows
     for r in got:
         assert {x for a in r["removed"] for x in range(a["first"], a["last"] + 1)} == want.get(r["doc_id"], set()), r
         assert r["n_removed"] == len(want.get(r["doc_id"], set()))
