@@ -168,3 +168,31 @@ def test_chance_scores(session):
 def test_an_unfinished_search_gives_no_frame():
     with pytest.raises(TimeoutError):
         search.Found([], complete=False).frame(None)
+
+
+@pytest.mark.parametrize("few", [1, 1000])
+@pytest.mark.parametrize("measure", ["wracc", "lift", "tscore"])
+def test_tokens_by_name_find_the_same(session, monkeypatch, measure, few):
+    from slowlens.operators import counting
+
+    monkeypatch.setattr(counting, "UNROLLED", few)
+    monkeypatch.setattr(search.TokenSession, "FEW", few)
+    dense = [s for s in session.selectors if s.op != "token"]
+    ds = session.ds.persisted()
+    with search.TokenSession(ds, dense) as named:
+        for depth, width in ((2, 4), (3, 20)):
+            want = search.beam(session, measure, 8, depth, width, 10)
+            got = search.beam(named, measure, 8, depth, width, 10)
+            assert [(r["description"], r["n"], r["score"]) for r in got.rows] == [(r["description"], r["n"], r["score"]) for r in want.rows]
+            assert {frozenset(p) for p in got.patterns()} == {frozenset(p) for p in want.patterns()}
+    ds.df.unpersist()
+
+
+def test_orders_are_searched_without_a_list_of_their_tokens(spark, monkeypatch):
+    from slowlens.plans import registry, search_queries  # noqa: F401
+
+    def refuse(*_):
+        raise AssertionError("the tokens of orders grow with the table")
+
+    monkeypatch.setattr(selectors, "tokens", refuse)
+    assert registry.QUERIES["w_sparse_orders"](spark, "/root/testdata/sf0.001").count() == 10
