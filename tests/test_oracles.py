@@ -41,6 +41,6 @@ def test_same_rows(spark, duck, name):
         assert got == sorted(repr([norm(dict(zip(names, r, strict=True))[c]) for c in columns]) for r in rel.fetchall())
 
 
-@pytest.mark.parametrize("name", ["l_generalisations", "w_toy_binary"])
+@pytest.mark.parametrize("name", ["l_generalisations", "w_toy_binary", "w_toy_extent"])
 def test_reads_a_given_table(spark, name):
     assert any("events.parquet" in f for f in registry.QUERIES[name](spark, SF).inputFiles())
